@@ -126,7 +126,7 @@ def mix_plan(docs: DataFrame, weights=(5.0, 2.0, 1.0), ceiling: float = 3.0, see
     lens = sizes.groupBy("skey", "size").agg(F.count("*").alias("n"))
     plan = source_targets(sizes, weights, ceiling).join(lens.groupBy("skey").agg(F.collect_list(F.struct("size", "n")).alias("lens")), "skey")
     plan = staged(plan.mapInPandas(_fit_sources, "skey string, source_size long, target double, epochs long, size long, extra long"), "mix-plan")
-    slice_no = F.shiftright("pick", 52)
+    slice_no = F.shiftright("pick", 56)
     partial = plan.where("extra > 0").select("skey", "size", "extra")
     sliced = sizes.join(maybe_broadcast(partial, BROADCAST_ROWS), ["skey", "size"]).withColumn("slice", slice_no)
     counts = sliced.groupBy("skey", "size", "slice").agg(F.count("*").alias("n"), F.first("extra").alias("extra"))

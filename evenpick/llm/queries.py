@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evenpick.llm import chat, mix, pieces, pseudonym
+from evenpick.llm import chat, mix, pieces, pseudonym, quality, toxic
 
 PSEUDONYM_KEY = "rotate-me-outside-of-tests"
 PIECE_MODEL = public_tokenizers.path("piece_bpe_32k.model")
@@ -63,11 +63,23 @@ def op5_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "text", *kinds)
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return toxic.score_toxicity(docs, toxic.train_toxicity(docs, table(spark, sf_dir, "labels")), threshold=0.5)
+
+
+def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return quality.score_ids(docs, quality.train_quality(docs, table(spark, sf_dir, "labels")), threshold=0.3)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix_to_weights": op1_mix_to_weights,
     "op2_chat_format": op2_chat_format,
     "op3_piece_encoding": op3_piece_encoding,
     "op5_pseudonyms": op5_pseudonyms,
+    "op8_toxicity": op8_toxicity,
+    "op9_quality": op9_quality,
 }
 
 ORACLES: dict[str, str] = {"op2_chat_format": OP2_SQL}
