@@ -21,7 +21,8 @@ from evenpick.llm.textbits import bounded_slices
 from evenpick.plans.durable import ship_package
 
 SPACE_MARK = "▁"
-CACHED_CHUNKS = 120_000
+#: Chunks that a worker remembers in each of two generations (about 220 bytes each).
+CACHED_CHUNKS = 450_000
 _NEVER = 1 << 60
 
 
@@ -102,8 +103,9 @@ class PieceCodec:
             self.automaton.add_word(piece, piece)
         self.automaton.make_automaton()
         self.pairs: dict[tuple[str, str], bool] = {}
-        self.young: dict[str, tuple[tuple[int, ...], str]] = {}
-        self.old: dict[str, tuple[tuple[int, ...], str]] = {}
+        self.young: dict[str, tuple[int, ...]] = {}
+        self.old: dict[str, tuple[int, ...]] = {}
+        self.decimal = [str(i) for i in range(self.processor.get_piece_size())]
         self.chunks = re.compile(r" +[^ \n]*|[^ \n]+|\n" if table.hard else r" +[^ ]*|[^ ]+").findall
 
     def _ids(self, token: str) -> list[int]:
@@ -155,26 +157,27 @@ class PieceCodec:
             out += self._ids(token)
         return tuple(out)
 
-    def encode(self, text: str | None) -> tuple[list[int], list[str]]:
-        """Ids of a text, and the same ids as decimal texts joined chunk by chunk."""
+    def encode(self, text: str | None) -> list[int]:
+        """Ids of a whole text."""
         if not text:
-            return [], []
+            return []
         ids: list[int] = []
-        said: list[str] = []
+        young, old = self.young, self.old
         for chunk in self.chunks(" " + text.replace(SPACE_MARK, " ")):
-            got = self.young.get(chunk)
+            got = young.get(chunk)
             if got is None:
-                got = self.old.get(chunk)
-                if got is None:
-                    ids_of = self.encode_chunk(chunk)
-                    got = (ids_of, ",".join(map(str, ids_of)))
+                got = old.get(chunk) or self.encode_chunk(chunk)
                 if len(chunk) <= 64:
-                    if len(self.young) >= CACHED_CHUNKS:
-                        self.old, self.young = self.young, {}
-                    self.young[chunk] = got
-            ids += got[0]
-            said.append(got[1])
-        return ids, said
+                    if len(young) >= CACHED_CHUNKS:
+                        self.old, self.young = old, young = young, {}
+                    young[chunk] = got
+            ids += got
+        return ids
+
+    def digest(self, ids: list[int]) -> str:
+        """SHA-256 of the decimal ids joined by commas."""
+        decimal = self.decimal
+        return hashlib.sha256(",".join([decimal[i] for i in ids]).encode()).hexdigest()
 
     def decode(self, ids: list[int]) -> str:
         return self.processor.decode(ids) if ids else ""
@@ -215,7 +218,7 @@ def encode_documents(docs: DataFrame, model_path: str, text: str = "text", into:
     def run(batches):
         codec = _codec(shared.value)
         for b in bounded_slices(batches, text):
-            ids = [codec.encode(t)[0] for t in b.column(at).to_pylist()]
+            ids = [codec.encode(t) for t in b.column(at).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(ids, pa.list_(pa.int32()))], names=[*b.schema.names, into])
 
     return kept.mapInArrow(run, T.StructType([*kept.schema.fields, T.StructField(into, T.ArrayType(T.IntegerType()))]))
@@ -247,9 +250,9 @@ def piece_digest(docs: DataFrame, model_path: str) -> DataFrame:
         for b in bounded_slices(batches):
             n, a, d = [], [], []
             for t in b.column(1).to_pylist():
-                ids, said = codec.encode(t)
+                ids = codec.encode(t)
                 n.append(len(ids))
-                a.append(hashlib.sha256(",".join(said).encode()).hexdigest())
+                a.append(codec.digest(ids))
                 d.append(hashlib.sha256(codec.decode(ids).encode()).hexdigest())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(a), pa.array(d)], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
