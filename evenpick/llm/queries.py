@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evenpick.llm import chat, mix, pieces, pseudonym, quality, toxic
+from evenpick.llm import chat, mix, neardup, neighbours, pieces, pseudonym, quality, topk, toxic
 
 PSEUDONYM_KEY = "rotate-me-outside-of-tests"
 PIECE_MODEL = public_tokenizers.path("piece_bpe_32k.model")
@@ -63,6 +63,15 @@ def op5_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "text", *kinds)
 
 
+def op6_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = neighbours.valid_vectors(table(spark, sf_dir, "embeddings"), "vec_id", "embedding")
+    return neighbours.nearest(vectors, vectors.where("id % 50 = 0"), k=5)
+
+
+def op7_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.near_duplicates(table(spark, sf_dir, "documents"), percent=85)
+
+
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return toxic.score_toxicity(docs, toxic.train_toxicity(docs, table(spark, sf_dir, "labels")), threshold=0.5)
@@ -73,13 +82,60 @@ def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score_ids(docs, quality.train_quality(docs, table(spark, sf_dir, "labels")), threshold=0.3)
 
 
+def op10_top_products(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = topk.integer_vectors(table(spark, sf_dir, "embeddings"), "vec_id", "embedding")
+    return topk.exact_top_k(vectors, vectors.where("id % 20 = 0"), k=20)
+
+
+OP10_SQL = """
+WITH whole AS (
+    SELECT vec_id, embedding, generate_subscripts(embedding, 1) AS i, CAST(unnest(embedding) AS DOUBLE) AS x FROM embeddings),
+bad AS (SELECT DISTINCT vec_id FROM whole WHERE x IS NULL OR isnan(x) OR isinf(x)),
+v AS (
+    SELECT vec_id, list_transform(embedding, lambda x: floor(64 * CAST(x AS DOUBLE))) AS e
+    FROM embeddings WHERE embedding IS NOT NULL AND vec_id NOT IN (SELECT vec_id FROM bad)),
+s AS (
+    SELECT q.vec_id AS query_id, c.vec_id AS vec_id, CAST(list_dot_product(q.e, c.e) AS BIGINT) AS score
+    FROM v q JOIN v c ON q.vec_id <> c.vec_id WHERE q.vec_id % 20 = 0),
+r AS (SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank, vec_id, score FROM s)
+SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 20
+"""
+
+OP7_SQL = r"""
+WITH RECURSIVE words AS (
+    SELECT doc_id, list_filter(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda w: w <> '') AS w FROM documents),
+grams AS (
+    SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
+        ELSE list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i : i + 4], ' '))) END AS s FROM words),
+classes AS (SELECT list_sort(s) AS s, min(doc_id) AS cls, len(any_value(s)) AS n FROM grams WHERE len(s) > 0 GROUP BY list_sort(s)),
+flat AS (SELECT cls, n, unnest(s) AS g FROM classes),
+freq AS (SELECT g, count(*) AS df FROM flat GROUP BY g HAVING count(*) > 1),
+ordered AS (
+    SELECT f.cls, f.n, f.g, row_number() OVER (PARTITION BY f.cls ORDER BY coalesce(q.df, 1), f.g) AS place, coalesce(q.df, 1) AS df
+    FROM flat f LEFT JOIN freq q ON q.g = f.g),
+pre AS (SELECT * FROM ordered WHERE place <= n - CAST(ceil(0.85 * n - 1e-9) AS BIGINT) + 1 AND df > 1),
+cand AS (SELECT DISTINCT a.cls AS a, b.cls AS b FROM pre a JOIN pre b ON a.g = b.g AND a.cls < b.cls AND 100 * least(a.n, b.n) >= 85 * greatest(a.n, b.n)),
+links AS (
+    SELECT a, b FROM cand JOIN classes x ON x.cls = a JOIN classes y ON y.cls = b
+    WHERE 100 * len(list_intersect(x.s, y.s)) >= 85 * (x.n + y.n - len(list_intersect(x.s, y.s)))),
+edges AS (SELECT a, b FROM links UNION SELECT b, a FROM links),
+reach AS (SELECT cls AS a, cls AS b FROM classes UNION SELECT r.a, e.b FROM reach r JOIN edges e ON r.b = e.a),
+comp AS (SELECT a AS cls, min(b) AS component FROM reach GROUP BY a)
+SELECT g.doc_id, CAST(len(g.s) AS BIGINT) AS n_shingles, coalesce(c.component, g.doc_id) AS component_id, g.doc_id = coalesce(c.component, g.doc_id) AS kept
+FROM grams g LEFT JOIN classes k ON k.s = list_sort(g.s) LEFT JOIN comp c ON c.cls = k.cls
+"""
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix_to_weights": op1_mix_to_weights,
     "op2_chat_format": op2_chat_format,
     "op3_piece_encoding": op3_piece_encoding,
     "op5_pseudonyms": op5_pseudonyms,
+    "op6_nearest": op6_nearest,
+    "op7_near_duplicates": op7_near_duplicates,
     "op8_toxicity": op8_toxicity,
     "op9_quality": op9_quality,
+    "op10_top_products": op10_top_products,
 }
 
-ORACLES: dict[str, str] = {"op2_chat_format": OP2_SQL}
+ORACLES: dict[str, str] = {"op2_chat_format": OP2_SQL, "op7_near_duplicates": OP7_SQL, "op10_top_products": OP10_SQL}
