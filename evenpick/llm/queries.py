@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evenpick.llm import chat, mix, neardup, neighbours, pieces, pseudonym, quality, topk, toxic
+from evenpick.llm import chat, mix, neardup, neighbours, pieces, pseudonym, quality, repeats, topk, toxic
 
 PSEUDONYM_KEY = "rotate-me-outside-of-tests"
 PIECE_MODEL = public_tokenizers.path("piece_bpe_32k.model")
@@ -56,6 +56,10 @@ def op3_piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.piece_digest(table(spark, sf_dir, "documents"), PIECE_MODEL)
 
 
+def op4_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.remove_repeats(table(spark, sf_dir, "documents")).drop("runs")
+
+
 def op5_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     out = pseudonym.pseudonymise(docs, PSEUDONYM_KEY, counts="replaced")
@@ -130,6 +134,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix_to_weights": op1_mix_to_weights,
     "op2_chat_format": op2_chat_format,
     "op3_piece_encoding": op3_piece_encoding,
+    "op4_repeats": op4_repeats,
     "op5_pseudonyms": op5_pseudonyms,
     "op6_nearest": op6_nearest,
     "op7_near_duplicates": op7_near_duplicates,
