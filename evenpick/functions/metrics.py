@@ -27,6 +27,9 @@ class Metric:
     fold: Callable[[Column], Column]
     block: Callable[[np.ndarray, np.ndarray], np.ndarray]
 
+    def __reduce__(self):
+        return metric, (self.name,)
+
     def to_point(self, vec: Column, point: Sequence[float]) -> Column:
         """Distance of a vector column to a constant point, unrolled for the code generator."""
         return self.gather([self.term(F.get(vec, i), F.lit(float(x))) for i, x in enumerate(point)])

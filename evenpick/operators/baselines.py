@@ -56,7 +56,7 @@ def _first_pass(points: DataFrame, grid: list[float], k: int, m: str, order) ->
 def _members(points: DataFrame, pivots: pd.DataFrame, reach: float, m: str) -> DataFrame:
     """Second pass, fully parallel: per (guess, pivot, group) the nearest member within ``reach`` guesses, reduced in each task first."""
     ship_package(points.sparkSession)
-    tau, pivot, c = pivots.tau.to_numpy(), pivots.pivot.to_numpy(), np.stack(pivots.vec.to_numpy()).astype(float)
+    tau, pivot, c = pivots.tau.to_numpy(), pivots["pivot"].to_numpy(), np.stack(pivots.vec.to_numpy()).astype(float)
 
     def run(batches):
         best: dict[tuple[int, int], tuple[float, int, np.ndarray]] = {}
@@ -67,7 +67,8 @@ def _members(points: DataFrame, pivots: pd.DataFrame, reach: float, m: str) -> D
             for j in range(len(c)):
                 d = metric(m).one_to_many(c[j], x)
                 rows = np.flatnonzero(d <= reach * tau[j])
-                for i in rows[np.lexsort((ids[rows], d[rows]))]:
+                rows = rows[np.lexsort((ids[rows], d[rows], grp[rows]))]
+                for i in rows[np.unique(grp[rows], return_index=True)[1]]:
                     key = (j, int(grp[i]))
                     if key not in best or (d[i], ids[i]) < best[key][:2]:
                         best[key] = (float(d[i]), int(ids[i]), x[i])
@@ -82,10 +83,10 @@ def _smallest_match(edges: pd.DataFrame, pivots: pd.DataFrame, caps) -> pd.DataF
     for t in sorted(pivots.tau.unique()):
         e = edges[edges.tau == t]
         n = int((pivots.tau == t).sum())
-        adj = [sorted(e.grp[e.pivot == i].tolist()) for i in range(n)]
+        adj = [sorted(e.grp[e["pivot"] == i].tolist()) for i in range(n)]
         if saturates(adj, caps):
             chosen = match_pivots(adj, caps)
-            rows = pd.concat([e[(e.pivot == i) & (e.grp == g)] for i, g in enumerate(chosen)])
+            rows = pd.concat([e[(e["pivot"] == i) & (e.grp == g)] for i, g in enumerate(chosen)])
             return rows.drop_duplicates("point_id")
     raise ValueError("no guess matches: no point belongs to a group with capacity")
 
@@ -127,7 +128,7 @@ def prior_distributed_fair_centers(points: DataFrame, caps: Mapping[int, int], e
         return pd.DataFrame(rows, columns=["shard", "place", "pivot", "point_id", "grp", "vec"]).astype({"place": "int32", "grp": "int32"})
 
     sent = to_driver(per_shard(shard_points(points, shards, how), run, "shard long, place int, pivot boolean, point_id long, grp int, vec array<double>")).sort_values(["shard", "place"], kind="stable")
-    pivots, members = sent[sent.pivot], sent[~sent.pivot].drop_duplicates("point_id").sort_values("point_id")
+    pivots, members = sent[sent["pivot"]], sent[~sent["pivot"]].drop_duplicates("point_id").sort_values("point_id")
     members = members[members.grp.map(lambda g: caps.get(g, 0) > 0)]
     x, y = np.stack(pivots.vec.to_numpy()).astype(float), np.stack(members.vec.to_numpy()).astype(float)
     mm = metric(name)

@@ -73,29 +73,33 @@ def coordinator_net(summaries: DataFrame, eps_bar: float, m: Metric | str = "l1"
     ship_package(summaries.sparkSession)
     most = float(summaries.agg(F.max("r_t")).first()[0] or 0.0)
     radii = [2 * eps_bar * most] if levels == 1 else [eps_bar * most / 2 ** (levels - 1 - i) for i in range(levels)]
-    rank = summaries.select("shard", "net_id", "vec", "grp", "groups", "reps")
+    rank = summaries.select("shard", "net_id", "vec", "grp", "groups", "reps").withColumn("place", F.col("net_id"))
     for i, radius in enumerate(radii):
         bucket = F.lit(0).cast("long") if i == levels - 1 else F.floor(F.col("shard") / fan_in)
 
-        def fold(pdf: pd.DataFrame, radius=radius) -> pd.DataFrame:
-            out = Net()
-            for _, part in sorted(pdf.groupby("shard")):
-                out = kernels.merge_nets(net_of(part.sort_values("place", kind="stable")), out, radius, name, 1.0, reps)
-            rows = net_rows(out, shard=int(pdf.bucket.iloc[0]))
-            return rows.assign(place=np.arange(len(rows)))
-
-        if i == 0:
-            rank = rank.withColumn("place", F.col("net_id"))
-        rank = rank.withColumn("bucket", bucket).groupBy("bucket").applyInPandas(fold, f"shard long, {NET}, place long")
+        rank = rank.withColumn("bucket", bucket).groupBy("bucket").applyInPandas(_fold(radius, name, reps), f"shard long, {NET}, place long")
     return rank.select("net_id", "vec", "grp", "groups", "reps")
 
 
+def _fold(radius: float, name: str, policy: str):
+    """Fold the nets of a bucket, shard after shard."""
+
+    def fold(pdf: pd.DataFrame) -> pd.DataFrame:
+        out = Net()
+        for _, part in sorted(pdf.groupby("shard")):
+            out = kernels.merge_nets(net_of(part.sort_values("place", kind="stable")), out, radius, name, 1.0, policy)
+        rows = net_rows(out, shard=int(pdf.bucket.iloc[0]))
+        return rows.assign(place=np.arange(len(rows)))
+
+    return fold
+
+
 def budget_tree(summaries: DataFrame, budget: int, m: Metric | str = "l1", fan_in: int = FAN_IN) -> DataFrame:
     """SUMMARY of merged shards: greedy centers among the representatives of ``fan_in`` workers; coverage radii add up in r_t."""
     name = metric(m).name
     reps = summaries.select("shard", "r_t", "n_t", F.explode("reps").alias("r")).withColumn("bucket", F.floor(F.col("shard") / fan_in))
 
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         r = pdf.r.map(lambda x: (x["point_id"], x["grp"], np.asarray(x["vec"], float)))
         seen = {p: (g, v) for p, g, v in r}
         ids = np.array(sorted(seen))

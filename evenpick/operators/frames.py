@@ -51,7 +51,7 @@ def per_shard(points: DataFrame, run: Callable[[int, np.ndarray, np.ndarray, np.
     """``run(shard, vectors, ids, groups)`` on every shard; the shards are dealt by one exchange."""
     ship_package(points.sparkSession)
 
-    def work(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def work(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         return run(int(key[0]), *arrays(pdf))
 
     return points.select("shard", "point_id", "grp", "vec").groupBy("shard").applyInPandas(work, schema)

@@ -88,7 +88,7 @@ def aspect_ratio(points: DataFrame, m: Metric | str = "l1", block: int = 2048) -
     rows = points.select("point_id", "vec", own.alias("b")).withColumn("o", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))))
     rows = rows.select("vec", "b", F.least("b", "o").alias("lo"), F.greatest("b", "o").alias("hi"))
 
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         x = np.stack(pdf.vec.to_numpy()).astype(float)
         side = pdf.b.to_numpy() == key[0]
         a, b = (x[side], x[~side]) if key[0] != key[1] else (x, x)

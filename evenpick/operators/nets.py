@@ -6,7 +6,7 @@ from collections.abc import Callable, Mapping
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from evenpick.functions import kernels
@@ -51,6 +51,11 @@ def extend_net(net: Net, x, ids, grp, radius: float, m: Metric | str, policy: st
     return net
 
 
+def group_bit() -> Column:
+    """The bit of a row's group (the shift's width comes from a column)."""
+    return F.expr("shiftleft(1L, grp)")
+
+
 def attach_groups(assignment: DataFrame, net: DataFrame, policy: str = "nearest", order: str = "point_id") -> DataFrame:
     """NET from an assignment ``(point_id, grp, vec, net_id, dist)`` and net points ``(net_id, vec, grp)``, by partial aggregation alone.
 
@@ -60,7 +65,7 @@ def attach_groups(assignment: DataFrame, net: DataFrame, policy: str = "nearest"
     key = F.struct("dist", "point_id") if policy == "nearest" else F.struct((F.col("point_id") != F.col("net_id")).alias("late"), F.col(order).alias("o"))
     rep = F.struct("grp", "point_id", "vec", "dist")
     per_group = assignment.groupBy("net_id", "grp").agg(F.min_by(rep, key).alias("rep"))
-    bits = per_group.groupBy("net_id").agg(F.bit_or(F.shiftleft(F.lit(1).cast("long"), F.col("grp"))).alias("groups"), F.array_sort(F.collect_list("rep")).alias("reps"))
+    bits = per_group.groupBy("net_id").agg(F.bit_or(group_bit()).alias("groups"), F.array_sort(F.collect_list("rep")).alias("reps"))
     return net.select("net_id", "vec", "grp").join(bits, "net_id").select("net_id", "vec", "grp", "groups", F.col("reps").cast(REPS).alias("reps"))
 
 
@@ -146,7 +151,7 @@ def merge_nets(fine: DataFrame, coarse: DataFrame | None, radius: float, m: Metr
         pdf = pdf.sort_values("net_id", kind="stable")
         return net_rows(kernels.merge_nets(net_of(pdf[pdf.side == 0]), net_of(pdf[pdf.side == 1]), radius, name, alpha, reps))
 
-    return both.groupBy(F.lit(1)).applyInPandas(lambda pdf: run(pdf), NET)
+    return both.withColumn("bucket", F.lit(0)).groupBy("bucket").applyInPandas(run, NET)
 
 
 def coreset_distortion(core: DataFrame, points: DataFrame, centers: DataFrame, m: Metric | str = "l1") -> DataFrame:

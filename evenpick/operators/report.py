@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evenpick.operators import baselines, distributed, onepass
-from evenpick.operators.greedy import farthest_first_rounds, with_distance
+from evenpick.operators.greedy import greedy_pivots, with_distance
 from evenpick.operators.measures import center_vectors, points_held
 from evenpick.operators.nets import solve_on_net
 from evenpick.operators.static import static_fair_centers
@@ -19,12 +19,11 @@ from evenpick.sources.points import WORKLOAD_GROUPS, WORKLOADS
 TABLE = "workload string, groups int, method string, points long, seconds double, points_held long, cost double, greedy_radius double, ratio double, feasible boolean"
 
 
-def distance_bounds(points: DataFrame, k: int, m="l1") -> tuple[float, float]:
-    """Bounds for the guesses of the two-pass baseline: the greedy radius for k centers is at most twice and at least half
-    what matters, so no guess below a twelfth of it or above the largest pivot gap can win."""
-    pivots, radius = farthest_first_rounds(points, k, m)
+def guess_bounds(pivots, radius: float) -> tuple[float, float]:
+    """Bounds for the guesses of the two-pass baseline from greedy pivots: no guess below a sixth of their radius, or above twice
+    their largest gap, can be the smallest that matches."""
     far = max((d for *_, d in pivots[1:]), default=1.0)
-    return (radius / 6 if radius > 0 else far or 1.0), 2 * max(far, radius, 1e-12)
+    return (radius / 3 if radius > 0 else far or 1.0), 2 * max(far, radius, 1e-12)
 
 
 def run_method(name: str, points: DataFrame, caps: Mapping[int, int], m="l1", budget: int = 240, shards: int = 10, eps: float = 0.1, bounds=None) -> tuple[DataFrame, int | None]:
@@ -53,8 +52,8 @@ def compare(points: DataFrame, caps: Mapping[int, int], methods=METHODS, m="l1",
     spark: SparkSession = points.sparkSession
     pts = staged(points, "compare")
     n, k = pts.count(), sum(caps.values())
-    _, greedy = farthest_first_rounds(pts, k, m)
-    bounds = distance_bounds(pts, k, m) if "two_pass" in methods else None
+    pivots, greedy = greedy_pivots(pts, k, m)
+    bounds = guess_bounds(pivots, greedy)
     rows = []
     for name in methods:
         began = time.perf_counter()

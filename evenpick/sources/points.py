@@ -178,7 +178,7 @@ def score50(spark: SparkSession, sf_dir: str, groups: int = 2) -> DataFrame:
     avg = lambda b, s: F.avg(F.when((F.col("brand") == b) & (F.col("l_linestatus") == s), F.col("l_quantity")))
     rows = _customer_lines(spark, sf_dir).groupBy("c_custkey").agg(*[avg(b, s).alias(f"a{b}{s}") for b, s in cells])
     rows = rows.join(load(spark, sf_dir, "customer").select("c_custkey", "c_acctbal", "c_nationkey"), "c_custkey")
-    return points_from(rows, "c_custkey", [F.coalesce(F.least(F.lit(4), F.floor(F.col(f"a{b}{s}") / 10)), F.lit(0)) for b, s in cells], customer_groups(groups))
+    return points_from(rows, "c_custkey", [F.when(F.col(f"a{b}{s}").isNull(), 0).otherwise(F.least(F.lit(4), F.floor(F.col(f"a{b}{s}") / 10))) for b, s in cells], customer_groups(groups))
 
 
 def dochash(spark: SparkSession, sf_dir: str, dim: int = 256, groups: int = 2) -> DataFrame:

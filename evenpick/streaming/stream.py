@@ -61,7 +61,7 @@ class StreamingFairCenters:
             net, version = pickle.loads(state.get[0]) if state.exists else (self._fresh(), 0)
             rows = [b for b in batches if len(b)]
             if rows:
-                net.insert_block(*arrays(pd.concat(rows)))
+                net.insert_block(*arrays(rows[0] if len(rows) == 1 else pd.concat(rows)))
                 version += 1
             state.update((pickle.dumps((net, version)),))
             yield net_rows(net.net, shard=int(key[0]), r_t=float(net.r), n_t=int(net.seen)).assign(version=version)
@@ -105,7 +105,7 @@ def window_summaries(points: DataFrame, ts: str, caps: Mapping[int, int], width:
     caps = check_caps(caps)
     ship_package(points.sparkSession)
 
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         net = BudgetNet(budget, m)
         net.insert_block(*arrays(pdf))
         held = {p: (v, g) for r in net.net.reps for g, (p, v, _) in r.items()}
