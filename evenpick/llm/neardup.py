@@ -4,8 +4,9 @@ A document's set holds its distinct 5-word shingles. A sketch keeps, for each of
 10 mantissa bits of the bucket's least hash. Bands of sketch registers bring candidates together; the Jaccard estimate from the
 sketches (corrected for chance collisions) drops most false ones; the full sets decide.
 
-Groups of any size stay linear. Equal sets are one class from the start. Classes that share a band are first compared with the least
-class they meet, then along a spanning forest of the most similar pairs, and only what is still apart is compared pairwise, in blocks.
+Output stays linear in a group of any size. Equal sets are one class from the start. Classes that share a band are tied to the least class they
+meet and then along a spanning forest of the most similar estimates; that makes families, outside of which no link can lie. The sets of
+a family are compared in blocks of bounded size, and a block gives a spanning forest of its links, not its pairs.
 
 Defined results: null or empty texts have an empty set, link with nothing and stay; with fewer than five words the whole sequence is one shingle; a null
 ``doc_id`` has no component and is not kept; rows that share a ``doc_id`` are one document; an empty table gives no rows.
@@ -18,7 +19,7 @@ import hashlib
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from evenpick.llm.components import connected_components
@@ -30,7 +31,8 @@ BUCKETS = 1 << BUCKET_BITS
 #: Set sizes up to which 8 or 16 wide bands are used (more bands than set elements that may differ); 32 bands beyond.
 WIDE_BANDS = ((22, 8), (90, 16))
 FULL_BANDS = 32
-BLOCK = 1500
+#: Most members, and shingles, of a block that is compared within itself or with another.
+BLOCK, BLOCK_SHINGLES = 1500, 2_000_000
 BROADCAST_IDS = 300_000
 _STARTS = np.arange(BUCKETS, dtype=U) << U(64 - BUCKET_BITS)
 _STEP = mix64(np.arange(1, SHINGLE_WORDS + 1, dtype=U)) | U(1)
@@ -157,65 +159,88 @@ def _set_rows(batches):
         yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(pa.array(bounds, pa.int32()), pa.array(flat))], names=["cls", "shingles"])
 
 
-def _confirmed(percent: int):
-    def run(batches):
-        for batch in batches:
-            left, right = batch.column(2), batch.column(3)
-            keep = []
-            for i in range(batch.num_rows):
-                a, b = left[i].values.to_numpy(), right[i].values.to_numpy()
-                if 100 * min(len(a), len(b)) < percent * max(len(a), len(b)):
-                    keep.append(False)
-                    continue
-                both = np.sort(np.concatenate([a, b]))
-                shared = int((both[1:] == both[:-1]).sum())
-                keep.append(100 * shared >= percent * (len(a) + len(b) - shared))
-            yield pa.RecordBatch.from_arrays(batch.filter(pa.array(keep, pa.bool_())).columns[:2], names=["u", "v"])
+class Unions:
+    """Disjoint sets of numbers."""
+
+    def __init__(self):
+        self.up: dict[int, int] = {}
+
+    def find(self, x: int) -> int:
+        while self.up.setdefault(x, x) != x:
+            self.up[x] = self.up[self.up[x]]
+            x = self.up[x]
+        return x
+
+    def join(self, a: int, b: int) -> bool:
+        a, b = self.find(a), self.find(b)
+        self.up[max(a, b)] = min(a, b)
+        return a != b
+
+
+def _family_links(percent: int):
+    """Links of a family's block (or of two blocks) that join what was apart, decided on full sets."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(["n_shingles", "cls"], kind="stable")
+        m = np.frombuffer(b"".join(pdf.sketch), np.uint16).reshape(-1, BUCKETS)
+        cls, n, block = pdf.cls.to_numpy(), pdf.n_shingles.to_numpy(), pdf.block.to_numpy()
+        two = len(np.unique(block)) > 1
+        sizes = np.array([len(x) for x in pdf.shingles])
+        _, flat = np.unique(np.concatenate(pdf.shingles.to_list()), return_inverse=True)
+        ends = np.cumsum(sizes)
+        low, marked, unions, out = _floor(n, percent / 100), np.zeros(flat.max() + 1, bool), Unions(), []
+        root = np.arange(len(m))
+        for i in range(1, len(m)):
+            j = np.arange(np.searchsorted(n, -(-n[i] * percent // 100)), i)
+            j = j[(root[j] != root[i]) & ((block[j] != block[i]) | (not two))]
+            if len(j):
+                j = j[estimate_jaccard(m[j], m[i]) >= low[j]]
+            if not len(j):
+                continue
+            mine = flat[ends[i] - sizes[i] : ends[i]]
+            marked[mine] = True
+            at = np.repeat(ends[j] - np.cumsum(sizes[j]), sizes[j]) + np.arange(sizes[j].sum())
+            shared = np.add.reduceat(marked[flat[at]].astype(np.int64), np.cumsum(sizes[j]) - sizes[j])
+            marked[mine] = False
+            for k in j[100 * shared >= percent * (sizes[j] + sizes[i] - shared)].tolist():
+                if unions.join(k, i):
+                    out.append((cls[k], cls[i]))
+            root = np.array([unions.find(x) for x in range(len(m))]) if out and out[-1][1] == cls[i] else root
+        return pd.DataFrame(out, columns=["u", "v"], dtype=np.int64)
 
     return run
 
 
-def _bucket_pairs(similarity: float, forest: bool):
-    """Pairs of a bucket's block (or of two blocks) that lie in different components: a spanning forest of the most similar, or all."""
+def _bucket_forest(similarity: float):
+    """A spanning forest, most similar pairs first, of a band bucket's block (or two) across what is not tied yet."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         m = np.frombuffer(b"".join(pdf.sketch), np.uint16).reshape(-1, BUCKETS)
-        comp, block, n, cls = (pdf[c].to_numpy() for c in ("component", "block", "n_shingles", "cls"))
+        comp, n, cls = (pdf[c].to_numpy() for c in ("component", "n_shingles", "cls"))
         low = _floor(n, similarity)
-        us, vs, es = [], [], []
-        two = len(np.unique(block)) > 1
+        us, vs, es = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0)]
         for i in range(len(m) - 1):
             j = np.arange(i + 1, len(m))
             j = j[(comp[j] != comp[i]) & (np.minimum(n[j], n[i]) >= similarity * np.maximum(n[j], n[i]) - 1e-9)]
-            if two:
-                j = j[block[j] != block[i]]
             if len(j):
                 e = estimate_jaccard(m[j], m[i])
                 ok = e >= np.minimum(low[j], low[i])
                 us.append(np.full(ok.sum(), i)), vs.append(j[ok]), es.append(e[ok])
-        if not us:
-            return pd.DataFrame({"u": np.zeros(0, np.int64), "v": np.zeros(0, np.int64)})
         u, v, e = np.concatenate(us), np.concatenate(vs), np.concatenate(es)
-        if forest:
-            order, root, keep = np.argsort(-e, kind="stable"), {}, []
-
-            def find(x):
-                while root.setdefault(x, x) != x:
-                    root[x] = root[root[x]]
-                    x = root[x]
-                return x
-
-            for k in order.tolist():
-                a, b = find(comp[u[k]]), find(comp[v[k]])
-                if a != b:
-                    root[a] = b
-                    keep.append(k)
-            u, v = u[keep], v[keep]
-        return pd.DataFrame({"u": cls[u], "v": cls[v]})
+        unions = Unions()
+        keep = [k for k in np.argsort(-e, kind="stable").tolist() if unions.join(int(comp[u[k]]), int(comp[v[k]]))]
+        return pd.DataFrame({"u": cls[u[keep]], "v": cls[v[keep]]})
 
     return run
 
 
+def _in_blocks(rows: DataFrame, blocks: Column, spread: Column) -> DataFrame:
+    """Deal a group's rows into ``blocks`` blocks and send each row to every pair of blocks (lo, hi) that it takes part in."""
+    rows = rows.withColumn("blocks", blocks).withColumn("block", F.pmod(spread, F.col("blocks")))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    return rows.withColumn("lo", F.least("block", "other")).withColumn("hi", F.greatest("block", "other"))
+
+
 class NearDuplicates:
     """The stages of one run over a document table."""
 
@@ -236,41 +261,31 @@ class NearDuplicates:
         a = a.where("100 * least(n, m) >= {0} * greatest(n, m)".format(self.percent))
         return a.select("u", "v", F.least("n", "m").alias("n"), "a", "b").mapInArrow(_estimated(self.similarity), "u long, v long")
 
-    def confirmed(self, pairs: DataFrame) -> DataFrame:
-        """The pairs that link, decided on full sets read anew from the texts of the classes in question."""
-        pairs = staged(pairs, "pairs")
-        ids = pairs.select(F.col("u").alias("doc_id")).union(pairs.select("v")).distinct()
-        texts = self.docs.select("doc_id", "text").join(maybe_broadcast(ids, BROADCAST_IDS), "doc_id", "left_semi")
-        sets = staged(texts.mapInArrow(_set_rows, "cls long, shingles array<long>"), "sets")
-        both = pairs.join(sets.toDF("u", "a"), "u").join(sets.toDF("v", "b"), "v").select("u", "v", "a", "b")
-        return staged(both.mapInArrow(_confirmed(self.percent), "u long, v long"), "confirmed")
-
-    def apart(self, links: DataFrame, done: DataFrame, forest: bool) -> DataFrame:
-        """Pairs of classes that share a band, are not yet in one component, and are similar by estimate."""
-        comp = connected_components(links)
+    def forest(self, pairs: DataFrame) -> DataFrame:
+        """Pairs that tie together what shares a band, is similar by estimate, and is not yet tied by ``pairs``."""
+        comp = connected_components(pairs)
         rows = self.buckets.select("key", "cls").join(comp.toDF("cls", "component"), "cls", "left").withColumn("component", F.coalesce("component", "cls"))
         mixed = rows.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b"), F.count("*").alias("n")).where("a <> b")
-        rows = staged(rows.join(mixed.select("key", "n"), "key"), "apart")
+        rows = staged(rows.join(mixed.select("key", "n"), "key"), "untied")
         small = rows.where("n = 2").groupBy("key").agg(F.min("cls").alias("u"), F.max("cls").alias("v"))
-        small = self.estimated(small.select("u", "v").distinct().join(done.select("u", "v"), ["u", "v"], "left_anti"))
-        rows = rows.where("n > 2").withColumn("blocks", F.ceil(F.col("n") / BLOCK)).withColumn("block", F.pmod(F.xxhash64("cls", "key"), F.col("blocks")))
-        rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-        rows = rows.select("key", "cls", "component", "block", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"))
-        rows = rows.join(self.classes.select("cls", "n_shingles", "sketch"), "cls")
-        big = rows.groupBy("key", "lo", "hi").applyInPandas(_bucket_pairs(self.similarity, forest), "u long, v long")
-        big = big.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct()
-        return big.join(done.select("u", "v"), ["u", "v"], "left_anti").union(small).distinct()
+        small = self.estimated(small.select("u", "v").distinct())
+        big = _in_blocks(rows.where("n > 2"), F.ceil(F.col("n") / BLOCK), F.xxhash64("cls", "key"))
+        big = big.select("key", "cls", "component", "lo", "hi").join(self.classes.select("cls", "n_shingles", "sketch"), "cls")
+        return big.groupBy("key", "lo", "hi").applyInPandas(_bucket_forest(self.similarity), "u long, v long").union(small).distinct()
 
     def links(self) -> DataFrame:
         """Confirmed links between classes, enough of them to join every component."""
-        first = self.buckets.where("cls <> least").groupBy("cls").agg(F.min("least").alias("least"))
-        first = staged(self.estimated(first.select(F.col("least").alias("u"), F.col("cls").alias("v"))), "tried")
-        links, done = self.confirmed(first), first
-        for forest in (True, False):
-            more = staged(self.apart(links, done, forest), "tried")
-            done = done.union(more)
-            links = links.union(self.confirmed(more))
-        return links
+        star = self.buckets.where("cls <> least").groupBy("cls").agg(F.min("least").alias("least"))
+        star = staged(self.estimated(star.select(F.col("least").alias("u"), F.col("cls").alias("v"))), "star-pairs")
+        tied = staged(star.union(self.forest(star)), "tied-pairs")
+        families = staged(connected_components(tied).toDF("cls", "family"), "families")
+        texts = self.docs.select("doc_id", "text").join(maybe_broadcast(families.select(F.col("cls").alias("doc_id")), BROADCAST_IDS), "doc_id", "left_semi")
+        members = families.join(self.classes.select("cls", "n_shingles", "sketch"), "cls")
+        weight = members.groupBy("family").agg(F.count("*").alias("n"), F.sum("n_shingles").alias("total"))
+        rows = members.join(weight, "family").withColumn("blocks", F.ceil(F.greatest(F.col("n") / BLOCK, F.col("total") / BLOCK_SHINGLES)))
+        rows = rows.join(texts.mapInArrow(_set_rows, "cls long, shingles array<long>"), "cls")
+        rows = _in_blocks(rows, F.col("blocks"), F.xxhash64("cls")).select("family", "lo", "hi", "block", "cls", F.size("shingles").cast("long").alias("n_shingles"), "sketch", "shingles")
+        return staged(rows.groupBy("family", "lo", "hi").applyInPandas(_family_links(self.percent), "u long, v long"), "links")
 
     def result(self) -> DataFrame:
         """(doc_id, n_shingles, component_id, kept) of every document row."""
