@@ -118,22 +118,26 @@ class Matcher:
     """Hits of a lexicon in a slice of texts."""
 
     def __init__(self, lexicon: Lexicon):
-        self.lexicon, self.trie = lexicon, Trie(lexicon.terms)
+        self.lexicon = lexicon
         self.weights = np.array(lexicon.weights)
         self.known: dict[bytes, tuple[int, int] | None] = {}
-        whole, heads, tails = [], {}, {}
+        whole, halves, near = [], {}, {}
         for i, term in enumerate(lexicon.terms):
             data = term.encode()
             whole.append((data, i))
             if len(term) >= FUZZY_FROM:
                 cut = len(term[: len(term) // 2].encode())
-                heads.setdefault(cut, set()).add(data[:cut])
-                tails.setdefault(len(data) - cut, set()).add(data[cut:])
+                for side, half in ((0, data[:cut]), (1, data[cut:])):
+                    halves.setdefault((side, len(half), len(data)), set()).add(half)
+                    near.setdefault((side, half), []).append(i)
         self.exact = self._hashes([d for d, _ in whole])
         self.exact_term = np.array([i for _, i in whole], np.int64)[np.argsort(self.exact)]
         self.exact = np.sort(self.exact)
-        self.heads = {n: np.sort(self._hashes(s)) for n, s in heads.items()}
-        self.tails = {n: np.sort(self._hashes(s)) for n, s in tails.items()}
+        #: Hashes of term halves by side, length of the half and length of the term.
+        self.halves = {k: np.sort(self._hashes(s)) for k, s in sorted(halves.items())}
+        #: The tries of the terms that share a half.
+        self.tries = {k: (Trie([lexicon.terms[i] for i in held]), held) for k, held in near.items()}
+        self.cuts = sorted({(side, n) for side, n, _ in halves})
 
     @staticmethod
     def _hashes(items) -> np.ndarray:
@@ -149,13 +153,16 @@ class Matcher:
         return table[np.minimum(np.searchsorted(table, x), len(table) - 1)] == x
 
     def nearest(self, data: bytes) -> tuple[int, int] | None:
-        """(term, 1) of the weightiest term one edit from a word, or None."""
+        """(term, 1) of the weightiest term one edit from a word, or None: one edit leaves a half of the term as it is."""
         if data not in self.known:
             if len(self.known) > 300_000:
                 self.known.clear()
-            word = data.decode("utf-8", "ignore")
-            near = [t for t, e in self.trie.within(word) if e == 1 and len(self.lexicon.terms[t]) >= FUZZY_FROM]
-            self.known[data] = (max(near, key=lambda t: self.lexicon.weights[t]), 1) if near and word not in self.lexicon.ordinary else None
+            word, found = data.decode("utf-8", "ignore"), set()
+            for side, n in self.cuts:
+                if len(data) >= n and (held := self.tries.get((side, data[len(data) - n :] if side else data[:n]))):
+                    found.update(held[1][t] for t, e in held[0].within(word) if e == 1)
+            ok = found and word not in self.lexicon.ordinary
+            self.known[data] = (max(sorted(found), key=lambda t: self.lexicon.weights[t]), 1) if ok else None
         return self.known[data]
 
     def hits(self, buf: np.ndarray, off: np.ndarray):
@@ -172,12 +179,12 @@ class Matcher:
         exact = self.exact[at] == h
         size = end - start
         near = np.zeros(len(start), bool)
-        for n, held in self.heads.items():
-            i = np.flatnonzero((size >= n + 1) & ~exact & ~near)
-            near[i] = self._member(held, span_hash(prefix, start[i], start[i] + n))
-        for n, held in self.tails.items():
-            i = np.flatnonzero((size >= n + 1) & ~exact & ~near)
-            near[i] = self._member(held, span_hash(prefix, end[i] - n, end[i]))
+        by_size = np.argsort(size, kind="stable")
+        sizes = size[by_size]
+        for (side, n, whole), held in self.halves.items():  # an edit changes a term's bytes by two at most
+            i = by_size[np.searchsorted(sizes, max(n, whole - 2)) : np.searchsorted(sizes, whole + 2, "right")]
+            i = i[~near[i] & ~exact[i]]
+            near[i] = self._member(held, span_hash(prefix, end[i] - n, end[i]) if side else span_hash(prefix, start[i], start[i] + n))
         i = np.flatnonzero(near)
         words_ = [low[start[k] : end[k]].tobytes() for k in i]
         got = [self.nearest(w) for w in words_]
