@@ -22,7 +22,7 @@ from evenpick.plans.durable import ship_package
 
 SPACE_MARK = "▁"
 #: Chunks that a worker remembers in each of two generations (about 220 bytes each).
-CACHED_CHUNKS = 450_000
+CACHED_CHUNKS = 250_000
 _NEVER = 1 << 60
 
 

@@ -31,7 +31,7 @@ from evenpick.llm.textbits import U, bounded_slices, prefix_hash, span_hash, utf
 from evenpick.plans.durable import maybe_broadcast, ship_package, shuffle_width, staged
 
 LENGTH, ANCHOR = 200, 64
-SLICE, SLAB, SHARDS = 1_000_000, 1_500_000, 4
+SLICE, SLAB, SHARDS = 500_000, 1_500_000, 4
 BROADCAST_HASHES, BROADCAST_TEXTS = 1_000_000, 300_000
 _PLACE = U((1 << 28) - 1)
 

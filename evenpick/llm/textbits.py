@@ -8,7 +8,8 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-SLICE_BYTES = 2_000_000
+#: Bytes of text per slice; NumPy temporaries are some tens of times as large.
+SLICE_BYTES = 500_000
 U = np.uint64
 
 
