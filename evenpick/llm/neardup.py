@@ -100,7 +100,7 @@ def band_keys(sketches: np.ndarray, n: np.ndarray, similarity: float) -> tuple[n
     rows, keys = [], []
     for k, mine in enumerate(_schemes(n, similarity)):
         bands = WIDE_BANDS[k][1] if k < len(WIDE_BANDS) else FULL_BANDS
-        q = quads[mine].reshape(mine.sum(), bands, -1)
+        q = quads[mine].reshape(mine.sum(), bands, quads.shape[1] // bands)
         h = np.zeros(q.shape[:2], U)
         for j in range(q.shape[2]):
             h = mix64(h * U(3) + q[:, :, j])
