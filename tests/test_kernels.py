@@ -88,7 +88,6 @@ def test_metrics_are_metrics(name):
     x = (rng.random((12, 6)) < 0.5).astype(float) if name in ("jaccard", "hamming", "inversions") else rng.normal(size=(12, 6))
     d = METRICS[name].block(x, x)
     assert np.allclose(d, d.T) and np.allclose(np.diag(d), 0, atol=1e-7)
-    assert (d[:, None, :] + d[None, :, :].transpose(0, 2, 1).transpose(0, 2, 1) >= 0).all()
     for a in range(12):
         assert (d[a][None, :] <= d[a][:, None] + d + 1e-9).all()
 
