@@ -23,6 +23,8 @@ def bounded_slices(batches, column: str = "text", limit: int = SLICE_BYTES) -> I
         cuts = np.flatnonzero(np.diff(part)) + 1
         for a, b in zip([0, *cuts], [*cuts, batch.num_rows]):
             yield batch.slice(int(a), int(b - a))
+        del batch, sizes, part
+        pa.default_memory_pool().release_unused()
 
 
 def utf8_buffer(array: pa.Array) -> tuple[np.ndarray, np.ndarray]:
