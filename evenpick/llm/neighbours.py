@@ -8,7 +8,7 @@ Index rows are dealt by (table, cell) and, where a cell is crowded, by a salt, s
 its best few of each dealt block before the blocks are merged.
 
 Defined results: vectors that are null, zero or hold null or non-finite components take no part; a query with fewer candidates than
-asked gets all that its cells hold; equal scores go to the smaller id; repeated rows are candidates of their own, but for the query's own id;
+asked gets all that its cells hold; equal scores go to the smaller id; rows that share an id are one candidate (the best of them);
 an empty table gives no rows; other columns are ignored.
 """
 
@@ -131,25 +131,22 @@ def _probe_rows(plan: ProbePlan):
     return run
 
 
-def exact_cosine(q: np.ndarray, c: np.ndarray) -> np.ndarray:
-    """Cosines of all pairs in double precision."""
-    return (q @ c.T) / (np.linalg.norm(q, axis=1)[:, None] * np.linalg.norm(c, axis=1)[None])
+def pair_cosine(q: np.ndarray, c: np.ndarray) -> np.ndarray:
+    """Cosine of each row of ``q`` with the same row of ``c``; the same two vectors give the same bits in any block."""
+    return (q * c).sum(1) / (np.sqrt((q * q).sum(1)) * np.sqrt((c * c).sum(1)))
 
 
 def best_of_block(query_ids, q, ids, c, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """For each query its ``k`` best of a block (ties to smaller ids), its own id left out."""
-    order = np.argsort(ids, kind="stable")
-    ids, c = ids[order], c[order]
-    score = exact_cosine(q, c)
-    score[query_ids[:, None] == ids[None]] = -np.inf
-    if len(ids) > 4 * k:
-        bar = np.partition(score, -k, 1)[:, -k]
-        r, j = np.nonzero(score >= bar[:, None])
-    else:
-        r, j = np.nonzero(np.isfinite(score))
-    s = score[r, j]
-    keep = np.isfinite(s)
-    r, j, s = r[keep], j[keep], s[keep]
+    """For each query its ``k`` best of a block (ties to smaller ids), its own id left out.
+
+    A matrix product finds all pairs that may be among them; their scores are then computed pair by pair.
+    """
+    score = (q @ c.T) / (np.linalg.norm(q, axis=1)[:, None] * np.linalg.norm(c, axis=1)[None])
+    own = query_ids[:, None] == ids[None]
+    score[own] = -2.0
+    bar = np.partition(score, -k, 1)[:, -k] if len(ids) > k else np.full(len(q), -2.0)
+    r, j = np.nonzero((score >= bar[:, None] - 1e-9) & ~own)
+    s = pair_cosine(q[r], c[j])
     o = np.lexsort((ids[j], -s, r))
     r, j, s = r[o], j[o], s[o]
     place = np.arange(len(r)) - np.searchsorted(r, r)
@@ -184,5 +181,5 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 5, plan: ProbePlan
     asked = probes.join(met, "cell").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1)))
     asked = asked.select("cell", "salt", "id").join(queries.select("id", "vec"), "id")
     found = asked.groupBy("cell", "salt").cogroup(dealt.groupBy("cell", "salt")).applyInPandas(_search_block(k), "query_id long, vec_id long, score double")
-    best = found.distinct().withColumn("rank", F.row_number().over(W.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")))
+    best = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score")).withColumn("rank", F.row_number().over(W.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")))
     return best.where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -133,11 +133,19 @@ class Pseudonyms:
         return "".join(reversed(out))
 
     def card(self, v: str) -> str | None:
-        d = re.sub(r"\D", "", v)
-        if luhn_digit(d[:-1]) != d[-1] or len(set(d)) == 1:
-            return None
-        body = self._digits("card", d[:-1])
-        return _spell(v, body + luhn_digit(body))
+        """Cards in a run of digit groups: from the left, the longest stretch of whole groups that validates, then on behind it."""
+        groups, out, at, i = [m.span() for m in re.finditer(r"\d+", v)], [], 0, 0
+        while i < len(groups):
+            for j in reversed(range(i, len(groups))):
+                start, stop = groups[i][0], groups[j][1]
+                d = re.sub(r"\D", "", v[start:stop])
+                if 13 <= len(d) <= 19 and luhn_digit(d[:-1]) == d[-1] and len(set(d)) > 1:
+                    body = self._digits("card", d[:-1])
+                    out += [v[at:start], _spell(v[start:stop], body + luhn_digit(body))]
+                    at, i = stop, j
+                    break
+            i += 1
+        return "".join(out) + v[at:] if out else None
 
     def date(self, v: str) -> str | None:
         for form, order in _DATE_FORMS:

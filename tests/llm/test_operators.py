@@ -218,6 +218,8 @@ def test_pseudonyms(spark, odd):
         assert gone not in new
     cards = re.findall(r"\d{16}|\d{4}-\d{4}-\d{4}-\d{4}", new)
     assert cards[0] == cards[1].replace("-", "") and pseudonym.luhn_digit(cards[0][:-1]) == cards[0][-1]
+    beside = on.replace("4845168114407329 12 and 7536784127813050 4845168114407329, 4845 1681 1440 7329 5")[0]
+    assert "4845" not in beside and "7536784127813050" not in beside and beside.endswith(" 5") and " 12 and " in beside
     assert pseudonym.Pseudonyms(b"other").replace(text)[0] != new
     out = {x.doc_id: x for x in pseudonym.pseudonymise(odd.withColumn("counts", F.lit(1)), "k", counts="counts").collect()}
     assert all(out[i].text == t for i, t in enumerate(odd_texts())) and out[0].text is None
