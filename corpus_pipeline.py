@@ -24,7 +24,7 @@ def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group; documents without an id cannot be grouped and stay."""
+    """One document of each group (five-word shingles, similarity 0.8 or more); documents without an id cannot be grouped and stay."""
     gone = neardup.near_duplicates(docs).where(F.col("doc_id").isNotNull() & ~F.col("kept")).select("doc_id").distinct()
     return docs.join(maybe_broadcast(staged(gone, "gone"), BROADCAST_IDS), "doc_id", "left_anti").select(docs.columns)
 

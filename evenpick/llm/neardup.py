@@ -29,8 +29,10 @@ from evenpick.plans.durable import maybe_broadcast, ship_package, staged
 SHINGLE_WORDS, BUCKET_BITS, MANTISSA_BITS = 5, 7, 10
 BUCKETS = 1 << BUCKET_BITS
 #: Set sizes up to which 8 or 16 wide bands are used (more bands than set elements that may differ); 32 bands beyond.
-WIDE_BANDS = ((22, 8), (90, 16))
+WIDE_BANDS = ((22, 8), (45, 16))
 FULL_BANDS = 32
+#: How far an estimate may lie below the asked similarity: for sets up to 200 shingles, and for larger ones.
+SMALL_SET, SLACK_SMALL, SLACK = 200, 0.25, 0.18
 #: Most members, and shingles, of a block that is compared within itself or with another.
 BLOCK, BLOCK_SHINGLES = 1500, 2_000_000
 BROADCAST_IDS = 300_000
@@ -137,7 +139,7 @@ def _band_rows(similarity: float):
 
 def _floor(n: np.ndarray, similarity: float) -> np.ndarray:
     """Estimates below this cannot come from a linked pair but with negligible chance (small sets have coarser estimates)."""
-    return np.where(n <= WIDE_BANDS[-1][0], similarity - 0.25, similarity - 0.15)
+    return np.where(n <= SMALL_SET, similarity - SLACK_SMALL, similarity - SLACK)
 
 
 def _estimated(similarity: float):
@@ -244,7 +246,7 @@ def _in_blocks(rows: DataFrame, blocks: Column, spread: Column) -> DataFrame:
 class NearDuplicates:
     """The stages of one run over a document table."""
 
-    def __init__(self, docs: DataFrame, percent: int = 85):
+    def __init__(self, docs: DataFrame, percent: int = 80):
         ship_package(docs.sparkSession)
         self.docs, self.percent, self.similarity = docs, percent, percent / 100
         rows = docs.select("doc_id", "text").mapInArrow(_sketch_rows, "doc_id long, n_shingles long, print binary, sketch binary")
@@ -297,6 +299,6 @@ class NearDuplicates:
         return out.select("doc_id", "n_shingles", component.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(False)))
 
 
-def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
+def near_duplicates(docs: DataFrame, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept): groups of documents whose shingle sets have a Jaccard similarity of ``percent``/100 or more."""
     return NearDuplicates(docs, percent).result()

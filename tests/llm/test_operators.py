@@ -250,19 +250,20 @@ def brute_groups(texts, percent=85):
     return [len(s) for s in sets], [find(i) for i in range(len(sets))]
 
 
-def test_near_duplicates_match_brute_force(spark):
+@pytest.mark.parametrize("percent", [80, 85])
+def test_near_duplicates_match_brute_force(spark, percent):
     r = random.Random(7)
     texts = list(odd_texts())
     for size in (3, 5, 8, 12, 20, 45, 90, 200, 600):
         for _ in range(4):
             base = [f"w{r.randrange(5000)}" for _ in range(size)]
-            for edits in (0, 0, 1, 1, 2, size // 30, size // 25):
+            for edits in (0, 0, 1, 1, 2, size // 40, size // 30, size // 25):
                 w = list(base)
                 for _ in range(edits):
                     w[r.randrange(size)] = f"e{r.randrange(9999)}"
                 texts.append(" ".join(w) if r.random() < 0.5 else "  ".join(w).upper())
-    sizes, groups = brute_groups(texts)
-    got = {x.doc_id: x for x in neardup.near_duplicates(docs_of(spark, texts)).collect()}
+    sizes, groups = brute_groups(texts, percent)
+    got = {x.doc_id: x for x in neardup.near_duplicates(docs_of(spark, texts), percent).collect()}
     assert [got[i].n_shingles for i in range(len(texts))] == sizes
     assert [got[i].component_id for i in range(len(texts))] == groups
     assert all(got[i].kept == (groups[i] == i) for i in range(len(texts)))
