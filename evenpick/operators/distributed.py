@@ -17,7 +17,7 @@ from evenpick.functions import kernels
 from evenpick.functions.kernels import BudgetNet, Net, farthest_first, net_from_assignment
 from evenpick.functions.metrics import Metric, metric
 from evenpick.functions.solver import check_caps
-from evenpick.operators.frames import NET, SUMMARY, matrix, net_of, net_rows, per_shard, shard_points
+from evenpick.operators.frames import NET, SUMMARY, matrix, net_of, net_rows, per_shard, shard_points, shards_for
 from evenpick.operators.nets import solve_on_net
 from evenpick.plans.durable import ship_package, staged
 
@@ -75,7 +75,7 @@ def coordinator_net(summaries: DataFrame, eps_bar: float, m: Metric | str = "l1"
     radii = [2 * eps_bar * most] if levels == 1 else [eps_bar * most / 2 ** (levels - 1 - i) for i in range(levels)]
     rank = summaries.select("shard", "net_id", "vec", "grp", "groups", "reps").withColumn("place", F.col("net_id"))
     for i, radius in enumerate(radii):
-        bucket = F.lit(0).cast("long") if i == levels - 1 else F.floor(F.col("shard") / fan_in)
+        bucket = F.lit(0).cast("long") if i == levels - 1 else F.floor(F.col("shard") / fan_in).cast("long")
 
         rank = rank.withColumn("bucket", bucket).groupBy("bucket").applyInPandas(_fold(radius, name, reps), f"shard long, {NET}, place long")
     return rank.select("net_id", "vec", "grp", "groups", "reps")
@@ -112,22 +112,29 @@ def budget_tree(summaries: DataFrame, budget: int, m: Metric | str = "l1", fan_i
     return reps.groupBy("bucket").applyInPandas(run, SUMMARY)
 
 
-def distributed_fair_centers(points: DataFrame, caps: Mapping[int, int], eps: float = 1.0, shards: int = 10, m: Metric | str = "l1", how: str = "hash", solver="static", levels: int = 1, fill: str = "none") -> DataFrame:
-    """CENTER within 3(1 + eps) of the optimum, in one communication round."""
+def distributed_fair_centers(points: DataFrame, caps: Mapping[int, int], eps: float = 1.0, shards: int | None = 10, m: Metric | str = "l1", how: str = "hash", solver="static", levels: int | None = None, fill: str = "none") -> DataFrame:
+    """CENTER within 3(1 + eps) of the optimum, in one communication round.
+
+    ``shards=None`` sizes the shards by the data; ``levels=None`` adds merge levels as the shards grow past ``FAN_IN``.
+    """
     caps = check_caps(caps)
+    shards = shards_for(points, shards)
+    while levels is None or FAN_IN**levels < shards:
+        levels = (levels or 0) + 1
     nets = staged(worker_net(points, sum(caps.values()), eps / 3, shards, m, how), "worker-nets")
     return solve_on_net(coordinator_net(nets, eps / 3, m, levels), caps, solver, m, fill=fill)
 
 
 def distributed_fair_centers_budget(
-    points: DataFrame, caps: Mapping[int, int], budget: int = 24, shards: int = 10, m: Metric | str = "l1", how: str = "hash", located: str = "rep",
+    points: DataFrame, caps: Mapping[int, int], budget: int = 24, shards: int | None = 10, m: Metric | str = "l1", how: str = "hash", located: str = "rep",
     worker: str = "buffered", budget_total: int | None = None, solver="static", fill: str = "none", merge_above: int = 1_000_000,
 ) -> DataFrame:
     """CENTER from ``budget`` greedy centers per shard (or ``budget_total`` over all), solved on the real representatives.
 
-    If the workers send more than ``merge_above`` representatives, groups of workers are merged first.
+    ``shards=None`` sizes the shards by the data; ``worker='single_scan'`` needs no shards at all. If the workers send more than ``merge_above`` representatives, groups of workers are merged first.
     """
     caps = check_caps(caps)
+    shards = shards_for(points, shards)
     if budget_total:
         budget = max(1, budget_total // shards)
     sent = worker_scan(points, budget, m) if worker == "single_scan" else worker_budget(points, budget, shards, m, how)

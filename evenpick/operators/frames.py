@@ -18,6 +18,8 @@ SUMMARY = f"shard long, r_t double, n_t long, {NET}"
 CENTER = "rank int, point_id long, grp int, vec array<double>"
 #: Most groups whose bits fit one long.
 MAX_GROUPS = 62
+#: Vector components that a worker buffers per shard when the number of shards is left open (200 MB of doubles).
+SHARD_VALUES = 25_000_000
 #: Most rows that a solver takes to the driver.
 DRIVER_ROWS = 2_000_000
 
@@ -80,6 +82,14 @@ def centers_frame(spark: SparkSession, ids, grps, vecs) -> DataFrame:
     return spark.createDataFrame(rows, CENTER)
 
 
+def shards_for(points: DataFrame, shards: int | None, values: int = SHARD_VALUES) -> int:
+    """``shards`` as given, or (None) so many that a buffered shard holds at most ``values`` vector components."""
+    if shards:
+        return shards
+    n, d = points.agg(F.count("*"), F.max(F.size("vec"))).first()
+    return max(1, -(-n * (d or 1) // values))
+
+
 def shard_points(points: DataFrame, shards: int, how: str = "hash") -> DataFrame:
     """A ``shard`` column: 'hash' of the id, or its 'modulo' (for references that cannot hash alike)."""
     key = F.xxhash64("point_id") if how == "hash" else F.col("point_id")

@@ -73,6 +73,8 @@ def test_levels_and_scaling(spark, sf):
     pts = src.cust2d(spark, sf)
     c = distributed.distributed_fair_centers(pts, FIVE_TWO, 1.0, 8, levels=2)
     assert all(r.fits for r in measures.feasibility(c, FIVE_TWO).collect())
+    open_ = distributed.distributed_fair_centers(pts, FIVE_TWO, 1.0, None)
+    assert all(r.fits for r in measures.feasibility(open_, FIVE_TWO).collect())
     big = pts.withColumn("vec", F.transform("vec", lambda x: x * 4))
     d = distributed.distributed_fair_centers_budget(pts, FIVE_TWO, 24, 4)
     e = distributed.distributed_fair_centers_budget(big, FIVE_TWO, 24, 4)
