@@ -7,7 +7,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evenpick.functions.kernels import farthest_first
+from evenpick.functions.kernels import farthest_first, farthest_first_pruned
 from evenpick.functions.metrics import UNROLL_TERMS, Metric, metric
 from evenpick.operators.frames import arrays, per_shard, shard_points, to_driver
 from evenpick.plans.durable import checkpointed, ship_package
@@ -102,3 +102,14 @@ def farthest_first_per_shard(points: DataFrame, k: int, shards: int, m: Metric |
         return pd.DataFrame({"shard": shard, "rank": np.arange(len(p), dtype=np.int32), "point_id": ids[p], "delta": delta, "radius": radius})
 
     return per_shard(shard_points(points, shards, how), run, PIVOT)
+
+
+def distance_evaluations(points: DataFrame, k: int, shards: int, m: Metric | str = "l1", how: str = "hash") -> DataFrame:
+    """(shard, plain, pruned): distance evaluations of the greedy worker, and with pivots skipped by the triangle inequality."""
+    name = metric(m).name
+
+    def run(shard, x, ids, grp):
+        p, *_, pruned = farthest_first_pruned(x, k, name)
+        return pd.DataFrame({"shard": [shard], "plain": [len(x) * len(p)], "pruned": [pruned]})
+
+    return per_shard(shard_points(points, shards, how), run, "shard long, plain long, pruned long")

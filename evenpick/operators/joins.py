@@ -51,3 +51,25 @@ def in_force(reports: DataFrame, versions: DataFrame, at: str = "n_seen") -> Dat
     b = versions.select(at, F.lit(0).alias("__r"), *keys)
     w = W.orderBy(at, "__r").rowsBetween(W.unboundedPreceding, 0)
     return a.unionByName(b).select(at, "__r", *[F.last(c, ignorenulls=True).over(w).alias(c) for c in keys]).where("__r = 1").drop("__r")
+
+
+def nearest_centers(points: DataFrame, centers: DataFrame | list[list[float]], j: int, m: Metric | str = "l1") -> DataFrame:
+    """(point_id, place, center, dist): each point's ``j`` nearest centers, ties to the earlier center. One scan, rows expanded in place."""
+    c = centers if isinstance(centers, list) else center_vectors(centers)
+    m = metric(m)
+    each = F.array(*[F.struct(m.to_point(F.col("vec"), v).alias("dist"), F.lit(i).alias("center")) for i, v in enumerate(c)])
+    top = F.slice(F.array_sort(each), 1, j)
+    return points.select("point_id", F.posexplode(top).alias("place", "c")).select("point_id", "place", "c.center", "c.dist")
+
+
+def farthest_points(points: DataFrame, centers: DataFrame | list[list[float]], n: int, m: Metric | str = "l1") -> DataFrame:
+    """The ``n`` points farthest from their nearest center (a top-n report; each task keeps n rows)."""
+    return assign_nearest(points, centers, m).orderBy(F.col("dist").desc(), "point_id").limit(n).select("point_id", "center", "dist")
+
+
+def partition_check(points: DataFrame, shards: DataFrame) -> DataFrame:
+    """One row: whether ``shards`` (with ``point_id``) hold exactly the points, each once."""
+    twice = shards.groupBy("point_id").count().where("count > 1").agg(F.count("*").alias("twice"))
+    lost = points.join(shards, "point_id", "left_anti").agg(F.count("*").alias("lost"))
+    extra = shards.join(points, "point_id", "left_anti").agg(F.count("*").alias("extra"))
+    return twice.crossJoin(lost).crossJoin(extra)

@@ -127,3 +127,16 @@ def timed(run: Callable, repeats: int = 3) -> tuple[object, float]:
         out = run()
         total += time.perf_counter() - at
     return out, total / repeats
+
+
+def distance_profile(points: DataFrame, centers: DataFrame | list[list[float]], m: Metric | str = "l1", levels=(0.5, 0.9, 0.99)) -> DataFrame:
+    """One row of exact percentiles of the distance to the nearest center, and its maximum (the cost)."""
+    c = centers if isinstance(centers, list) else center_vectors(centers)
+    d = with_distance(points, c, m, "__d")
+    return d.agg(*[F.percentile("__d", F.lit(p)).alias(f"p{int(p * 100)}") for p in levels], F.max("__d").alias("cost"))
+
+
+def points_sent(summaries: DataFrame) -> DataFrame:
+    """What workers send: shards, net points, representatives, and the most of one shard."""
+    per = summaries.groupBy("shard").agg(F.count("*").alias("n"), F.sum(F.size("reps")).alias("r"))
+    return per.agg(F.count("*").alias("shards"), F.sum("n").alias("net_points"), F.sum("r").alias("representatives"), F.max("r").alias("most_of_a_shard"))

@@ -14,7 +14,7 @@ from evenpick.functions.metrics import metric
 from evenpick.functions.solver import nearest_members, solve_static
 from evenpick.operators import baselines, distributed, joins, measures, nets, onepass, report, static
 from evenpick.operators.frames import arrays, centers_frame, to_driver
-from evenpick.operators.greedy import farthest_first_per_shard, farthest_first_rounds, with_distance
+from evenpick.operators.greedy import distance_evaluations, farthest_first_per_shard, farthest_first_rounds, with_distance
 from evenpick.plans.durable import shared_dir, staged
 from evenpick.sources import points as src
 from evenpick.sqlapi import register_sql
@@ -291,6 +291,83 @@ def ball_join_suppliers(spark, d):
     return rounded(joins.ball_join(src.cust2d(spark, d), centers, 0.5, 2), 6, "dist")
 
 
+@query
+def nearest_two_centers(spark, d):
+    pts = src.cust2d(spark, d)
+    return rounded(joins.nearest_centers(pts, anchors(pts), 2), 6, "dist")
+
+
+@query
+def farthest_customers(spark, d):
+    """A top-20 report of the worst served customers."""
+    pts = src.cust2d(spark, d)
+    return rounded(joins.farthest_points(pts, anchors(pts), 20), 6, "dist")
+
+
+@query
+def distance_profile(spark, d):
+    pts = src.cust2d(spark, d)
+    return rounded(measures.distance_profile(pts, anchors(pts)), 6, "p50", "p90", "p99", "cost")
+
+
+@query
+def partition_check(spark, d):
+    pts = src.cust2d(spark, d)
+    return joins.partition_check(pts, distributed.shard_points(pts, 10))
+
+
+@query
+def points_sent(spark, d):
+    """Representatives that 10 workers send for a total budget of 240."""
+    s = distributed.worker_budget(src.cust2d(spark, d), 24, 10, how="modulo")
+    n = src.load(spark, d, "customer").count()
+    return measures.points_sent(s).select(F.lit(n).alias("points"), (F.col("shards") == 10).alias("all_shards"), (F.col("net_points") <= 240).alias("within_budget"), (F.col("most_of_a_shard") <= 24 * 5).alias("within_groups"))
+
+
+@query
+def distance_counters(spark, d):
+    """Distance evaluations of greedy workers, plain and pruned."""
+    return distance_evaluations(src.cust2d(spark, d), 24, 4, how="modulo")
+
+
+@query
+def cost_bound_check(spark, d):
+    """The cost bound from the net alone holds: net cost plus twice the covering radius."""
+    pts = staged(src.cust2d(spark, d), "points")
+    net = staged(_net1(spark, d), "net")
+    c = staged(nets.solve_on_net(net, FIVE_TWO), "centers")
+    cover = nets.check_net(net, pts, 1.0, 1.0).first().covering
+    real = measures.cost(pts, c).first().cost
+    return spark.createDataFrame([(pts.count(), real <= measures.cost_bound(net, c, cover) + 1e-9)], "points long, bound_holds boolean")
+
+
+@query
+def solver_plugged_in(spark, d):
+    """The exact solver in place of the static one, on the net of the nations."""
+    pts, caps = staged(src.nation_points(spark, d), "nations"), dict.fromkeys(range(5), 1)
+    c = distributed.distributed_fair_centers(pts, caps, 1.0, 3, how="modulo", solver="exact")
+    return judged(pts, c, caps, 2, against=baselines.exact_fair_centers(pts, caps))
+
+
+@query
+def uniform_scaling(spark, d):
+    """The budgeted distributed method on the generated uniform set at growing sizes: seconds and cost."""
+    rows = []
+    for n in (5_000, 20_000, 80_000):
+        pts = src.uniform_points(spark, n, 50)
+        c, s = measures.timed(lambda pts=pts: measures.center_vectors(distributed.distributed_fair_centers_budget(pts, dict.fromkeys(range(4), 10), budget_total=800, shards=100)), 1)
+        rows.append((n, s, float(measures.cost(pts, c).first().cost)))
+    return spark.createDataFrame(rows, "points long, seconds double, cost double")
+
+
+@query
+def sliding_window_summaries(spark, d):
+    e = src.load(spark, d, "events")
+    pts = src.evt4(spark, d).join(e.select(F.col("event_id").alias("point_id"), "ts"), "point_id")
+    w = stream.window_summaries(pts, "ts", FIVE_TWO, "2 days", "1 day")
+    return w.groupBy("start", "stop").agg(F.count("*").alias("centers"))
+
+
 @query
 def representation_greedy(spark, d):
     """How plain k-center represents the segments."""
