@@ -60,6 +60,21 @@ def op4_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeats.remove_repeats(table(spark, sf_dir, "documents")).drop("runs")
 
 
+OP4_SQL = """
+WITH d AS (SELECT row_number() OVER () AS k, doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+w AS (SELECT k, j, md5_number(substr(h, 2 * j + 1, 400)) AS m FROM (SELECT k, h, unnest(range(0, greatest(len(h) // 2 - 199, 0))) AS j FROM d)),
+again AS (SELECT m FROM w GROUP BY m HAVING count(*) > 1),
+c AS (SELECT k, j, lag(j) OVER (PARTITION BY k ORDER BY j) AS p FROM w SEMI JOIN again USING (m)),
+g AS (SELECT k, j, count(*) FILTER (p IS NULL OR j > p + 200) OVER (PARTITION BY k ORDER BY j) AS g FROM c),
+span AS (SELECT k, min(j) AS a, max(j) + 200 AS z FROM g GROUP BY k, g),
+gap AS (SELECT k, coalesce(lag(z) OVER (PARTITION BY k ORDER BY a), 0) AS f, a AS t FROM span UNION ALL SELECT k, max(z), 1000000000 FROM span GROUP BY k),
+kept AS (SELECT k, string_agg(substr(h, 2 * f + 1, 2 * (t - f)), '' ORDER BY f) AS h FROM gap JOIN d USING (k) GROUP BY k),
+tot AS (SELECT k, sum(z - a) AS r, count(*) AS n FROM span GROUP BY k)
+SELECT doc_id, CAST(len(d.h) // 2 AS BIGINT) AS n_bytes, CAST(coalesce(r, 0) AS BIGINT) AS n_removed, coalesce(n, 0) AS n_spans, sha256(unhex(coalesce(kept.h, d.h))) AS kept_sha256
+FROM d LEFT JOIN tot USING (k) LEFT JOIN kept USING (k)
+"""
+
+
 def op5_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     out = pseudonym.pseudonymise(docs, PSEUDONYM_KEY, counts="replaced")
@@ -143,4 +158,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_top_products": op10_top_products,
 }
 
-ORACLES: dict[str, str] = {"op2_chat_format": OP2_SQL, "op7_near_duplicates": OP7_SQL, "op10_top_products": OP10_SQL}
+ORACLES: dict[str, str] = {"op2_chat_format": OP2_SQL, "op4_repeats": OP4_SQL, "op7_near_duplicates": OP7_SQL, "op10_top_products": OP10_SQL}
