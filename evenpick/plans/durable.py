@@ -33,11 +33,14 @@ def checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def staged(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` as Parquet into the shared folder and read it back (columnar, compressed lineage cut)."""
+def staged(df: DataFrame, label: str, codec: str | None = None) -> DataFrame:
+    """Write ``df`` as Parquet into the shared folder and read it back (columnar, compressed lineage cut).
+
+    ``codec`` trades the executors' native memory for disk ('zstd'); None is the session's own.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/staged/{label}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    (df.write.option("compression", codec) if codec else df.write).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
