@@ -17,12 +17,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from evenpick.llm.textbits import bounded_slices
+from evenpick.llm.textbits import MEMORIES, bounded_slices
 from evenpick.plans.durable import ship_package
 
 SPACE_MARK = "▁"
 #: Chunks that a worker remembers in each of two generations (about 220 bytes each).
-CACHED_CHUNKS = 250_000
+CACHED_CHUNKS = 180_000
 _NEVER = 1 << 60
 
 
@@ -96,7 +96,7 @@ class PieceCodec:
         import ahocorasick
         from sentencepiece import SentencePieceProcessor
 
-        self.table = table
+        self.table, self.key = table, hashlib.sha256(table.model).hexdigest()
         self.processor = SentencePieceProcessor(model_proto=table.model)
         self.automaton = ahocorasick.Automaton()
         for piece in table.split:
@@ -179,6 +179,9 @@ class PieceCodec:
         decimal = self.decimal
         return hashlib.sha256(",".join([decimal[i] for i in ids]).encode()).hexdigest()
 
+    def forget(self) -> None:
+        self.young, self.old, self.pairs = {}, {}, {}
+
     def decode(self, ids: list[int]) -> str:
         return self.processor.decode(ids) if ids else ""
 
@@ -191,6 +194,7 @@ def _codec(table: PieceTable) -> PieceCodec:
     key = hashlib.sha256(table.model).hexdigest()
     if key not in _CODECS:
         _CODECS[key] = PieceCodec(table)
+    MEMORIES[key] = _CODECS[key].forget
     return _CODECS[key]
 
 
@@ -217,7 +221,7 @@ def encode_documents(docs: DataFrame, model_path: str, text: str = "text", into:
 
     def run(batches):
         codec = _codec(shared.value)
-        for b in bounded_slices(batches, text):
+        for b in bounded_slices(batches, text, owner=codec.key):
             ids = [codec.encode(t) for t in b.column(at).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(ids, pa.list_(pa.int32()))], names=[*b.schema.names, into])
 
@@ -247,7 +251,7 @@ def piece_digest(docs: DataFrame, model_path: str) -> DataFrame:
 
     def run(batches):
         codec = _codec(shared.value)
-        for b in bounded_slices(batches):
+        for b in bounded_slices(batches, owner=codec.key):
             n, a, d = [], [], []
             for t in b.column(1).to_pylist():
                 ids = codec.encode(t)

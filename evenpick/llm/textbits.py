@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import gc
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -13,8 +14,20 @@ SLICE_BYTES = 500_000
 U = np.uint64
 
 
-def bounded_slices(batches, column: str = "text", limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
+#: What operators remember in this worker between tasks: owner -> how to forget it.
+MEMORIES: dict[str, Callable[[], None]] = {}
+
+
+def forget_others(owner: str | None = None) -> None:
+    """Workers serve one operator after the other: free what the others remember."""
+    for other in [o for o in MEMORIES if o != owner]:
+        MEMORIES.pop(other)()
+        gc.collect()
+
+
+def bounded_slices(batches, column: str = "text", limit: int = SLICE_BYTES, owner: str | None = None) -> Iterator[pa.RecordBatch]:
     """Cut record batches into slices of about ``limit`` bytes of text; a longer single text is a slice of its own."""
+    forget_others(owner)
     for batch in batches:
         if not batch.num_rows:
             continue
