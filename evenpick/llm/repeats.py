@@ -241,16 +241,16 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     copies = summary.groupBy("tid").agg(F.count("*").alias("copies"))
     long_rows = rows.where(F.col("n_bytes") >= LENGTH)
 
-    places = staged(long_rows.select("tid", "text").mapInArrow(_anchor_rows, "hash long, tid binary, place int"), "anchors")
+    places = staged(long_rows.select("tid", "text").mapInArrow(_anchor_rows, "hash long, tid binary, place int"), "anchors", "zstd")
     mark = F.xxhash64("tid", "place")
     twice = places.groupBy("hash").agg(F.min(mark).alias("a"), F.max(mark).alias("b")).where("a <> b").select("hash")
     twice = staged(twice, "anchors-twice")
     wanted = places.join(maybe_broadcast(twice, BROADCAST_HASHES), "hash").groupBy("tid").agg(F.sort_array(F.collect_set("place")).alias("places"))
-    wanted = staged(wanted, "anchor-places")
+    wanted = staged(wanted, "anchor-places", "zstd")
     some = long_rows.select("tid", "text").join(maybe_broadcast(wanted.select("tid"), BROADCAST_TEXTS), "tid", "left_semi")
-    texts = staged(some.groupBy("tid").agg(F.first("text").alias("text")).join(wanted, "tid").select("tid", "text", "places"), "anchor-texts")
+    texts = staged(some.groupBy("tid").agg(F.first("text").alias("text")).join(wanted, "tid").select("tid", "text", "places"), "anchor-texts", "zstd")
 
-    segs = staged(texts.mapInArrow(_segment_rows, "hash long, print binary, segment binary, tid binary, first int, more int"), "segments")
+    segs = staged(texts.mapInArrow(_segment_rows, "hash long, print binary, segment binary, tid binary, first int, more int"), "segments", "zstd")
     kinds = staged(segs.groupBy("hash", "print").agg(F.count("*").alias("n"), F.min(F.struct("tid", "first")).alias("one")), "segment-kinds")
     mixed = kinds.groupBy("hash").agg(F.count("*").alias("kinds")).where("kinds > 1").select("hash")
     unlike = kinds.join(mixed, "hash").select("hash", "print", "n", F.col("one.tid").alias("tid"), F.col("one.first").alias("first"))
