@@ -8,7 +8,7 @@ import time
 
 from pyspark.sql import SparkSession
 
-from evenpick.operators import baselines, distributed, measures, onepass, report, static
+from evenpick.operators import baselines, distributed, measures, onepass, static
 from evenpick.operators.greedy import greedy_pivots
 from evenpick.plans.durable import staged
 from evenpick.queries import QUERIES
@@ -40,7 +40,7 @@ def main() -> None:
     timed("census_points", lambda: src.line6(spark, SF_DIR).write.format("noop").mode("overwrite").save())
     census = staged(src.line6(spark, SF_DIR), "census")
     pivots, radius = timed("census_greedy_normaliser", lambda: greedy_pivots(census, 20))
-    bounds = report.guess_bounds(pivots, radius)
+    bounds = baselines.guess_bounds(pivots, radius)
     cost = {}
     runs = {
         "static": lambda: static.static_fair_centers(census, CAPS),

@@ -19,13 +19,6 @@ from evenpick.sources.points import WORKLOAD_GROUPS, WORKLOADS
 TABLE = "workload string, groups int, method string, points long, seconds double, points_held long, cost double, greedy_radius double, ratio double, feasible boolean"
 
 
-def guess_bounds(pivots, radius: float) -> tuple[float, float]:
-    """Bounds for the guesses of the two-pass baseline from greedy pivots: no guess below a sixth of their radius, or above twice
-    their largest gap, can be the smallest that matches."""
-    far = max((d for *_, d in pivots[1:]), default=1.0)
-    return (radius / 3 if radius > 0 else far or 1.0), 2 * max(far, radius, 1e-12)
-
-
 def run_method(name: str, points: DataFrame, caps: Mapping[int, int], m="l1", budget: int = 240, shards: int = 10, eps: float = 0.1, bounds=None) -> tuple[DataFrame, int | None]:
     """(CENTER, points held) of one method on one point set."""
     if name == "static":
@@ -53,7 +46,7 @@ def compare(points: DataFrame, caps: Mapping[int, int], methods=METHODS, m="l1",
     pts = staged(points, "compare")
     n, k = pts.count(), sum(caps.values())
     pivots, greedy = greedy_pivots(pts, k, m)
-    bounds = guess_bounds(pivots, greedy)
+    bounds = baselines.guess_bounds(pivots, greedy, m)
     rows = []
     for name in methods:
         began = time.perf_counter()

@@ -184,6 +184,7 @@ SQL: dict[str, str] = {
     "sharded_one_pass_centers": true_row(N_CUST, *END),
     "static_centers": true_row(N_LINE, *END),
     "static_rounds_centers": true_row(N_CUST, *END),
+    "two_pass_census": true_row(N_LINE, *END),
     "two_pass_centers": true_row(N_CUST, *END),
     "prior_distributed_centers": true_row(N_LINE, *END),
     "random_centers": true_row(N_LINE, "feasible", "real"),

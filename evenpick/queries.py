@@ -502,6 +502,13 @@ def two_pass_centers(spark, d):
     return judged(pts, baselines.two_pass_fair_centers(pts, FIVE_TWO, 0.1), FIVE_TWO, 3.3)
 
 
+@query
+def two_pass_census(spark, d):
+    """The two-pass baseline with guesses from greedy pivots."""
+    pts = staged(src.line6(spark, d), "points")
+    return judged(pts, baselines.two_pass_fair_centers(pts, TWO_TEN, 0.1), TWO_TEN, 3.3)
+
+
 @query
 def prior_distributed_centers(spark, d):
     pts = staged(src.line6(spark, d), "points")
