@@ -23,6 +23,8 @@ from evenpick.plans.durable import ship_package
 SPACE_MARK = "▁"
 #: Chunks that a worker remembers in each of two generations (about 220 bytes each).
 CACHED_CHUNKS = 180_000
+#: Pair tests that a worker keeps when it forgets its chunks.
+TESTED_PAIRS = 300_000
 _NEVER = 1 << 60
 
 
@@ -99,10 +101,11 @@ class PieceCodec:
         self.table, self.key = table, hashlib.sha256(table.model).hexdigest()
         self.processor = SentencePieceProcessor(model_proto=table.model)
         self.automaton = ahocorasick.Automaton()
+        #: With each token: its length, the tokens that may stand before it, and those that may not, as far as tested.
+        self.tested = 0
         for piece in table.split:
-            self.automaton.add_word(piece, piece)
+            self.automaton.add_word(piece, (piece, len(piece), {""}, set()))
         self.automaton.make_automaton()
-        self.pairs: dict[tuple[str, str], bool] = {}
         self.young: dict[str, tuple[int, ...]] = {}
         self.old: dict[str, tuple[int, ...]] = {}
         self.decimal = [str(i) for i in range(self.processor.get_piece_size())]
@@ -114,48 +117,50 @@ class PieceCodec:
         data = token.encode("utf-8", "surrogatepass")
         return [self.table.byte_ids[b] for b in data] if self.table.byte_ids else [self.table.unknown]
 
+    def _may_follow(self, before: str, token: str, good: set[str], bad: set[str]) -> bool:
+        """The pair test, remembered with the token; a character outside the vocabulary never merges."""
+        ok = before not in self.table.split or self.table.survives(before, token)
+        (good if ok else bad).add(before)
+        self.tested += 1
+        return ok
+
     def last_tokens(self, chunk: str) -> list[str]:
         """For each prefix, the last token of its encoding (a character outside the vocabulary stands for itself)."""
-        pairs, survives = self.pairs, self.table.survives
         last: list[str | None] = [None] * (len(chunk) + 1)
         last[0] = ""
-        for end, token in self.automaton.iter(chunk):
+        for end, (token, size, good, bad) in self.automaton.iter(chunk):
             end += 1
             if last[end] is not None:
                 continue
-            before = last[end - len(token)]
-            if before is None:  # the character before is outside the vocabulary
-                at = end - len(token)
-                while last[at] is None:
-                    at -= 1
-                for i in range(at + 1, end - len(token) + 1):
-                    last[i] = chunk[i - 1]
-                before = last[end - len(token)]
-            if before == "" or before not in self.table.split:
+            before = last[end - size]
+            if before in good:
                 last[end] = token
+            elif before in bad:
                 continue
-            key = (before, token)
-            ok = pairs.get(key)
-            if ok is None:
-                if len(pairs) > 400_000:
-                    pairs.clear()
-                ok = pairs[key] = survives(before, token)
-            if ok:
+            elif before is None:  # characters outside the vocabulary stand right before
+                at = end - size
+                while last[at] is None:
+                    at -= 1
+                last[at + 1 : end - size + 1] = chunk[at : end - size]
+                if self._may_follow(last[end - size], token, good, bad):
+                    last[end] = token
+            elif self._may_follow(before, token, good, bad):
                 last[end] = token
-        for i in range(1, len(chunk) + 1):
-            if last[i] is None:
-                last[i] = chunk[i - 1]
+        if None in last:
+            last = [chunk[i - 1] if t is None else t for i, t in enumerate(last)]
         return last
 
     def encode_chunk(self, chunk: str) -> tuple[int, ...]:
-        last, at, tokens = self.last_tokens(chunk), len(chunk), []
+        last, at, ids, tokens = self.last_tokens(chunk), len(chunk), self.table.ids, []
         while at:
-            tokens.append(last[at])
-            at -= len(last[at])
-        out: list[int] = []
-        for token in reversed(tokens):
-            out += self._ids(token)
-        return tuple(out)
+            token = last[at]
+            tokens.append(token)
+            at -= len(token)
+        tokens.reverse()
+        try:
+            return tuple([ids[t] for t in tokens])
+        except KeyError:
+            return tuple([i for t in tokens for i in self._ids(t)])
 
     def encode(self, text: str | None) -> list[int]:
         """Ids of a whole text."""
@@ -180,7 +185,12 @@ class PieceCodec:
         return hashlib.sha256(",".join([decimal[i] for i in ids]).encode()).hexdigest()
 
     def forget(self) -> None:
-        self.young, self.old, self.pairs = {}, {}, {}
+        self.young, self.old = {}, {}
+        if self.tested > TESTED_PAIRS:
+            for _, _, good, bad in self.automaton.values():
+                good.clear(), bad.clear()
+                good.add("")
+            self.tested = 0
 
     def decode(self, ids: list[int]) -> str:
         return self.processor.decode(ids) if ids else ""
