@@ -4,7 +4,8 @@ Validated values are mapped inside their own format by a keyed bijection, so equ
 no two values of a format collide. A bijection ``E`` alone may leave a value as it is; ``E^-1(E(x) + 1)`` is a bijection too and
 never does.
 
-Formats: payment cards (13 to 19 digits in any grouping by single spaces or hyphens, Luhn checked; the check digit is made anew), dates (ISO, and day and
+Formats: payment cards (13 to 19 digits in any grouping by single spaces or hyphens, alone or among other numbers, Luhn checked; the check
+digit is made anew; of valid stretches that overlap the first is taken, those in the usual grouping before others), dates (ISO, and day and
 month with ``/`` or ``.``, checked on the calendar; the pseudonym is a date of 1900-2099 in the same notation), social security numbers (3-2-4,
 valid areas), IPv4 addresses, phone numbers (with country code or area brackets), e-mail local parts, and hexadecimal secrets
 after a naming word. Digits that validate as none of these are left alone.
@@ -98,9 +99,11 @@ NUMERIC = re.compile(
     r"|(?P<ip>\d{1,3}(?:\.\d{1,3}){3})"
     r"|(?P<ssn>\d{3}-\d\d-\d{4})"
     r"|(?P<phone>\+\d{1,3}[ .-]?(?:\(\d{1,4}\)[ .-]?)?\d{2,4}(?:[ .-]\d{2,4}){1,4}|\(\d{3}\) ?\d{3}[ .-]\d{4}|\d{3}-\d{3}-\d{4})"
-    r"|(?P<card>\d(?:[ -]?\d){12,18})"
     r")(?![\w-]|[.]\d)"
 )
+#: Whole runs of digit groups, in which cards are looked for, and how cards are usually grouped.
+RUN = re.compile(r"(?<![\w.+-])\d(?:[ -]?\d){12,}(?![\w-]|[.]\d)")
+USUAL = re.compile(r"\d{13,19}|\d{4}([ -])\d{4}\1\d{4}\1\d{1,4}(?:\1\d{1,3})?|\d{4}([ -])\d{6}\2\d{4,5}")
 EMAIL = re.compile(r"([\w.%+'-]+)@([A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+)")
 SECRET = re.compile(r"(?i)(\b(?:token|secret|password|passwd|api[_-]?key|access[_-]?key|key)\b\s*[=:]\s*[\"']?)([0-9a-f]{24,})(?![0-9a-z])")
 _HINT = re.compile(r"[0-9@]")
@@ -133,19 +136,37 @@ class Pseudonyms:
         return "".join(reversed(out))
 
     def card(self, v: str) -> str | None:
-        """Cards in a run of digit groups: from the left, the longest stretch of whole groups that validates, then on behind it."""
-        groups, out, at, i = [m.span() for m in re.finditer(r"\d+", v)], [], 0, 0
-        while i < len(groups):
-            for j in reversed(range(i, len(groups))):
-                start, stop = groups[i][0], groups[j][1]
-                d = re.sub(r"\D", "", v[start:stop])
-                if 13 <= len(d) <= 19 and luhn_digit(d[:-1]) == d[-1] and len(set(d)) > 1:
-                    body = self._digits("card", d[:-1])
-                    out += [v[at:start], _spell(v[start:stop], body + luhn_digit(body))]
-                    at, i = stop, j
-                    break
-            i += 1
-        return "".join(out) + v[at:] if out else None
+        d = re.sub(r"\D", "", v)
+        if not (13 <= len(d) <= 19 and luhn_digit(d[:-1]) == d[-1] and len(set(d)) > 1):
+            return None
+        body = self._digits("card", d[:-1])
+        return _spell(v, body + luhn_digit(body))
+
+    def cards(self, text: str, start: int, end: int, usual: bool) -> list[tuple[int, int, str, str]]:
+        """Cards in the runs of a part of a text: from the left, the longest stretch of whole groups that validates, then on behind it.
+
+        With ``usual``, only stretches grouped as cards are, which no hyphen ties to a neighbour.
+        """
+        out = []
+        for run in RUN.finditer(text, start, end):
+            whole, i = run[0], 0
+            groups = [m.span() for m in re.finditer(r"\d+", whole)]
+            while i < len(groups):
+                a, size, stops = groups[i][0], 0, []
+                for j in range(i, len(groups)):
+                    size += groups[j][1] - groups[j][0]
+                    if size > 19:
+                        break
+                    if size >= 13:
+                        stops.append((j, groups[j][1]))
+                for j, b in reversed(stops):
+                    v, tied = whole[a:b], "-" in (whole[a - 1 : a], whole[b : b + 1])
+                    if (not usual or not tied and USUAL.fullmatch(v)) and (new := self.card(v)) is not None:
+                        out.append((run.start() + a, run.start() + b, "card", new))
+                        i = j
+                        break
+                i += 1
+        return out
 
     def date(self, v: str) -> str | None:
         for form, order in _DATE_FORMS:
@@ -192,6 +213,25 @@ class Pseudonyms:
     def secret(self, m: re.Match) -> str:
         return m[1] + self._letters("secret", m[2], HEX[m[2] != m[2].lower() :])
 
+    def others(self, text: str, start: int, end: int) -> list[tuple[int, int, str, str]]:
+        """Dates, addresses, social security and phone numbers in a part of a text."""
+        out = []
+        for m in NUMERIC.finditer(text, start, end):
+            kind = m.lastgroup
+            new = getattr(self, kind)(m[0]) if kind in self.kinds else None
+            if new is not None:
+                out.append((m.start(), m.end(), kind, new))
+        return out
+
+    def numbers(self, text: str) -> list[tuple[int, int, str, str]]:
+        """Cards in their usual grouping first, then the other kinds in what is left, then cards in any grouping."""
+        found: list[tuple[int, int, str, str]] = []
+        cards = "card" in self.kinds and RUN.search(text)
+        for look in (lambda *part: self.cards(*part, True) if cards else [], self.others, lambda *part: self.cards(*part, False) if cards else []):
+            edges = [0, *(x for start, end, *_ in found for x in (start, end)), len(text)]
+            found = sorted(found + [f for part in zip(edges[::2], edges[1::2]) for f in look(text, *part)])
+        return found
+
     def replace(self, text: str | None) -> tuple[str | None, dict[str, int]]:
         """The text with its values replaced, and how many of each kind."""
         counts: dict[str, int] = {}
@@ -202,11 +242,7 @@ class Pseudonyms:
             done += [(m.start(), m.end(), "email", self.email(m)) for m in EMAIL.finditer(text)]
         if "secret" in self.kinds:
             done += [(m.start(), m.end(), "secret", self.secret(m)) for m in SECRET.finditer(text)]
-        for m in NUMERIC.finditer(text):
-            kind = m.lastgroup
-            new = getattr(self, kind)(m[0]) if kind in self.kinds else None
-            if new is not None:
-                done.append((m.start(), m.end(), kind, new))
+        done += self.numbers(text)
         out, at = [], 0
         for start, end, kind, new in sorted(done):
             if start >= at:

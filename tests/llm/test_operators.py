@@ -226,6 +226,26 @@ def test_pseudonyms(spark, odd):
     assert pseudonym.pseudonymise(odd.limit(0), "k").count() == 0
 
 
+def test_cards_behind_other_numbers():
+    on, off = pseudonym.Pseudonyms(b"k"), pseudonym.Pseudonyms(b"k", by=-1)
+    card = "4845 1681 1440 7329"
+    alone = on.replace(card)[0]
+    assert alone != card
+    for front in ("2024 ", "12345678 ", "2024 17 ", "12345678 2024 ", "9807915762804490 ", "2024-02-30 ", "12-"):
+        for tail in ("", " 5", " 2024", ", 12"):
+            new, counts = on.replace(front + card + tail)
+            if "-" not in front:
+                assert counts == {"card": 1} and new == front + alone + tail, (front, tail)
+            assert "4845 1681" not in new
+    text = f"2024 {card} 2024-02-29 4845168114407329 123-45-6789"
+    new, counts = on.replace(text)
+    assert counts == {"card": 2, "date": 1, "ssn": 1} and off.replace(new)[0] == text
+    assert new.startswith(f"2024 {alone} ") and alone.replace(" ", "") == new.split()[6]
+    call = on.replace(f"+1 (017) 555-7713 {card}")[0]
+    assert call.endswith(alone) and call.startswith(on.replace("+1 (017) 555-7713")[0])
+    assert on.replace("7 " * 50_000)[0] == "7 " * 50_000
+
+
 # -- near duplicates ------------------------------------------------------------------------------------------------------------
 
 
