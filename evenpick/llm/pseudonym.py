@@ -5,9 +5,11 @@ no two values of a format collide. A bijection ``E`` alone may leave a value as
 never does.
 
 Formats: payment cards (13 to 19 digits in any grouping by single spaces or hyphens, alone or among other numbers, Luhn checked; the check
-digit is made anew; of valid stretches that overlap the first is taken, those in the usual grouping before others), dates (ISO, and day and
-month with ``/`` or ``.``, checked on the calendar; the pseudonym is a date of 1900-2099 in the same notation), social security numbers (3-2-4,
-valid areas), IPv4 addresses, phone numbers (with country code or area brackets), e-mail local parts, and hexadecimal secrets
+digit is made anew; of valid stretches that overlap the first is taken, those in the usual grouping before others), dates (ISO, also
+before a time, and day and month with ``/`` or ``.``, checked on the calendar; the pseudonym is a date of 1900-2099 in the same notation; a
+date that is none day first is read month first, and its pseudonym is of that sort again), social security numbers (3-2-4,
+valid areas), IPv4 addresses, phone numbers (with country code or area
+brackets; of at most 15 digits, or as many as the country's plan fixes: what follows is no part of them), e-mail local parts, and hexadecimal secrets
 after a naming word. Digits that validate as none of these are left alone.
 
 Defined results: null stays null, empty stays empty; documents without such values come back unchanged; whole texts are read;
@@ -20,7 +22,8 @@ import datetime as dt
 import hashlib
 import hmac
 import re
-from functools import lru_cache
+from bisect import bisect_left
+from functools import cache, lru_cache
 from math import isqrt, prod
 
 import pyarrow as pa
@@ -91,15 +94,24 @@ ALPHABETS = ("0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUV
 HEX = ("0123456789abcdef", "0123456789ABCDEF")
 _DATE_FORMS = ((re.compile(r"(\d{4})-(\d\d)-(\d\d)"), "ymd"), (re.compile(r"(\d\d)([/.])(\d\d)\2(\d{4})"), "dmy"))
 _EPOCH, _DAYS = dt.date(1900, 1, 1).toordinal(), dt.date(2100, 1, 1).toordinal() - dt.date(1900, 1, 1).toordinal()
+#: Digits behind the country code where a numbering plan fixes them (ITU-T E.164), and most digits of a number with its country code.
+NATIONAL, PHONE_DIGITS = {"1": 10, "7": 10, "33": 9, "34": 9, "44": 10, "91": 10}, 15
+
+
+@cache
+def _late_days() -> list[int]:
+    """Days since the epoch whose day of the month is over 12: written month first, they are no dates day first."""
+    return [i for i in range(_DAYS) if dt.date.fromordinal(_EPOCH + i).day > 12]
+
 
 #: Candidate values that start with a digit, "+" or "(".
 NUMERIC = re.compile(
-    r"(?<![\w.+-])(?:"
+    r"(?<![\w.+-])(?:(?P<stamp>\d{4}-\d\d-\d\d)(?=[Tt]\d\d)|(?:"
     r"(?P<date>\d{4}-\d\d-\d\d|\d\d[/.]\d\d[/.]\d{4})"
     r"|(?P<ip>\d{1,3}(?:\.\d{1,3}){3})"
     r"|(?P<ssn>\d{3}-\d\d-\d{4})"
     r"|(?P<phone>\+\d{1,3}[ .-]?(?:\(\d{1,4}\)[ .-]?)?\d{2,4}(?:[ .-]\d{2,4}){1,4}|\(\d{3}\) ?\d{3}[ .-]\d{4}|\d{3}-\d{3}-\d{4})"
-    r")(?![\w-]|[.]\d)"
+    r")(?![\w-]|[.]\d))"
 )
 #: Whole runs of digit groups, in which cards are looked for, and how cards are usually grouped.
 RUN = re.compile(r"(?<![\w.+-])\d(?:[ -]?\d){12,}(?![\w-]|[.]\d)")
@@ -171,13 +183,18 @@ class Pseudonyms:
     def date(self, v: str) -> str | None:
         for form, order in _DATE_FORMS:
             if m := form.fullmatch(v):
-                y, mo, d = (m[1], m[2], m[3]) if order == "ymd" else (m[4], m[3], m[1])
+                y, mo, d = (int(x) for x in ((m[1], m[2], m[3]) if order == "ymd" else (m[4], m[3], m[1])))
+                late = order == "dmy" and mo > 12 >= d
                 try:
-                    day = dt.date(int(y), int(mo), int(d)).toordinal() - _EPOCH
+                    day = dt.date(y, d if late else mo, mo if late else d).toordinal() - _EPOCH
                 except ValueError:
                     return None
                 if not 0 <= day < _DAYS:
                     return None
+                if late:
+                    days = _late_days()
+                    new = dt.date.fromordinal(_EPOCH + days[self.net("late", len(days)).shift(bisect_left(days, day), self.by)])
+                    return f"{new.month:02d}{m[2]}{new.day:02d}{m[2]}{new.year:04d}"
                 new = dt.date.fromordinal(_EPOCH + self.net("date", _DAYS).shift(day, self.by))
                 return new.isoformat() if order == "ymd" else f"{new.day:02d}{m[2]}{new.month:02d}{m[2]}{new.year:04d}"
         return None
@@ -199,6 +216,29 @@ class Pseudonyms:
         x = self.net("ip", 1 << 32).shift(sum(int(p) << 8 * (3 - i) for i, p in enumerate(parts)), self.by)
         return ".".join(str(x >> 8 * i & 255) for i in (3, 2, 1, 0))
 
+    def phone_end(self, text: str, start: int, end: int) -> int:
+        """Where a number ends whose form may take in groups behind it.
+
+        Behind a group that a space follows: as soon as it has the digits of its country's plan, or a value of another kind comes next;
+        else behind the last group up to which it has 6 to 14 digits (``PHONE_DIGITS`` with the country code).
+        """
+        v = text[start:end]
+        head = re.match(r"\+\d{1,3}(?!\d)|", v)[0]
+        code, digits, last = head[1:], 0, end
+        for g in re.finditer(r"\d+", v[len(head) :]):
+            digits += len(g[0])
+            at = start + len(head) + g.end()
+            if digits > min(14, PHONE_DIGITS - len(code)):
+                break
+            if digits < 6:
+                continue
+            last = at
+            if text[at : at + 1] == " ":
+                n = NUMERIC.match(text, at + 1)
+                if digits == NATIONAL.get(code) or n and n.lastgroup != "phone" and self._value(n) is not None:
+                    break
+        return last
+
     def phone(self, v: str) -> str | None:
         head = re.match(r"\+\d{1,3}(?!\d)|", v)[0]
         rest = v[len(head) :]
@@ -213,14 +253,22 @@ class Pseudonyms:
     def secret(self, m: re.Match) -> str:
         return m[1] + self._letters("secret", m[2], HEX[m[2] != m[2].lower() :])
 
+    def _value(self, m: re.Match) -> str | None:
+        return getattr(self, "date" if m.lastgroup == "stamp" else m.lastgroup)(m[0])
+
     def others(self, text: str, start: int, end: int) -> list[tuple[int, int, str, str]]:
         """Dates, addresses, social security and phone numbers in a part of a text."""
-        out = []
-        for m in NUMERIC.finditer(text, start, end):
-            kind = m.lastgroup
-            new = getattr(self, kind)(m[0]) if kind in self.kinds else None
-            if new is not None:
-                out.append((m.start(), m.end(), kind, new))
+        out, at = [], start
+        while m := NUMERIC.search(text, at, end):
+            kind, at = "date" if m.lastgroup == "stamp" else m.lastgroup, m.end()
+            if kind in self.kinds:
+                if kind == "phone":
+                    at = self.phone_end(text, m.start(), at)
+                    new = self.phone(text[m.start() : at])
+                else:
+                    new = self._value(m)
+                if new is not None:
+                    out.append((m.start(), at, kind, new))
         return out
 
     def numbers(self, text: str) -> list[tuple[int, int, str, str]]:

@@ -246,6 +246,38 @@ def test_cards_behind_other_numbers():
     assert on.replace("7 " * 50_000)[0] == "7 " * 50_000
 
 
+def test_dates_before_times_and_month_first():
+    on, off = pseudonym.Pseudonyms(b"k"), pseudonym.Pseudonyms(b"k", by=-1)
+    plain = on.replace("2024-02-29")[0]
+    for tail in ("T10:00:00", "T10:00:00.123Z", "t10", "T1000+02:00", " 10:00"):
+        assert on.replace("2024-02-29" + tail)[0] == plain + tail
+    assert on.replace("2023-02-29T10:00")[0] == "2023-02-29T10:00" and on.replace("2024-02-29Total")[0] == "2024-02-29Total"
+    for v in ("12/25/2024", "02.29.2024", "12/05/2024", "31/01/1999", "01/13/1900", "12/31/2099"):
+        new, counts = on.replace(f"on {v}.")
+        assert counts == {"date": 1} and v not in new and off.replace(new)[0] == f"on {v}."
+        assert (int(v[:2]) > 12, int(v[3:5]) > 12) != (False, True) or int(new[6:8]) > 12
+    assert on.replace("13/13/2024 02/30/2024 25/25/2024")[1] == {}
+    late = pseudonym._late_days()
+    assert len({on.date((lambda d: f"{d.month:02d}/{d.day:02d}/{d.year}")(pseudonym.dt.date.fromordinal(pseudonym._EPOCH + i))) for i in late[:2000]}) == 2000
+
+
+def test_phones_before_other_numbers():
+    on, off = pseudonym.Pseudonyms(b"k"), pseudonym.Pseudonyms(b"k", by=-1)
+    for call in ("+1 (017) 555-7713", "+1 017 555 7713", "+44 20 7946 0958"):
+        alone = on.replace(call)[0]
+        assert alone != call
+        for tail in (" 2021", " 2021 2022", " 20 30 40 50", " 2021-02-03", " 97.51.17.173", " 123-45-6789"):
+            text = call + tail
+            new = on.replace(text)[0]
+            assert new.startswith(alone + " ") and off.replace(new)[0] == text
+            assert (new == alone + tail) == (tail.count("-") + tail.count(".") == 0)
+    many = "+49 30 1234 5678 9012 3456"
+    new, counts = on.replace(many)
+    assert counts == {"phone": 1} and "1234" not in new and off.replace(new)[0] == many
+    new, counts = on.replace("+49 (30) 1234-5678 2021-02-03")
+    assert counts == {"phone": 1, "date": 1} and "2021-02-03" not in new
+
+
 # -- near duplicates ------------------------------------------------------------------------------------------------------------
 
 
