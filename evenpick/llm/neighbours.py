@@ -7,8 +7,11 @@ success, and all candidates that its tables give are ranked by their exact cosin
 Index rows are dealt by (table, cell) and, where a cell is crowded, by a salt, so no task holds a hot cell whole; each query keeps only
 its best few of each dealt block before the blocks are merged.
 
+A query whose cells give fewer than asked is compared with all candidates of its length, block by block, so only queries with fewer
+candidates get fewer rows.
+
 Defined results: vectors that are null, zero or hold null or non-finite components take no part; a query with fewer candidates than
-asked gets all that its cells hold; equal scores go to the smaller id; rows that share an id are one candidate (the best of them);
+asked gets all of them, each vector length being a space of its own; equal scores go to the smaller id; rows that share an id are one candidate (the best of them);
 an empty table gives no rows; other columns are ignored.
 """
 
@@ -137,18 +140,22 @@ def pair_cosine(q: np.ndarray, c: np.ndarray) -> np.ndarray:
 
 
 def best_of_block(query_ids, q, ids, c, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """For each query its ``k`` best of a block (ties to smaller ids), its own id left out.
+    """For each query its ``k`` best ids of a block (ties to smaller ids), its own id left out.
 
     A matrix product finds all pairs that may be among them; their scores are then computed pair by pair.
     """
     score = (q @ c.T) / (np.linalg.norm(q, axis=1)[:, None] * np.linalg.norm(c, axis=1)[None])
     own = query_ids[:, None] == ids[None]
     score[own] = -2.0
-    bar = np.partition(score, -k, 1)[:, -k] if len(ids) > k else np.full(len(q), -2.0)
+    rows = k * int(np.unique(ids, return_counts=True)[1].max())
+    bar = np.partition(score, -rows, 1)[:, -rows] if len(ids) > rows else np.full(len(q), -2.0)
     r, j = np.nonzero((score >= bar[:, None] - 1e-9) & ~own)
     s = pair_cosine(q[r], c[j])
     o = np.lexsort((ids[j], -s, r))
     r, j, s = r[o], j[o], s[o]
+    if rows > k:
+        first = np.sort(np.unique(np.stack([r, ids[j]]), axis=1, return_index=True)[1])
+        r, j, s = r[first], j[first], s[first]
     place = np.arange(len(r)) - np.searchsorted(r, r)
     keep = place < k
     return query_ids[r[keep]], ids[j[keep]], s[keep]
@@ -181,5 +188,27 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 5, plan: ProbePlan
     asked = probes.join(met, "cell").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1)))
     asked = asked.select("cell", "salt", "id").join(queries.select("id", "vec"), "id")
     found = asked.groupBy("cell", "salt").cogroup(dealt.groupBy("cell", "salt")).applyInPandas(_search_block(k), "query_id long, vec_id long, score double")
-    best = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score")).withColumn("rank", F.row_number().over(W.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")))
-    return best.where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    found = staged(_best(found, k), "found")
+    full = found.groupBy("query_id").count().where(F.col("count") >= k).select(F.col("query_id").alias("id"))
+    short = staged(queries.select("id", "vec").join(full, "id", "left_anti"), "short")
+    if not short.isEmpty():
+        found = _best(found.drop("rank").unionByName(_exact(vectors, short, k)), k)
+    return found.select("query_id", "rank", "vec_id", "score")
+
+
+def _best(found: DataFrame, k: int) -> DataFrame:
+    best = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
+    return best.withColumn("rank", F.row_number().over(W.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id"))).where(F.col("rank") <= k)
+
+
+def _exact(vectors: DataFrame, queries: DataFrame, k: int) -> DataFrame:
+    """(query_id, vec_id, score) of the best of every block, each block of rows against each slice of the queries of their length."""
+    dim = F.size("vec").alias("dim")
+    parts = lambda df, name: df.groupBy(dim).agg(F.ceil(F.count("*") / CELL_ROWS).alias(name))
+    grid = parts(queries, "slices").join(parts(vectors, "blocks"), "dim")
+    deal = lambda n: F.pmod(F.xxhash64("id", "vec"), F.col(n))
+    every = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.col(n) - 1))
+    ours = vectors.select("id", "vec", dim).join(grid, "dim").select("id", "vec", "dim", deal("blocks").alias("block"), every("slices").alias("slice"))
+    asked = queries.select("id", "vec", dim).join(grid, "dim").select("id", "vec", "dim", deal("slices").alias("slice"), every("blocks").alias("block"))
+    keys = ("dim", "block", "slice")
+    return asked.groupBy(*keys).cogroup(ours.groupBy(*keys)).applyInPandas(_search_block(k), "query_id long, vec_id long, score double")

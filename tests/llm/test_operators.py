@@ -372,6 +372,27 @@ def test_nearest_recall_order_and_edges(spark):
     assert neighbours.nearest(v.limit(0), v.limit(0)).count() == 0
 
 
+def test_nearest_gives_all_that_there_are(spark, monkeypatch):
+    rng = np.random.default_rng(1)
+    rows = [(d * 100 + i, [float(v) for v in x]) for d, n in ((3, 3), (5, 6), (8, 2), (9, 1)) for i, x in enumerate(rng.normal(size=(n, d)))]
+    near = rng.normal(size=16) + 0.01 * rng.normal(size=(60, 16))
+    rows += [(2000 + i, [float(v) for v in x]) for i, x in enumerate(near)] + [(3000, [-float(v) for v in near[0]])]
+    monkeypatch.setattr(neighbours, "CELL_ROWS", 4)
+    v = spark.createDataFrame(rows, "id long, vec array<double>")
+    got = {}
+    for r in neighbours.nearest(v, v, 5).orderBy("query_id", "rank").collect():
+        got.setdefault(r.query_id, []).append((r.vec_id, r.score))
+    for q, x in rows:
+        others = [(i, float(np.dot(x, y) / np.linalg.norm(x) / np.linalg.norm(y))) for i, y in rows if i != q and len(y) == len(x)]
+        mine = got.get(q, [])
+        assert len(mine) == min(5, len(others))
+        if len(others) <= 5 or q == 3000:
+            assert [i for i, _ in mine] == [i for i, _ in sorted(others, key=lambda p: (-p[1], p[0]))[:5]]
+    twins = spark.createDataFrame([(1, [1.0, 0.0])] + [(2, [1.0, 0.1])] * 6 + [(i, [0.0, float(i)]) for i in (3, 4, 5, 6)], "id long, vec array<double>")
+    monkeypatch.setattr(neighbours, "CELL_ROWS", 100)
+    assert [r.vec_id for r in neighbours.nearest(twins, twins.where("id = 1"), 5).orderBy("rank").collect()] == [2, 3, 4, 5, 6]
+
+
 def test_top_k_is_exact(spark):
     df, x = vectors(spark, 700, 12, 3)
     v = topk.integer_vectors(df, "vec_id", "embedding")
