@@ -2,7 +2,8 @@
 
 The lexicon is learnt from labelled documents (terms that toxic documents hold far more often, counted over distinct near-copy groups).
 Every distinct word of a text is run as an automaton of one edit against the trie of all terms; a prefilter by exact halves keeps the
-words that one edit could reach and loses none. A window around each hit tells quoted from plain use, and a logistic
+words that one edit could reach and loses none: an edit changes a word's UTF-8 bytes by four at most, by three or four only with a character
+of three or four bytes. A window around each hit tells quoted from plain use, and a logistic
 model over exact, misspelled and quoted evidence gives the score.
 
 Defined results: null and empty texts hold no term and get the score of a text without evidence; without any usable label the score
@@ -26,6 +27,8 @@ from evenpick.plans.durable import ship_package
 LEXICON_TERMS, ORDINARY_WORDS = 3000, 20_000
 FUZZY_FROM = 5
 WINDOW_BYTES = 60
+#: Characters of three or four bytes start with this byte or a higher one.
+WIDE = 0xE0
 #: Marks and words that open or report a quotation (fixed values).
 QUOTE_MARKS = ('"', "“", "”", "„", "«", "»")
 QUOTE_CUES = ("said", "says", "quoted", "quote", "wrote", "called", "term", "word", "dit", "mot", "sagte", "wort", "dijo", "palabra")
@@ -121,7 +124,7 @@ class Matcher:
         self.lexicon = lexicon
         self.weights = np.array(lexicon.weights)
         self.known: dict[bytes, tuple[int, int] | None] = {}
-        whole, halves, near = [], {}, {}
+        whole, halves, near, wide = [], {}, {}, set()
         for i, term in enumerate(lexicon.terms):
             data = term.encode()
             whole.append((data, i))
@@ -130,11 +133,15 @@ class Matcher:
                 for side, half in ((0, data[:cut]), (1, data[cut:])):
                     halves.setdefault((side, len(half), len(data)), set()).add(half)
                     near.setdefault((side, half), []).append(i)
+                    if max(data) >= WIDE:
+                        wide.add((side, len(half), len(data)))
         self.exact = self._hashes([d for d, _ in whole])
         self.exact_term = np.array([i for _, i in whole], np.int64)[np.argsort(self.exact)]
         self.exact = np.sort(self.exact)
         #: Hashes of term halves by side, length of the half and length of the term.
         self.halves = {k: np.sort(self._hashes(s)) for k, s in sorted(halves.items())}
+        #: How many bytes shorter a word can be that is one edit from a term of these lengths.
+        self.shorter = {k: 4 if k in wide else 2 for k in halves}
         #: The tries of the terms that share a half.
         self.tries = {k: (Trie([lexicon.terms[i] for i in held]), held) for k, held in near.items()}
         self.cuts = sorted({(side, n) for side, n, _ in halves})
@@ -181,8 +188,12 @@ class Matcher:
         near = np.zeros(len(start), bool)
         by_size = np.argsort(size, kind="stable")
         sizes = size[by_size]
-        for (side, n, whole), held in self.halves.items():  # an edit changes a term's bytes by two at most
-            i = by_size[np.searchsorted(sizes, max(n, whole - 2)) : np.searchsorted(sizes, whole + 2, "right")]
+        high = np.flatnonzero(low >= WIDE)
+        wide = by_size[np.searchsorted(high, end[by_size]) > np.searchsorted(high, start[by_size])]
+        wide_sizes = size[wide]
+        for (side, n, whole), held in self.halves.items():
+            i = by_size[np.searchsorted(sizes, max(n, whole - self.shorter[side, n, whole])) : np.searchsorted(sizes, whole + 2, "right")]
+            i = np.concatenate([i, wide[np.searchsorted(wide_sizes, whole + 3) : np.searchsorted(wide_sizes, whole + 4, "right")]])
             i = i[~near[i] & ~exact[i]]
             near[i] = self._member(held, span_hash(prefix, end[i] - n, end[i]) if side else span_hash(prefix, start[i], start[i] + n))
         i = np.flatnonzero(near)

@@ -488,6 +488,25 @@ def test_levenshtein_trie_and_prefilter():
     assert set(zip(start.tolist(), edits.tolist())) == want
 
 
+def test_prefilter_with_wide_characters():
+    r = random.Random(4)
+    letters = "abé\u200b\u2022\u4e2d\U0001f600"
+    word = lambda lo, hi: "".join(r.choice(letters) for _ in range(r.randrange(lo, hi)))
+    terms = list(dict.fromkeys([word(5, 9) for _ in range(30)] + ["idiots", "aabab", "babba"]))
+    said = []
+    for t in terms:
+        for _ in range(40):
+            i, c = r.randrange(len(t)), r.choice(letters)
+            said += [t[:i] + c + t[i:], t[:i] + c + t[i + 1 :], t[:i] + t[i + 1 :], t + c]
+    m = toxic.Matcher(toxic.Lexicon(terms, [1.0] * len(terms)))
+    (_, _, edits, start, _), _ = m.hits(*toxic.utf8_buffer(pa.array([" ".join(said)])))
+    want, at = set(), 0
+    for w in said:
+        want.add((at, int(w not in terms)))
+        at += len(w.encode()) + 1
+    assert set(zip(start.tolist(), edits.tolist())) == want
+
+
 def test_quotation_lowers_the_score():
     model = toxic.ToxicityModel(toxic.Lexicon(["idiot"], [5.0]), -3.0, toxic.PRIOR)
     m = toxic.Matcher(model.lexicon)
