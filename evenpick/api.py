@@ -12,6 +12,8 @@ from evenpick.operators.frames import CENTER
 from evenpick.operators.static import static_fair_centers
 
 METHODS = ("distributed", "distributed_budget", "one_pass", "one_pass_budget", "sharded", "static", "two_pass", "prior_distributed", "exact", "random")
+#: Methods that can spend spare capacity (``fill``).
+FILLING = ("distributed", "distributed_budget", "one_pass_budget", "static")
 
 
 @dataclass(frozen=True)
@@ -44,6 +46,8 @@ class FairCenters:
         }
         if self.method not in runs:
             raise ValueError(f"method must be one of {METHODS}")
+        if self.fill != "none" and self.method not in FILLING:
+            raise ValueError(f"fill={self.fill!r} needs one of the methods {FILLING}")
         return FairCentersModel(self, runs[self.method]())
 
 

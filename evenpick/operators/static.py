@@ -11,7 +11,7 @@ from evenpick.functions.matching import match_pivots, saturates
 from evenpick.functions.metrics import Metric, metric
 from evenpick.functions.solver import check_caps, solve_static
 from evenpick.operators.frames import arrays, centers_frame, to_driver
-from evenpick.operators.greedy import farthest_first_rounds
+from evenpick.operators.greedy import farthest_first_rounds, with_distance
 
 LOCAL_VALUES = 20_000_000
 
@@ -26,7 +26,7 @@ def static_fair_centers(points: DataFrame, caps: Mapping[int, int], m: Metric |
         x, ids, grp = arrays(to_driver(points.select("point_id", "grp", "vec")))
         rows = solve_static(x, grp, caps, m, fill).rows
         return centers_frame(points.sparkSession, ids[rows], grp[rows], x[rows])
-    return static_rounds(points, caps, m)
+    return static_rounds(points, caps, m, fill)
 
 
 def nearest_members(points: DataFrame, pivots: list[list[float]], m: Metric | str = "l1") -> DataFrame:
@@ -38,7 +38,21 @@ def nearest_members(points: DataFrame, pivots: list[list[float]], m: Metric | st
     return best.select("pivot", "grp", "b.dist", "b.point_id", "b.vec")
 
 
-def static_rounds(points: DataFrame, caps: Mapping[int, int], m: Metric | str = "l1") -> DataFrame:
+def fill_rounds(points: DataFrame, caps: Mapping[int, int], chosen: list, m: Metric | str = "l1") -> list:
+    """Rows (point_id, grp, vec) that spend spare capacity on the farthest points of groups with room: one scan each, ties to the smaller id."""
+    left = {g: c - sum(1 for r in chosen if r.grp == g) for g, c in caps.items()}
+    more: list = []
+    while room := [g for g, c in left.items() if c > 0]:
+        far = with_distance(points.select("point_id", "grp", "vec").where(F.col("grp").isin(room)), [list(r.vec) for r in [*chosen, *more]], m, "md").where("md > 0")
+        p = far.agg(F.max_by(F.struct("point_id", "grp", "vec"), F.struct(F.col("md"), -F.col("point_id"))).alias("p")).first().p
+        if p is None:
+            break
+        more.append(p)
+        left[p.grp] -= 1
+    return more
+
+
+def static_rounds(points: DataFrame, caps: Mapping[int, int], m: Metric | str = "l1", fill: str = "none") -> DataFrame:
     """The same solution from frames: greedy rounds, one scan for the nearest members, matching over k times m numbers."""
     pivots, _ = farthest_first_rounds(points, sum(caps.values()), m)
     delta = [d for *_, d in pivots]
@@ -53,4 +67,6 @@ def static_rounds(points: DataFrame, caps: Mapping[int, int], m: Metric | str =
     radii = sorted({table[i, g].dist for i in range(low) for g in groups if (i, g) in table and table[i, g].dist < delta[low - 1] / 2})
     rho = next(r for r in radii if saturates(lists(low, lambda d: d <= r), caps))
     chosen = [table[i, g] for i, g in enumerate(match_pivots(lists(low, lambda d: d <= rho), caps))]
+    if fill == "greedy":
+        chosen += fill_rounds(points, caps, chosen, m)
     return centers_frame(points.sparkSession, [c.point_id for c in chosen], [c.grp for c in chosen], [c.vec for c in chosen])

@@ -139,3 +139,21 @@ def test_entry(spark, sf):
     assert e.entry(spark).count() > 0
     assert set(e.oracle_sql()) <= set(e.queries())
     assert os.path.isdir(sf)
+
+
+@pytest.mark.parametrize("m", ["l1", "l2"])
+def test_static_fill_is_the_same_in_rounds(spark, m):
+    import numpy as np
+
+    from evenpick.api import FairCenters
+    from evenpick.operators.static import static_fair_centers
+
+    x = np.random.default_rng(2).integers(0, 4, (60, 2)) * np.array([1.0, 3.0])
+    points = spark.createDataFrame([(i, i % 3, [float(v) for v in r]) for i, r in enumerate(x)], "point_id long, grp int, vec array<double>")
+    for caps in ({0: 3, 1: 2, 2: 3}, {0: 6, 1: 0, 2: 1}):
+        a, b = ([(r.point_id, r.grp) for r in static_fair_centers(points, caps, m, "greedy", w).orderBy("rank").collect()] for w in ("driver", "rounds"))
+        assert a == b
+        assert len(a) > static_fair_centers(points, caps, m, where="rounds").count() or len(a) == sum(caps.values())
+    for method in ("one_pass", "sharded", "two_pass", "prior_distributed", "exact", "random"):
+        with pytest.raises(ValueError, match="fill"):
+            FairCenters(caps, m, method, fill="greedy").fit(points)
