@@ -17,17 +17,12 @@ from evenpick.functions.metrics import Metric, metric
 from evenpick.functions.solver import check_caps, solve_exact
 from evenpick.operators.frames import arrays, centers_frame, in_order, per_shard, shard_points, to_driver
 from evenpick.operators.greedy import greedy_pivots
-from evenpick.operators.measures import aspect_ratio
 from evenpick.plans.durable import ship_package, staged
 
 GUESS = "tau double, pivot int, vec array<double>"
 EDGE = "tau double, pivot int, grp int, dist double, point_id long, vec array<double>"
 
 
-#: Up to this many points the guesses of the two-pass baseline start from exact pairwise bounds; beyond it from greedy pivots.
-EXACT_BOUNDS_ROWS = 5_000
-
-
 def guess_bounds(pivots: list[tuple[int, list[float], float]], radius: float, m: Metric | str = "l1") -> tuple[float, float]:
     """(low, high) for the guesses from greedy pivots for k centers: half their radius bounds the optimum from below, twice the first
     gap bounds the diameter. With radius 0 the pivots are all distinct positions, whose distances are then exact."""
@@ -109,18 +104,15 @@ def _smallest_match(edges: pd.DataFrame, pivots: pd.DataFrame, caps) -> pd.DataF
 
 
 def two_pass_fair_centers(points: DataFrame, caps: Mapping[int, int], eps: float = 0.1, m: Metric | str = "l1", order=("point_id",), bounds: tuple[float, float] | None = None) -> DataFrame:
-    """CENTER within 3 + eps in two passes. ``bounds`` are the least positive and the largest distance; measured if missing, beyond small inputs by greedy pivots."""
+    """CENTER within 3 + eps in two passes. ``bounds`` are the least positive and the largest distance; if missing, bounds from greedy pivots, at every size."""
     return two_pass_run(points, caps, eps, m, order, bounds)[0]
 
 
 def two_pass_run(points, caps, eps=0.1, m="l1", order=("point_id",), bounds=None) -> tuple[DataFrame, int]:
     """(CENTER, points held over all guesses)."""
     caps, name = check_caps(caps), metric(m).name
-    if bounds is None and points.count() > EXACT_BOUNDS_ROWS:
-        bounds = guess_bounds(*greedy_pivots(points, sum(caps.values()), m), m)
     if bounds is None:
-        r = aspect_ratio(points, m).first()
-        bounds = (r.min_dist, r.max_dist) if r.max_dist else (1.0, 1.0)
+        bounds = guess_bounds(*greedy_pivots(points, sum(caps.values()), m), m)
     pivots = to_driver(_first_pass(points, guess_grid(bounds[0] / 2, bounds[1], eps), sum(caps.values()), name, order))
     edges = to_driver(_members(points, pivots, 1.0, name))
     edges = edges[edges.grp.map(lambda g: caps.get(g, 0) > 0)]

@@ -157,3 +157,15 @@ def test_static_fill_is_the_same_in_rounds(spark, m):
     for method in ("one_pass", "sharded", "two_pass", "prior_distributed", "exact", "random"):
         with pytest.raises(ValueError, match="fill"):
             FairCenters(caps, m, method, fill="greedy").fit(points)
+
+
+def test_two_pass_guesses_do_not_depend_on_the_size(spark):
+    from evenpick.operators import baselines
+    from evenpick.operators.greedy import greedy_pivots
+
+    points = spark.createDataFrame([(i, i % 2, [float(i * i % 97), float(i * 7 % 31)]) for i in range(80)], "point_id long, grp int, vec array<double>")
+    caps = {0: 2, 1: 2}
+    bounds = baselines.guess_bounds(*greedy_pivots(points, 4, "l1"), "l1")
+    plain, held = baselines.two_pass_run(points, caps, 0.1)
+    given, same = baselines.two_pass_run(points, caps, 0.1, bounds=bounds)
+    assert held == same and [r.point_id for r in plain.orderBy("rank").collect()] == [r.point_id for r in given.orderBy("rank").collect()]
