@@ -180,6 +180,44 @@ def test_repeats_match_brute_force(spark):
     assert {x.n_removed for x in repeats.remove_repeats(few.withColumn("tid", F.lit(1))).collect()} == {0}
 
 
+def test_crowded_anchor_groups_are_cut_without_loss(spark, monkeypatch):
+    """A line of 64 to 199 bytes in many surroundings: its group is cut by place, then window by window."""
+    monkeypatch.setattr(repeats, "GROUP", 3)
+    r = random.Random(9)
+    noise = lambda n: "".join(r.choice("abcdefgh ") for _ in range(n))
+    lines, texts = [noise(n) for n in (70, 120, 190, 198)], []
+    for line in lines:
+        near = [noise(150) for _ in range(6)]
+        texts += [noise(r.randrange(90, 160)) + r.choice(near)[-r.choice([1, 5, 60, 150]) :] + line + r.choice(near)[: r.choice([1, 4, 70, 150])] + noise(r.randrange(90, 160)) for _ in range(25)]
+    got = {x.doc_id: (x.n_bytes, x.n_removed, x.n_spans, x.kept_sha256) for x in repeats.remove_repeats(docs_of(spark, texts)).collect()}
+    want = brute_repeats(texts)
+    assert [got[i] for i in range(len(texts))] == want and sum(w[1] > 0 for w in want) > 20
+
+
+def test_anchors_of_pieces_cover_the_same_windows():
+    r = random.Random(2)
+    texts = ["".join(r.choice("ab c") for _ in range(n)) for n in (500, 10, 3000, 199, 200, 900)]
+    buf, off = repeats.utf8_buffer(pa.array(texts))
+    windows = lambda *a: sorted((int(d), int(p), int(h), w) for d, p, h, f, z in zip(*repeats.anchors(buf, off, 200, 64, *a)) for w in range(f, z + 1))
+    assert windows() == windows(300) == windows(1)
+
+
+def test_merged_transform_equals_the_transform_of_all():
+    r = random.Random(4)
+    for letters in (b"ab", b"abcdefgh", b"a"):
+        segs = [bytes(r.choice(letters) for _ in range(r.randrange(1, 90))) for _ in range(14)]
+        segs += [segs[0][:40], segs[1], segs[1]]
+        one = repeats.Transform(segs)
+        merge = repeats.Interleave([repeats.Transform(segs[i : i + 5]) for i in range(0, len(segs), 5)])
+        row, common = merge.merged()
+        assert (merge.head[row] == one.head).all() and (merge.before[row] == one.before)[~one.head].all()
+        for a, b in zip(merge.origin[:-1], merge.origin[1:]):
+            assert (np.diff(row[(row >= a) & (row < b)]) > 0).all()
+        suffixes = sorted((s[j:] + b"", k, j) for k, s in enumerate(segs) for j in range(len(s) + 1))
+        shared = lambda a, b: next((i for i, (x, y) in enumerate(zip(a, b)) if x != y), min(len(a), len(b)))
+        assert common.tolist() == [0] + [shared(a[0], b[0]) for a, b in zip(suffixes, suffixes[1:])]
+
+
 def test_merged_interleave_equals_sorted_suffixes():
     r = random.Random(4)
     segs = [bytes(r.choice(b"ab") for _ in range(r.randrange(30, 90))) for _ in range(12)]
