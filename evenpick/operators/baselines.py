@@ -174,8 +174,8 @@ def random_fair_centers(points: DataFrame, caps: Mapping[int, int], seed: int =
     caps = check_caps(caps)
     spark = points.sparkSession
     table = F.broadcast(spark.createDataFrame([(g, c) for g, c in caps.items() if c > 0], "grp int, cap int"))
-    rows = points.join(table, "grp").withColumn("h", F.xxhash64("point_id", F.lit(seed)))
-    local = W.partitionBy("grp", F.pmod("h", F.lit(1024))).orderBy("h", "point_id")
+    rows = points.join(table, "grp").withColumn("h", F.md5(F.concat(F.lit(f"{seed}:"), F.col("point_id").cast("string")).cast("binary")))
+    local = W.partitionBy("grp", F.substring("h", 1, 3)).orderBy("h", "point_id")
     rows = staged(rows.withColumn("r", F.row_number().over(local)).where("r <= cap"), "random-candidates")
     last = W.partitionBy("grp").orderBy("h", "point_id")
     kept = rows.withColumn("r", F.row_number().over(last)).where("r <= cap")

@@ -162,8 +162,8 @@ def coverage_by_budget(points: DataFrame, budgets: list[int], shards: int = 10,
     return per_shard(shard_points(points, shards, how), run, "shard long, budget long, radius double")
 
 
-def smallest_budget(points: DataFrame, budgets: list[int], eps: float, k: int, shards: int = 10, m: Metric | str = "l1") -> int | None:
+def smallest_budget(points: DataFrame, budgets: list[int], eps: float, k: int, shards: int = 10, m: Metric | str = "l1", how: str = "hash") -> int | None:
     """The least of ``budgets`` whose coverage suffices on every shard, judged by the greedy lower bound for k centers."""
-    table = coverage_by_budget(points, sorted({*budgets, k}), shards, m).groupBy("budget").agg(F.max("radius").alias("r")).collect()
+    table = coverage_by_budget(points, sorted({*budgets, k}), shards, m, how).groupBy("budget").agg(F.max("radius").alias("r")).collect()
     got = {r.budget: r.r for r in table}
     return next((b for b in sorted(budgets) if budget_sufficient(got[b], got[k] / 2, eps)), None)

@@ -51,6 +51,14 @@ def cost_ratio(points: DataFrame, centers: DataFrame, k: int, m: Metric | str =
     return points.sparkSession.createDataFrame([(c, g, c / g if g else 1.0, 2 * c / g if g else 1.0)], "cost double, greedy_radius double, ratio_greedy double, ratio_true double")
 
 
+def approx_ratio(points: DataFrame, centers: DataFrame, caps: Mapping[int, int], m: Metric | str = "l1") -> DataFrame:
+    """(cost, optimum, ratio) on a set small enough for the exact solver."""
+    from evenpick.operators.baselines import exact_fair_centers
+
+    c, best = (float(cost(points, s, m).first().cost) for s in (centers, exact_fair_centers(points, caps, m)))
+    return points.sparkSession.createDataFrame([(c, best, c / best if best else 1.0)], "cost double, optimum double, ratio double")
+
+
 def feasibility(centers: DataFrame, caps: Mapping[int, int]) -> DataFrame:
     """Per group with a capacity: centers used, capacity, and whether they fit (groups without centers included)."""
     spark = centers.sparkSession

@@ -121,8 +121,8 @@ def solve_arrays(x, ids, grp, caps, solver: str | Callable, m: Metric | str, fil
     return run(x, grp, caps, m, fill=fill) if run is SOLVERS["static"] else run(x, grp, caps, m)
 
 
-def solve_on_net(net: DataFrame, caps: Mapping[int, int], solver: str | Callable = "static", m: Metric | str = "l1", located: str = "center", fill: str = "none", keep_all: bool = False) -> DataFrame:
-    """CENTER: any solver on the net's labelled copies, lifted to real points.
+def solve_on_net(net: DataFrame, caps: Mapping[int, int], solver: str | Callable = "static", m: Metric | str = "l1", located: str = "center", fill: str = "none", keep_all: bool = False, lift: bool = True) -> DataFrame:
+    """CENTER: any solver on the net's labelled copies, lifted to real points (or, without ``lift``, where the copies are).
 
     The net is what the driver takes; its size does not follow the input's. ``keep_all`` keeps several copies of one net point.
     """
@@ -136,7 +136,7 @@ def solve_on_net(net: DataFrame, caps: Mapping[int, int], solver: str | Callable
     if located == "center" and not keep_all:
         got = got.drop_duplicates("net_id")
     got = got.drop_duplicates("rep_id")
-    return centers_frame(net.sparkSession, got.rep_id, got.grp, got.rep_vec)
+    return centers_frame(net.sparkSession, got.rep_id, got.grp, got.rep_vec if lift else got.vec)
 
 
 def merge_nets(fine: DataFrame, coarse: DataFrame | None, radius: float, m: Metric | str = "l1", alpha: float = 1.0, reps: str = "first") -> DataFrame:

@@ -72,23 +72,23 @@ def workload_table(spark: SparkSession, sf_dir: str, methods=METHODS, cap: int =
     return out
 
 
-def budget_sweep(points: DataFrame, caps: Mapping[int, int], budgets=(24, 60, 120, 240, 480), shards: int = 10, m="l1") -> DataFrame:
+def budget_sweep(points: DataFrame, caps: Mapping[int, int], budgets=(24, 60, 120, 240, 480), shards: int = 10, m="l1", how: str = "hash") -> DataFrame:
     """(budget, coverage, cost): how coverage radius and cost move with the coreset size per shard."""
     pts = staged(points, "sweep")
-    cover = {r.budget: r.radius for r in distributed.coverage_by_budget(pts, list(budgets), shards, m).groupBy("budget").agg(F.max("radius").alias("radius")).collect()}
+    cover = {r.budget: r.radius for r in distributed.coverage_by_budget(pts, list(budgets), shards, m, how).groupBy("budget").agg(F.max("radius").alias("radius")).collect()}
     rows = []
     for b in budgets:
-        vecs = center_vectors(distributed.distributed_fair_centers_budget(pts, caps, b, shards, m))
+        vecs = center_vectors(distributed.distributed_fair_centers_budget(pts, caps, b, shards, m, how))
         rows.append((b, float(cover[b]), float(with_distance(pts, vecs, m, "d").agg(F.max("d")).first()[0])))
     return points.sparkSession.createDataFrame(rows, "budget int, coverage double, cost double")
 
 
-def eps_sweep(points: DataFrame, caps: Mapping[int, int], values=(3.0, 1.0, 0.5), shards: int = 4, m="l1") -> DataFrame:
+def eps_sweep(points: DataFrame, caps: Mapping[int, int], values=(3.0, 1.0, 0.5), shards: int = 4, m="l1", how: str = "hash") -> DataFrame:
     """(eps, net_points, cost): size of the guaranteed net and cost by eps."""
     pts = staged(points, "sweep")
     rows = []
     for e in values:
-        nets = staged(distributed.worker_net(pts, sum(caps.values()), e / 3, shards, m), "worker-nets")
+        nets = staged(distributed.worker_net(pts, sum(caps.values()), e / 3, shards, m, how), "worker-nets")
         net = staged(distributed.coordinator_net(nets, e / 3, m), "net")
         vecs = center_vectors(solve_on_net(net, caps, "static", m))
         rows.append((e, net.count(), float(with_distance(pts, vecs, m, "d").agg(F.max("d")).first()[0])))

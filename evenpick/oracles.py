@@ -57,7 +57,7 @@ LINE = """line AS (SELECT row_number() OVER (ORDER BY o_orderdate, l_orderkey, l
     CAST(dense_rank() OVER (ORDER BY l_linestatus) - 1 AS INTEGER) AS grp, l_quantity AS a, l_extendedprice AS b, l_discount AS c, l_tax AS d,
     CAST(date_diff('day', DATE '1970-01-01', CAST(l_shipdate AS DATE)) AS DOUBLE) AS e, o_totalprice AS f
     FROM lineitem JOIN orders ON l_orderkey = o_orderkey),
-z AS (SELECT id, grp, """ + ", ".join(f"({c} - avg({c}) OVER ()) / stddev_pop({c}) OVER () AS {c}" for c in "abcdef") + " FROM line)"
+z AS (SELECT id, grp, """ + ", ".join(f"({c} - round(avg({c}) OVER (), 6)) / round(stddev_pop({c}) OVER (), 6) AS {c}" for c in "abcdef") + " FROM line)"
 
 NATIONS = """nat AS (SELECT n_nationkey AS id, n_regionkey AS grp, round(coalesce(a, 0) / 1000, 6) AS x, round(coalesce(b, 0) / 1000, 6) AS y, coalesce(n, 0) / CAST(10 AS DOUBLE) AS w
     FROM nation LEFT JOIN (SELECT c_nationkey, avg(c_acctbal) AS a, count(*) AS n FROM customer GROUP BY 1) ON c_nationkey = n_nationkey
@@ -76,16 +76,6 @@ masks AS (SELECT h.step AS h, m.pivot, CAST(sum(CASE WHEN m.dist < h.pd / 2 THEN
 hall AS (SELECT h, t, count(*) FILTER ((mask & (31 - t)) = 0) AS confined FROM masks CROSS JOIN caps GROUP BY 1, 2),
 ok AS (SELECT h, bool_and(confined <= cap) AS feasible FROM hall JOIN sets USING (t) GROUP BY 1)"""
 
-_TRUE_METHODS = ", ".join(f"('{m}', TRUE, TRUE, TRUE)" for m in ("distributed", "distributed_budget", "one_pass", "one_pass_budget", "prior_distributed", "sharded", "static", "two_pass"))
-
-
-def true_row(n: str, *names: str) -> str:
-    return f"SELECT CAST(({n}) AS BIGINT) AS points, " + ", ".join(f"TRUE AS {c}" for c in names)
-
-
-END = ("feasible", "real", "within_bound")
-N_CUST, N_LINE = "SELECT count(*) FROM customer", "SELECT count(*) FROM lineitem"
-
 SQL: dict[str, str] = {
     "group_caps": "SELECT CAST(dense_rank() OVER (ORDER BY c_mktsegment) - 1 AS INTEGER) AS grp, c_mktsegment AS name, 10 AS cap FROM (SELECT DISTINCT c_mktsegment FROM customer)",
     "crossed_groups_rollup": "SELECT l_linestatus, o_orderpriority, count(*) AS points FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY ROLLUP (l_linestatus, o_orderpriority)",
@@ -149,7 +139,6 @@ SQL: dict[str, str] = {
         combo AS (SELECT r0.id AS a, r1.id AS b, r2.id AS c, r3.id AS e, r4.id AS f FROM nat r0, nat r1, nat r2, nat r3, nat r4 WHERE r0.grp = 0 AND r1.grp = 1 AND r2.grp = 2 AND r3.grp = 3 AND r4.grp = 4),
         far AS (SELECT k.a, k.b, k.c, k.e, k.f, d.p, min(d.d) AS md FROM combo k, d WHERE d.c IN (k.a, k.b, k.c, k.e, k.f) GROUP BY ALL)
         SELECT round(min(cost), 6) AS optimum FROM (SELECT max(md) AS cost FROM far GROUP BY a, b, c, e, f)""",
-    "bounds_on_nations": f"SELECT * FROM (VALUES {_TRUE_METHODS}) t(method, feasible, real, within_bound)",
     "cost_fixed_centers": f"WITH {CUST}, {ANCHORS} SELECT round(max(d), 6) AS cost FROM (SELECT id, min(abs(x - ax) + abs(y - ay)) AS d FROM cust CROSS JOIN anchors GROUP BY id)",
     "cost_by_group": f"WITH {CUST}, {ANCHORS}, d AS (SELECT id, grp, min(abs(x - ax) + abs(y - ay)) AS d FROM cust CROSS JOIN anchors GROUP BY id, grp) SELECT grp, round(max(d), 6) AS cost, round(avg(d), 6) AS mean_dist, count(*) AS points FROM d GROUP BY grp",
     "assign_nearest": f"WITH {CUST}, {ANCHORS}, d AS (SELECT id, anchor, abs(x - ax) + abs(y - ay) AS d FROM cust CROSS JOIN anchors), r AS (SELECT *, row_number() OVER (PARTITION BY id ORDER BY d, anchor) AS r FROM d) SELECT id AS point_id, CAST(anchor AS INTEGER) AS center, round(d, 6) AS dist FROM r WHERE r = 1",
@@ -159,41 +148,12 @@ SQL: dict[str, str] = {
     "nearest_two_centers": f"WITH {CUST}, {ANCHORS}, d AS (SELECT id, anchor, abs(x - ax) + abs(y - ay) AS d FROM cust CROSS JOIN anchors), r AS (SELECT *, row_number() OVER (PARTITION BY id ORDER BY d, anchor) AS r FROM d) SELECT id AS point_id, CAST(r - 1 AS INTEGER) AS place, CAST(anchor AS INTEGER) AS center, round(d, 6) AS dist FROM r WHERE r <= 2",
     "farthest_customers": f"WITH {CUST}, {ANCHORS}, d AS (SELECT id, anchor, abs(x - ax) + abs(y - ay) AS d FROM cust CROSS JOIN anchors), r AS (SELECT *, row_number() OVER (PARTITION BY id ORDER BY d, anchor) AS r FROM d) SELECT id AS point_id, CAST(anchor AS INTEGER) AS center, round(d, 6) AS dist FROM r WHERE r = 1 ORDER BY d DESC, id LIMIT 20",
     "distance_profile": f"WITH {CUST}, {ANCHORS}, d AS (SELECT id, min(abs(x - ax) + abs(y - ay)) AS d FROM cust CROSS JOIN anchors GROUP BY id) SELECT round(quantile_cont(d, 0.5), 6) AS p50, round(quantile_cont(d, 0.9), 6) AS p90, round(quantile_cont(d, 0.99), 6) AS p99, round(max(d), 6) AS cost FROM d",
-    "partition_check": "SELECT CAST(0 AS BIGINT) AS twice, CAST(0 AS BIGINT) AS lost, CAST(0 AS BIGINT) AS extra",
-    "points_sent": true_row(N_CUST, "all_shards", "within_budget", "within_groups"),
-    "cost_bound_check": true_row(N_CUST, "bound_holds"),
-    "solver_plugged_in": true_row("SELECT count(*) FROM nation", *END),
+    "partition_check": "SELECT count(*) AS points, count(DISTINCT c_custkey) AS dealt, CAST(0 AS BIGINT) AS twice, CAST(0 AS BIGINT) AS lost, CAST(0 AS BIGINT) AS extra FROM customer",
     "representation_greedy": f"""WITH RECURSIVE {CUST}, {greedy('cust', 'ff', ['x', 'y'], 10)}, c AS (SELECT grp, count(*) AS used FROM (SELECT DISTINCT pid FROM ff) JOIN cust ON id = pid GROUP BY grp)
         SELECT grp, p.n AS points, coalesce(used, 0) AS used, round(p.n / (SELECT count(*) FROM cust), 6) AS point_share, round(coalesce(used, 0) / 10, 6) AS center_share
         FROM (SELECT grp, count(*) AS n FROM cust GROUP BY grp) p LEFT JOIN c USING (grp)""",
-    "budget_net_invariants": true_row(N_CUST, "within_budget", "packed", "covered", "groups_kept"),
-    "incremental_net_invariants": true_row(N_CUST, "packed", "covered", "groups_kept"),
-    "coreset_distortion_check": true_row(N_CUST, "cost_close", "net_smaller"),
-    "feasibility_check": "SELECT CAST(g AS INTEGER) AS grp, TRUE AS fits FROM range(5) t(g)",
-    "budget_sweep_monotone": true_row(N_LINE, "coverage_falls"),
-    "hierarchical_merge_check": true_row(N_CUST, "packed", "covered", "groups_kept"),
-    "single_scan_workers": true_row(N_LINE, *END),
-    "sql_surface": true_row(N_CUST, *END),
-    "streaming_sharded_centers": true_row("SELECT count(*) FROM events", *END),
-    "streaming_guaranteed_centers": true_row("SELECT count(*) FROM events", *END),
-    "distributed_budget_centers": true_row(N_LINE, *END),
-    "distributed_budget_located_center": true_row(N_LINE, *END),
-    "distributed_centers": true_row(N_CUST, *END),
-    "one_pass_centers": true_row(N_CUST, *END),
-    "one_pass_budget_centers": true_row(N_LINE, *END),
-    "sharded_one_pass_centers": true_row(N_CUST, *END),
-    "static_centers": true_row(N_LINE, *END),
-    "static_rounds_centers": true_row(N_CUST, *END),
-    "two_pass_census": true_row(N_LINE, *END),
-    "two_pass_centers": true_row(N_CUST, *END),
-    "prior_distributed_centers": true_row(N_LINE, *END),
-    "random_centers": true_row(N_LINE, "feasible", "real"),
-    "binding_capacities": true_row(N_CUST, "feasible", "fair_costs_more"),
-    "plain_k_center": true_row(N_CUST, *END),
-    "window_summaries": "SELECT count(DISTINCT date_trunc('day', ts)) AS windows, TRUE AS feasible FROM events",
     "hourly_event_groups": "SELECT date_trunc('hour', ts) AS hour, event_type, count(*) AS events, round(sum(value), 4) AS value FROM events GROUP BY ALL",
     "session_events": """WITH g AS (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER w + INTERVAL 30 MINUTE OR lag(ts) OVER w IS NULL THEN 1 ELSE 0 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
         s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS n FROM g)
         SELECT user_id, min(ts) AS start, count(*) AS events FROM s GROUP BY user_id, n""",
-    "text_hash_features_norm": "SELECT doc_id AS point_id, CAST(len(regexp_extract_all(lower(coalesce(text, '')), '[\\p{L}\\p{N}]+')) % 2 AS BIGINT) AS parity FROM documents",
 }

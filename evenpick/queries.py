@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 import uuid
-from collections.abc import Callable, Mapping
+from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -14,7 +15,7 @@ from evenpick.functions.metrics import metric
 from evenpick.functions.solver import nearest_members, solve_static
 from evenpick.operators import baselines, distributed, joins, measures, nets, onepass, report, static
 from evenpick.operators.frames import arrays, centers_frame, to_driver
-from evenpick.operators.greedy import distance_evaluations, farthest_first_per_shard, farthest_first_rounds, with_distance
+from evenpick.operators.greedy import distance_evaluations, farthest_first_per_shard, farthest_first_rounds, greedy_pivots, with_distance
 from evenpick.plans.durable import shared_dir, staged
 from evenpick.sources import points as src
 from evenpick.sqlapi import register_sql
@@ -22,6 +23,8 @@ from evenpick.streaming import stream
 
 Query = Callable[[SparkSession, str], DataFrame]
 FIVE_TWO, FIVE_TEN, TWO_TEN = dict.fromkeys(range(5), 2), dict.fromkeys(range(5), 10), dict.fromkeys(range(2), 10)
+#: Capacities of the set whose groups follow a feature.
+SKEWED = {0: 1, 1: 9, 2: 9, 3: 1}
 QUERIES: dict[str, Query] = {}
 
 
@@ -40,15 +43,11 @@ def anchors(points: DataFrame) -> list[list[float]]:
     return [list(r.v) for r in rows]
 
 
-def judged(points: DataFrame, centers: DataFrame, caps: Mapping[int, int], bound: float, m: str = "l1", against: DataFrame | None = None) -> DataFrame:
-    """One row: number of points, and whether the centers are feasible, real points, and within ``bound`` times the static cost (never below the optimum)."""
+def solved(points: DataFrame, centers: DataFrame, k: int, m: str = "l1") -> DataFrame:
+    """What end-to-end queries return: the centers, their cost on all points, and its ratio to the greedy radius of ``k`` centers."""
     centers = staged(centers, "centers")
-    c = float(measures.cost(points, centers, m).first().cost)
-    base = float(measures.cost(points, static.static_fair_centers(points, caps, m) if against is None else against, m).first().cost)
-    fits = measures.feasibility(centers, caps).agg(F.bool_and("fits")).first()[0]
-    real = centers.join(points.select("point_id", "grp"), ["point_id", "grp"], "left_anti").count() == 0
-    distinct = centers.count() == centers.select("point_id").distinct().count()
-    return points.sparkSession.createDataFrame([(points.count(), bool(fits), bool(real and distinct), c <= bound * base + 1e-9)], "points long, feasible boolean, real boolean, within_bound boolean")
+    c, g = float(measures.cost(points, centers, m).first().cost), greedy_pivots(points, k, m)[1]
+    return centers.select("rank", "point_id", "grp", F.round(F.lit(c), 6).alias("cost"), F.round(F.lit(c / g), 6).alias("ratio"))
 
 
 @query
@@ -102,7 +101,7 @@ def set_metric_profile(spark, d):
     """Jaccard and angular distances of all score vectors to the first."""
     pts = src.score50(spark, d)
     first = pts.orderBy("point_id").first().vec
-    return pts.agg(*[f(metric(m).to_point(F.col("vec"), first)).alias(f"{m}_{n}") for m in ("jaccard", "angular") for n, f in (("max", F.max), ("avg", F.avg))])
+    return pts.agg(*[F.round(f(metric(m).to_point(F.col("vec"), first)), 6).alias(f"{m}_{n}") for m in ("jaccard", "angular") for n, f in (("max", F.max), ("avg", F.avg))])
 
 
 @query
@@ -187,7 +186,7 @@ def net_groups_by_assignment(spark, d):
     ids = F.array(*[F.lit(r.point_id) for r in rows])
     a = joins.assign_nearest(pts, [list(r.vec) for r in rows]).withColumn("net_id", F.get(ids, F.col("center")))
     net = nets.attach_groups(a, firsts.withColumnRenamed("point_id", "net_id"))
-    return net.select("net_id", "groups", F.size("reps").alias("n_reps"), F.transform("reps", lambda r: r["point_id"]).alias("rep_ids"))
+    return net.select("net_id", "groups", F.size("reps").alias("n_reps"), F.array_join(F.transform("reps", lambda r: r["point_id"].cast("string")), ",").alias("rep_ids"))
 
 
 @query
@@ -240,13 +239,12 @@ def exact_fair_nations(spark, d):
 
 @query
 def bounds_on_nations(spark, d):
-    """Every method against the exact optimum on the 25 nations."""
+    """Every method on the 25 nations: its centers, its cost, the ratio to the exact optimum, and whether that is within the method's factor."""
     pts, caps = staged(src.nation_points(spark, d), "nations"), dict.fromkeys(range(5), 1)
-    best = staged(baselines.exact_fair_centers(pts, caps), "optimum")
     runs = {
         "static": (3, lambda: static.static_fair_centers(pts, caps)),
-        "two_pass": (3.3, lambda: baselines.two_pass_fair_centers(pts, caps, 0.1)),
-        "prior_distributed": (18.7, lambda: baselines.prior_distributed_fair_centers(pts, caps, 0.1, 3, how="modulo")),
+        "two_pass": (3.1, lambda: baselines.two_pass_fair_centers(pts, caps, 0.1)),
+        "prior_distributed": (17.1, lambda: baselines.prior_distributed_fair_centers(pts, caps, 0.1, 3, how="modulo")),
         "distributed": (6, lambda: distributed.distributed_fair_centers(pts, caps, 1.0, 3, how="modulo")),
         "distributed_budget": (3, lambda: distributed.distributed_fair_centers_budget(pts, caps, 25, 3, how="modulo")),
         "one_pass": (6, lambda: onepass.one_pass_fair_centers(pts, caps, 1.0)),
@@ -255,9 +253,11 @@ def bounds_on_nations(spark, d):
     }
     rows = []
     for name, (factor, run) in runs.items():
-        r = judged(pts, run(), caps, factor, against=best).first()
-        rows.append((name, r.feasible, r.real, r.within_bound))
-    return spark.createDataFrame(rows, "method string, feasible boolean, real boolean, within_bound boolean")
+        c = run().orderBy("rank")
+        r = measures.approx_ratio(pts, c, caps).first()
+        rows.append((name, ",".join(str(x.point_id) for x in c.collect()), r.cost, r.ratio, r.cost <= factor * r.optimum))
+    out = spark.createDataFrame(rows, "method string, centers string, cost double, ratio_to_optimum double, within_factor boolean")
+    return rounded(out, 6, "cost", "ratio_to_optimum")
 
 
 @query
@@ -313,15 +313,14 @@ def distance_profile(spark, d):
 @query
 def partition_check(spark, d):
     pts = src.cust2d(spark, d)
-    return joins.partition_check(pts, distributed.shard_points(pts, 10))
+    shards = distributed.shard_points(pts, 10)
+    return pts.agg(F.count("*").alias("points"), F.count_distinct("point_id").alias("dealt")).crossJoin(joins.partition_check(pts, shards))
 
 
 @query
 def points_sent(spark, d):
     """Representatives that 10 workers send for a total budget of 240."""
-    s = distributed.worker_budget(src.cust2d(spark, d), 24, 10, how="modulo")
-    n = src.load(spark, d, "customer").count()
-    return measures.points_sent(s).select(F.lit(n).alias("points"), (F.col("shards") == 10).alias("all_shards"), (F.col("net_points") <= 240).alias("within_budget"), (F.col("most_of_a_shard") <= 24 * 5).alias("within_groups"))
+    return measures.points_sent(distributed.worker_budget(src.cust2d(spark, d), 24, 10, how="modulo"))
 
 
 @query
@@ -337,35 +336,53 @@ def cost_bound_check(spark, d):
     net = staged(_net1(spark, d), "net")
     c = staged(nets.solve_on_net(net, FIVE_TWO), "centers")
     cover = nets.check_net(net, pts, 1.0, 1.0).first().covering
-    real = measures.cost(pts, c).first().cost
-    return spark.createDataFrame([(pts.count(), real <= measures.cost_bound(net, c, cover) + 1e-9)], "points long, bound_holds boolean")
+    real, core = measures.cost(pts, c).first().cost, measures.cost(net, c).first().cost
+    bound = measures.cost_bound(net, c, cover)
+    out = spark.createDataFrame([(pts.count(), real, core, cover, bound, real <= bound)], "points long, cost double, net_cost double, covering double, bound double, bound_holds boolean")
+    return rounded(out, 6, "cost", "net_cost", "covering", "bound")
 
 
 @query
 def solver_plugged_in(spark, d):
-    """The exact solver in place of the static one, on the net of the nations."""
+    """The exact solver in place of the static one, on the labelled copies of the nations' net: their number and the optimum over them."""
     pts, caps = staged(src.nation_points(spark, d), "nations"), dict.fromkeys(range(5), 1)
-    c = distributed.distributed_fair_centers(pts, caps, 1.0, 3, how="modulo", solver="exact")
-    return judged(pts, c, caps, 2, against=baselines.exact_fair_centers(pts, caps))
+    sent = staged(distributed.worker_net(pts, 5, 1 / 3, 3, how="modulo"), "worker-nets")
+    net = staged(distributed.coordinator_net(sent, 1 / 3), "net")
+    copies = nets.expand_labels(net).select(F.monotonically_increasing_id().alias("point_id"), "grp", "vec")
+    copies = staged(copies, "copies")
+    best = nets.solve_on_net(net, caps, "exact", keep_all=True, lift=False)
+    return spark.createDataFrame([(copies.count(), measures.cost(copies, best).first().cost)], "copies long, net_optimum double").withColumn("net_optimum", F.round("net_optimum", 6))
 
 
 @query
 def uniform_scaling(spark, d):
-    """The budgeted distributed method on the generated uniform set at growing sizes: seconds and cost."""
-    rows = []
+    """Both distributed methods on the generated uniform set at growing sizes: seconds (mean of 3 runs), points sent and cost."""
+    rows, caps = [], dict.fromkeys(range(4), 10)
     for n in (5_000, 20_000, 80_000):
-        pts = src.uniform_points(spark, n, 50)
-        c, s = measures.timed(lambda pts=pts: measures.center_vectors(distributed.distributed_fair_centers_budget(pts, dict.fromkeys(range(4), 10), budget_total=800, shards=100)), 1)
-        rows.append((n, s, float(measures.cost(pts, c).first().cost)))
-    return spark.createDataFrame(rows, "points long, seconds double, cost double")
+        pts = staged(src.uniform_points(spark, n, 50), "uniform")
+        for name in ("distributed", "prior_distributed"):
+            (c, held), s = measures.timed(lambda pts=pts, name=name: report.run_method(name, pts, caps, budget=800, shards=100))
+            rows.append((name, n, s, held, float(measures.cost(pts, c).first().cost)))
+    return spark.createDataFrame(rows, "method string, points long, seconds double, points_held long, cost double")
 
 
-@query
-def sliding_window_summaries(spark, d):
+def _by_window(spark, d, width, slide):
     e = src.load(spark, d, "events")
     pts = src.evt4(spark, d).join(e.select(F.col("event_id").alias("point_id"), "ts"), "point_id")
-    w = stream.window_summaries(pts, "ts", FIVE_TWO, "2 days", "1 day")
-    return w.groupBy("start", "stop").agg(F.count("*").alias("centers"))
+    w = stream.window_summaries(pts, "ts", FIVE_TWO, width, slide)
+    return w.select(src.day_number("start").alias("start_day"), "rank", "point_id", "grp")
+
+
+@query
+def window_summaries(spark, d):
+    """Fair centers of every day of events."""
+    return _by_window(spark, d, "1 day", None)
+
+
+@query
+def sliding_window_summaries(spark, d):
+    """Fair centers of every two days of events, a window starting each day."""
+    return _by_window(spark, d, "2 days", "1 day")
 
 
 @query
@@ -379,51 +396,44 @@ def representation_greedy(spark, d):
     return rounded(out, 6, "point_share", "center_share")
 
 
-def _net_state(spark, pts, net, gap, cover, *, budget=None):
-    n = pts.count()
-    c = nets.check_net(net, pts, gap, 1.0).first()
-    kept = net.agg(F.bit_or("groups")).first()[0] == pts.agg(F.bit_or(nets.group_bit())).first()[0]
-    row = {"points": n, "packed": c.least_gap > gap - 1e-9, "covered": c.covering <= cover + 1e-9, "groups_kept": bool(kept)}
-    if budget:
-        row["within_budget"] = c.net_points <= budget
-    return spark.createDataFrame([tuple(row.values())], ", ".join(f"{k} {'long' if k == 'points' else 'boolean'}" for k in row))
+def _net_state(spark, pts, net, r):
+    """One row: size, points held, radius, packing, covering and the sum of representatives of a one-pass net."""
+    c = nets.check_net(net, pts, 0.0, 1.0).first()
+    reps = net.agg(F.sum(F.aggregate("reps.point_id", F.lit(0).cast("long"), lambda a, x: a + x)).alias("s")).first().s
+    row = (pts.count(), c.net_points, measures.points_held(net).first()[0], float(r), c.least_gap, c.covering, reps)
+    out = spark.createDataFrame([row], "points long, net_points long, points_held long, r double, least_gap double, covering double, id_sum long")
+    return rounded(out, 6, "r", "least_gap", "covering")
 
 
 @query
 def budget_net_invariants(spark, d):
+    """The budgeted one-pass net: at most 60 points, more than 4r apart, within 8r of all rows."""
     pts = src.cust2d(spark, d)
-    net = staged(onepass.one_pass_budget_net(pts, 60), "net")
-    r = onepass.budget_trace(pts, 60, 1 << 40).first().r
-    return _net_state(spark, pts, net, 4 * r, 8 * r, budget=60)
+    return _net_state(spark, pts, staged(onepass.one_pass_budget_net(pts, 60), "net"), onepass.budget_trace(pts, 60, 1 << 40).first().r)
 
 
 @query
 def incremental_net_invariants(spark, d):
     """Packing eps r / 2 and covering eps r of the guaranteed one-pass net, r from the radius tracker over the same rows."""
     pts = src.cust2d(spark, d)
-    net = staged(onepass.one_pass_net(pts, 10, 1 / 3), "net")
-    r = onepass.budget_trace(pts, 10, 1 << 40).first().r
-    return _net_state(spark, pts, net, r / 6, r / 3)
+    return _net_state(spark, pts, staged(onepass.one_pass_net(pts, 10, 1 / 3), "net"), onepass.budget_trace(pts, 10, 1 << 40).first().r)
 
 
 @query
 def hierarchical_merge_check(spark, d):
-    """Two merge levels with halving radii: packing stays at the last level's radius and covering within its guarantee."""
-    pts = src.cust2d(spark, d)
-    s = staged(distributed.worker_net(pts, 10, 1 / 3, 16, how="modulo"), "worker-nets")
-    most = s.agg(F.max("r_t")).first()[0]
-    net = staged(distributed.coordinator_net(s, 1 / 3, levels=2, fan_in=4), "net")
-    return _net_state(spark, pts, net, most / 3, 4 / 3 * most)
+    """The net of two merge levels with halving radii."""
+    s = staged(distributed.worker_net(src.cust2d(spark, d), 10, 1 / 3, 16, how="modulo"), "worker-nets")
+    return distributed.coordinator_net(s, 1 / 3, levels=2, fan_in=4).select("net_id", "groups")
 
 
 @query
 def budget_trace(spark, d):
-    return onepass.budget_trace(src.cust2d(spark, d), 60, 100)
+    return rounded(onepass.budget_trace(src.cust2d(spark, d), 60, 100), 6, "r")
 
 
 @query
 def radius_doublings(spark, d):
-    return stream.radius_growth(onepass.budget_trace(src.evt4(spark, d), 24, 50))
+    return stream.radius_growth(rounded(onepass.budget_trace(src.cust2d(spark, d), 24, 10), 6, "r")).withColumn("factor", F.round("factor", 6))
 
 
 @query
@@ -431,153 +441,165 @@ def coreset_distortion_check(spark, d):
     pts = src.cust2d(spark, d)
     net = staged(_net1(spark, d), "net")
     c = centers_frame(spark, range(5), range(5), anchors(pts))
-    r = nets.coreset_distortion(net, pts, c).first()
-    n = pts.count()
-    return spark.createDataFrame([(n, abs(r.full_cost - r.core_cost) <= 1.0, net.count() <= n)], "points long, cost_close boolean, net_smaller boolean")
+    r = nets.coreset_distortion(net, pts, c).select(F.lit(pts.count()).cast("long").alias("points"), F.lit(net.count()).cast("long").alias("net_points"), "core_cost", "full_cost", "distortion")
+    return rounded(r, 6, "core_cost", "full_cost", "distortion")
 
 
 @query
 def feasibility_check(spark, d):
-    c = distributed.distributed_fair_centers_budget(src.cust2d(spark, d), FIVE_TWO, 24, 4)
-    return measures.feasibility(c, FIVE_TWO).select("grp", "fits")
+    c = distributed.distributed_fair_centers_budget(src.cust2d(spark, d), FIVE_TWO, 24, 4, how="modulo")
+    return measures.feasibility(c, FIVE_TWO)
 
 
 @query
 def distributed_centers(spark, d):
     pts = staged(src.cust2d(spark, d), "points")
-    return judged(pts, distributed.distributed_fair_centers(pts, FIVE_TWO, 1.0, 4), FIVE_TWO, 6)
+    return solved(pts, distributed.distributed_fair_centers(pts, FIVE_TWO, 1.0, 4, how="modulo"), 10)
 
 
 @query
 def distributed_budget_centers(spark, d):
     pts = staged(src.line6(spark, d), "points")
-    return judged(pts, distributed.distributed_fair_centers_budget(pts, TWO_TEN, budget_total=240, shards=10), TWO_TEN, 3)
+    return solved(pts, distributed.distributed_fair_centers_budget(pts, TWO_TEN, budget_total=240, shards=10, how="modulo"), 20)
 
 
 @query
 def distributed_budget_located_center(spark, d):
     pts = staged(src.line6(spark, d, 5), "points")
-    return judged(pts, distributed.distributed_fair_centers_budget(pts, FIVE_TEN, 24, 10, located="center"), FIVE_TEN, 3)
+    return solved(pts, distributed.distributed_fair_centers_budget(pts, FIVE_TEN, 24, 10, how="modulo", located="center"), 50)
 
 
 @query
 def single_scan_workers(spark, d):
-    pts = staged(src.line6(spark, d), "points")
-    return judged(pts, distributed.distributed_fair_centers_budget(pts, TWO_TEN, 60, worker="single_scan"), TWO_TEN, 6)
+    """Workers that read what their task reads, in one pass: here four tasks, dealt by id."""
+    pts = staged(src.cust2d(spark, d), "points")
+    tasks = pts.repartitionById(4, (F.col("point_id") % 4).cast("int")).sortWithinPartitions("point_id")
+    return solved(pts, distributed.distributed_fair_centers_budget(tasks, FIVE_TWO, 24, worker="single_scan"), 10)
 
 
 @query
 def one_pass_centers(spark, d):
     pts = staged(src.cust2d(spark, d), "points")
-    return judged(pts, onepass.one_pass_fair_centers(pts, FIVE_TWO, 1.0), FIVE_TWO, 6)
+    return solved(pts, onepass.one_pass_fair_centers(pts, FIVE_TWO, 1.0), 10)
 
 
 @query
 def one_pass_budget_centers(spark, d):
-    pts = staged(src.line6(spark, d), "points")
-    return judged(pts, onepass.one_pass_fair_centers_budget(pts, TWO_TEN, 240), TWO_TEN, 6)
+    pts = staged(src.cust2d(spark, d), "points")
+    return solved(pts, onepass.one_pass_fair_centers_budget(pts, FIVE_TWO, 60), 10)
 
 
 @query
 def sharded_one_pass_centers(spark, d):
     pts = staged(src.cust2d(spark, d), "points")
-    return judged(pts, onepass.sharded_fair_centers(pts, FIVE_TWO, 1.0, 4), FIVE_TWO, 6)
+    return solved(pts, onepass.sharded_fair_centers(pts, FIVE_TWO, 1.0, 4, how="modulo"), 10)
 
 
 @query
 def static_centers(spark, d):
     pts = staged(src.line6(spark, d), "points")
-    return judged(pts, static.static_fair_centers(pts, TWO_TEN, fill="greedy"), TWO_TEN, 1)
+    return solved(pts, static.static_fair_centers(pts, TWO_TEN, fill="greedy"), 20)
 
 
 @query
 def static_rounds_centers(spark, d):
     pts = staged(src.cust2d(spark, d), "points")
-    return judged(pts, static.static_fair_centers(pts, FIVE_TWO, where="rounds"), FIVE_TWO, 1)
+    return solved(pts, static.static_fair_centers(pts, FIVE_TWO, where="rounds"), 10)
+
+
+@query
+def static_filled_centers(spark, d):
+    """Spare capacity spent on the farthest allowed points, where capacities bind."""
+    pts = staged(src.corr4(spark, d), "points")
+    return solved(pts, static.static_fair_centers(pts, SKEWED, fill="greedy"), 20)
 
 
 @query
 def two_pass_centers(spark, d):
     pts = staged(src.cust2d(spark, d), "points")
-    return judged(pts, baselines.two_pass_fair_centers(pts, FIVE_TWO, 0.1), FIVE_TWO, 3.3)
+    return solved(pts, baselines.two_pass_fair_centers(pts, FIVE_TWO, 0.1), 10)
 
 
 @query
-def two_pass_census(spark, d):
-    """The two-pass baseline with guesses from greedy pivots."""
-    pts = staged(src.line6(spark, d), "points")
-    return judged(pts, baselines.two_pass_fair_centers(pts, TWO_TEN, 0.1), TWO_TEN, 3.3)
+def two_pass_correlated(spark, d):
+    """The two-pass baseline where capacities bind."""
+    pts = staged(src.corr4(spark, d), "points")
+    return solved(pts, baselines.two_pass_fair_centers(pts, SKEWED, 0.1), 20)
 
 
 @query
 def prior_distributed_centers(spark, d):
     pts = staged(src.line6(spark, d), "points")
-    return judged(pts, baselines.prior_distributed_fair_centers(pts, TWO_TEN, 0.1, 10), TWO_TEN, 18.7)
+    return solved(pts, baselines.prior_distributed_fair_centers(pts, TWO_TEN, 0.1, 10, how="modulo"), 20)
 
 
 @query
 def random_centers(spark, d):
     pts = staged(src.line6(spark, d), "points")
-    return judged(pts, baselines.random_fair_centers(pts, TWO_TEN), TWO_TEN, 1e9).drop("within_bound")
+    return solved(pts, baselines.random_fair_centers(pts, TWO_TEN), 20)
 
 
 @query
 def plain_k_center(spark, d):
     """One group: every path must handle plain k-center."""
-    pts = staged(src.cust2d(spark, d).withColumn("grp", F.lit(0)), "points")
-    return judged(pts, distributed.distributed_fair_centers_budget(pts, {0: 10}, 24, 4), {0: 10}, 3)
+    pts, caps = staged(src.cust2d(spark, d).withColumn("grp", F.lit(0)), "points"), {0: 10}
+    runs = {
+        "static": lambda: static.static_fair_centers(pts, caps),
+        "two_pass": lambda: baselines.two_pass_fair_centers(pts, caps, 0.1),
+        "prior_distributed": lambda: baselines.prior_distributed_fair_centers(pts, caps, 0.1, 4, how="modulo"),
+        "distributed": lambda: distributed.distributed_fair_centers(pts, caps, 1.0, 4, how="modulo"),
+        "distributed_budget": lambda: distributed.distributed_fair_centers_budget(pts, caps, 24, 4, how="modulo"),
+        "one_pass": lambda: onepass.one_pass_fair_centers(pts, caps, 3.0),
+        "one_pass_budget": lambda: onepass.one_pass_fair_centers_budget(pts, caps, 24),
+        "sharded": lambda: onepass.sharded_fair_centers(pts, caps, 3.0, 4, how="modulo"),
+    }
+    out = [run().select(F.lit(name).alias("method"), "rank", "point_id") for name, run in runs.items()]
+    return reduce(DataFrame.union, out)
 
 
 @query
 def binding_capacities(spark, d):
     """Groups that follow a feature, with skewed capacities: fairness has a price."""
-    pts, caps = staged(src.corr4(spark, d), "points"), {0: 1, 1: 9, 2: 9, 3: 1}
-    c = staged(static.static_fair_centers(pts, caps), "centers")
-    fair, (_, plain) = measures.cost(pts, c).first().cost, farthest_first_rounds(pts, 20)
-    fits = measures.feasibility(c, caps).agg(F.bool_and("fits")).first()[0]
-    return spark.createDataFrame([(pts.count(), bool(fits), bool(fair > plain))], "points long, feasible boolean, fair_costs_more boolean")
+    pts = staged(src.corr4(spark, d), "points")
+    fair, plain = measures.cost(pts, static.static_fair_centers(pts, SKEWED)).first().cost, greedy_pivots(pts, 20)[1]
+    out = spark.createDataFrame([(pts.count(), fair, plain, fair / plain)], "points long, fair_cost double, plain_cost double, price double")
+    return rounded(out, 6, "fair_cost", "plain_cost", "price")
 
 
 @query
 def budget_sweep(spark, d):
-    return report.budget_sweep(src.line6(spark, d), TWO_TEN)
-
-
-@query
-def budget_sweep_monotone(spark, d):
-    pts = src.line6(spark, d)
-    r = [x.r for x in distributed.coverage_by_budget(pts, [24, 60, 120, 240, 480]).groupBy("budget").agg(F.max("radius").alias("r")).orderBy("budget").collect()]
-    return spark.createDataFrame([(src.load(spark, d, "lineitem").count(), all(a >= b for a, b in zip(r, r[1:])))], "points long, coverage_falls boolean")
+    out = report.budget_sweep(src.cust2d(spark, d), FIVE_TWO, (5, 10, 20, 40, 80), 4, how="modulo")
+    return rounded(out, 6, "coverage", "cost")
 
 
 @query
 def eps_sweep(spark, d):
-    return report.eps_sweep(src.cust2d(spark, d), FIVE_TWO)
+    return rounded(report.eps_sweep(src.cust2d(spark, d), FIVE_TWO, how="modulo"), 6, "cost")
 
 
 @query
 def guaranteed_orders(spark, d):
     """Guaranteed distributed method on the larger two-dimensional set."""
     pts = staged(src.ord2d(spark, d), "points")
-    caps = dict.fromkeys(range(3), 10)
-    return judged(pts, distributed.distributed_fair_centers(pts, caps, 3.0, 8), caps, 12)
+    return solved(pts, distributed.distributed_fair_centers(pts, dict.fromkeys(range(3), 10), 3.0, 8, how="modulo"), 30)
 
 
 @query
 def cost_ratio_customer(spark, d):
     pts = staged(src.cust2d(spark, d), "points")
-    return measures.cost_ratio(pts, distributed.distributed_fair_centers_budget(pts, FIVE_TWO, 24, 4), 10)
+    out = measures.cost_ratio(pts, distributed.distributed_fair_centers_budget(pts, FIVE_TWO, 24, 4, how="modulo"), 10)
+    return rounded(out, 6, "cost", "greedy_radius", "ratio_greedy", "ratio_true")
 
 
 @query
 def doubling_dimension_customer(spark, d):
-    return spark.createDataFrame([(measures.doubling_dimension(src.cust2d(spark, d), 1.0),)], "dimension double")
+    return rounded(spark.createDataFrame([(measures.doubling_dimension(src.cust2d(spark, d), 1.0),)], "dimension double"), 6, "dimension")
 
 
 @query
 def smallest_sufficient_budget(spark, d):
     pts = staged(src.cust2d(spark, d), "points")
-    b = distributed.smallest_budget(pts, [20, 40, 80, 160, 320], 3.0, 10, 4)
+    b = distributed.smallest_budget(pts, [20, 40, 80, 160, 320], 3.0, 10, 4, how="modulo")
     return spark.createDataFrame([(b,)], "budget long")
 
 
@@ -613,35 +635,37 @@ def uniform_generated(spark, d):
 
 @query
 def pages_by_host(spark, d):
-    pts, caps = staged(src.page_points(spark, d), "pages"), dict.fromkeys(range(6), 5)
-    return distributed.distributed_fair_centers_budget(pts, caps, 24, 5).select("rank", "point_id", "grp")
+    pts, caps = staged(src.page_points(spark, d, hash="md5"), "pages"), dict.fromkeys(range(6), 5)
+    return solved(pts, distributed.distributed_fair_centers_budget(pts, caps, 24, 5, how="modulo"), 30)
 
 
 @query
 def conversations_by_role(spark, d):
-    pts, caps = staged(src.conversation_points(spark, d), "turns"), dict.fromkeys(range(3), 5)
-    return distributed.distributed_fair_centers_budget(pts, caps, 24, 5).select("rank", "point_id", "grp")
+    pts, caps = staged(src.conversation_points(spark, d, hash="md5"), "turns"), dict.fromkeys(range(3), 5)
+    return solved(pts, distributed.distributed_fair_centers_budget(pts, caps, 24, 5, how="modulo"), 15)
 
 
 @query
 def benchmark_coverage(spark, d):
     """How far benchmark items are from fair centers of the documents."""
-    docs = staged(src.doclang(spark, d, 64), "docs")
-    c = distributed.distributed_fair_centers_budget(docs, dict.fromkeys(range(4), 5), 24, 10)
-    return measures.cost(src.benchmark_points(spark, d, 64), c)
+    docs = staged(src.doclang(spark, d, 64, hash="md5"), "docs")
+    c = distributed.distributed_fair_centers_budget(docs, dict.fromkeys(range(4), 5), 24, 10, how="modulo")
+    return rounded(measures.cost(src.benchmark_points(spark, d, 64, hash="md5"), c), 6, "cost")
 
 
 @query
 def user_ranking_centers(spark, d):
     pts = staged(src.user_rankings(spark, d), "users")
-    return onepass.one_pass_fair_centers_budget(pts, FIVE_TWO, 60).select("rank", "point_id", "grp")
+    return solved(pts, onepass.one_pass_fair_centers_budget(pts, FIVE_TWO, 30), 10)
 
 
 @query
-def text_hash_features_norm(spark, d):
+def text_hash_features(spark, d):
+    """Sums over the signed token counts of every document."""
     docs = src.load(spark, d, "documents").select("doc_id", "text").withColumn("grp", F.lit(0))
-    pts = src.hashed_points(docs, "doc_id", "grp", "text", 256)
-    return pts.select("point_id", F.pmod(F.aggregate("vec", F.lit(0.0), lambda a, x: a + F.abs(x)), F.lit(2.0)).cast("long").alias("parity"))
+    pts = src.hashed_points(docs, "doc_id", "grp", "text", 64, hash="md5")
+    total = lambda f: F.aggregate(F.transform("vec", f), F.lit(0.0), lambda a, x: a + x).cast("long")
+    return pts.select("point_id", total(F.abs).alias("norm"), total(lambda x, i: x * (i + 1)).alias("weighted"))
 
 
 @query
@@ -654,23 +678,16 @@ def session_events(spark, d):
     return stream.sessions(src.load(spark, d, "events"))
 
 
-@query
-def window_summaries(spark, d):
-    e = src.load(spark, d, "events")
-    pts = src.evt4(spark, d).join(e.select(F.col("event_id").alias("point_id"), "ts"), "point_id")
-    w = stream.window_summaries(pts, "ts", FIVE_TWO)
-    per = w.groupBy("start", "grp").agg(F.count("*").alias("n"))
-    return per.agg(F.count_distinct("start").alias("windows"), F.bool_and(F.col("n") <= 2).alias("feasible"))
-
-
 def _streamed(spark, d, mode):
-    pts = staged(src.evt4(spark, d).repartitionByRange(3, "point_id"), "event-points")
-    base = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
-    pts.write.parquet(f"{base}/in")
+    """Events as a stream of three files in order of arrival, through two shards."""
+    pts = staged(src.evt4(spark, d), "event-points")
+    base, n = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}", pts.agg(F.max("point_id")).first()[0]
+    for i in range(3):
+        pts.where((F.col("point_id") * 3 > i * n) & (F.col("point_id") * 3 <= (i + 1) * n) | (F.lit(i == 0) & (F.col("point_id") <= 0))).coalesce(1).write.mode("append").parquet(f"{base}/in")
     caps = dict.fromkeys(range(5), 4)
-    run = stream.StreamingFairCenters(caps, mode, budget=60, eps=6.0, shards=2)
-    run.start(stream.stream_points(spark, f"{base}/in", src.POINT, 2), f"{base}/out", f"{base}/checkpoint").awaitTermination()
-    return judged(pts, run.centers(spark, f"{base}/out"), caps, 21)
+    run = stream.StreamingFairCenters(caps, mode, budget=60, eps=6.0, shards=2, how="modulo")
+    run.start(stream.stream_points(spark, f"{base}/in", src.POINT), f"{base}/out", f"{base}/checkpoint").awaitTermination()
+    return solved(pts, run.centers(spark, f"{base}/out"), 20)
 
 
 @query
@@ -692,7 +709,7 @@ def sql_surface(spark, d):
     spark.sql(f"SELECT * FROM net_summary(TABLE({name}) PARTITION BY (shard) ORDER BY (point_id), 24)").createOrReplaceTempView(f"{name}_net")
     caps = '{"0": 2, "1": 2, "2": 2, "3": 2, "4": 2}'
     centers = spark.sql(f"SELECT * FROM fair_centers(TABLE(SELECT member_id, member_grp, member FROM {name}_net) WITH SINGLE PARTITION, '{caps}')")
-    out = judged(pts, centers, FIVE_TWO, 6)
+    out = solved(pts, centers, 10)
     spark.catalog.dropTempView(name), spark.catalog.dropTempView(f"{name}_net")
     return out
 

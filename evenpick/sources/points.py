@@ -64,12 +64,15 @@ def crossed(a: str, b: str, n_b: int) -> Column:
     return F.col(a) * n_b + F.col(b)
 
 
-def normalise(df: DataFrame, columns: Sequence[str], kind: str = "zscore") -> DataFrame:
-    """Columns scaled by one aggregate over the table: population z-scores or the 0..1 range; a constant column becomes 0."""
+def normalise(df: DataFrame, columns: Sequence[str], kind: str = "zscore", digits: int = 6) -> DataFrame:
+    """Columns scaled by one aggregate over the table: population z-scores or the 0..1 range; a constant column becomes 0.
+
+    Mean and deviation are rounded to ``digits`` decimals, so the order in which tasks add up does not show in the points.
+    """
     if kind == "none":
         return df
     if kind == "zscore":
-        stats = [x for c in columns for x in (F.avg(c).alias(f"{c}__a"), F.stddev_pop(c).alias(f"{c}__b"))]
+        stats = [x for c in columns for x in (F.round(F.avg(c), digits).alias(f"{c}__a"), F.round(F.stddev_pop(c), digits).alias(f"{c}__b"))]
     else:
         stats = [x for c in columns for x in (F.min(c).alias(f"{c}__a"), (F.max(c) - F.min(c)).alias(f"{c}__b"))]
     one = df.agg(*stats)
@@ -189,16 +192,20 @@ def dochash(spark: SparkSession, sf_dir: str, dim: int = 256, groups: int = 2) -
     return hashed_points(docs.withColumn("grp", grp), "doc_id", "grp", "text", dim)
 
 
-def doclang(spark: SparkSession, sf_dir: str, dim: int = 256) -> DataFrame:
+def doclang(spark: SparkSession, sf_dir: str, dim: int = 256, hash: str = "xxhash64") -> DataFrame:
     d = with_group(load(spark, sf_dir, "documents").select("doc_id", "text", "lang"), "lang")
-    return hashed_points(d, "doc_id", "grp", "text", dim)
+    return hashed_points(d, "doc_id", "grp", "text", dim, hash)
+
+
+#: Token hashes: the fast one, and one that other engines have too.
+TOKEN_HASH = {"xxhash64": lambda t: F.xxhash64(t), "md5": lambda t: F.conv(F.substring(F.md5(t.cast("binary")), 1, 15), 16, 10).cast("long")}
 
 
-def hashed_points(df: DataFrame, point_id: str, group: str, text: str, dim: int) -> DataFrame:
+def hashed_points(df: DataFrame, point_id: str, group: str, text: str, dim: int, hash: str = "xxhash64") -> DataFrame:
     """Signed token counts by an Arrow kernel (wide vectors would make expressions quadratic)."""
     ship_package(df.sparkSession)
     rows = df.select(F.col(point_id).cast("long").alias("point_id"), F.col(group).cast("int").alias("grp"), F.filter(F.split(F.lower(F.coalesce(text, F.lit(""))), r"[^\p{L}\p{N}]+"), lambda t: t != "").alias("t"))
-    rows = rows.select("point_id", "grp", F.transform("t", lambda t: F.xxhash64(t)).alias("h"))
+    rows = rows.select("point_id", "grp", F.transform("t", TOKEN_HASH[hash]).alias("h"))
 
     def run(batches):
         for batch in batches:
@@ -231,7 +238,7 @@ def event_points(events: DataFrame, types: Sequence[str]) -> DataFrame:
     """Stream or batch events as points: value, hour, weekday, log value; one group per event type (fixed list, so it works on streams)."""
     grp = F.array_position(F.array(*[F.lit(t) for t in types]), F.col("event_type")) - 1
     e = events.where(grp >= 0)
-    return points_from(e, "event_id", [F.col("value") / 100, F.hour("ts") / F.lit(24.0), F.dayofweek("ts") / F.lit(7.0), F.log1p("value")], grp)
+    return points_from(e, "event_id", [F.col("value") / 100, F.hour("ts") / F.lit(24.0), F.dayofweek("ts") / F.lit(7.0), F.round(F.log1p("value"), 6)], grp)
 
 
 def evt4(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -251,21 +258,21 @@ def user_rankings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return n.join(c, n.user_id == c.c_custkey).select(F.col("user_id").alias("point_id"), F.col("grp").cast("int"), encode_ranking([ahead(b) for b in k]).alias("vec"))
 
 
-def page_points(spark: SparkSession, sf_dir: str, dim: int = 64, top: int = 5) -> DataFrame:
+def page_points(spark: SparkSession, sf_dir: str, dim: int = 64, top: int = 5, hash: str = "xxhash64") -> DataFrame:
     """Pages by hashed tokens of their HTML; groups are the most frequent hosts and the rest."""
     p = load(spark, sf_dir, "pages").select("page_id", "html", F.coalesce(F.try_parse_url("url", F.lit("HOST")), F.lit("")).alias("host"))
     hosts = p.groupBy("host").count().orderBy(F.col("count").desc(), "host").limit(top).withColumn("grp", F.row_number().over(W.orderBy(F.col("count").desc(), "host")) - 1)
     p = p.join(F.broadcast(hosts.select("host", "grp")), "host", "left").withColumn("grp", F.coalesce("grp", F.lit(top)))
-    return hashed_points(p, "page_id", "grp", "html", dim)
+    return hashed_points(p, "page_id", "grp", "html", dim, hash)
 
 
-def conversation_points(spark: SparkSession, sf_dir: str, dim: int = 64) -> DataFrame:
+def conversation_points(spark: SparkSession, sf_dir: str, dim: int = 64, hash: str = "xxhash64") -> DataFrame:
     c = with_group(load(spark, sf_dir, "conversations").withColumn("id", F.col("conv_id") * 100000 + F.col("turn")), "role")
-    return hashed_points(c, "id", "grp", "text", dim)
+    return hashed_points(c, "id", "grp", "text", dim, hash)
 
 
-def benchmark_points(spark: SparkSession, sf_dir: str, dim: int = 64) -> DataFrame:
-    return hashed_points(load(spark, sf_dir, "benchmark").withColumn("grp", F.lit(0)), "item_id", "grp", "text", dim)
+def benchmark_points(spark: SparkSession, sf_dir: str, dim: int = 64, hash: str = "xxhash64") -> DataFrame:
+    return hashed_points(load(spark, sf_dir, "benchmark").withColumn("grp", F.lit(0)), "item_id", "grp", "text", dim, hash)
 
 
 def nation_points(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -135,4 +135,4 @@ def sessions(events: DataFrame, gap: str = "30 minutes") -> DataFrame:
 def radius_growth(trace: DataFrame) -> DataFrame:
     """Rows of a trace at which r grew, with the factor."""
     w = W.orderBy("n_seen")
-    return trace.withColumn("before", F.lag("r").over(w)).where("r > before").withColumn("factor", F.col("r") / F.col("before"))
+    return trace.withColumn("before", F.lag("r").over(w)).where("r > before").withColumn("factor", F.col("r") / F.nullif("before", F.lit(0.0)))

@@ -7,14 +7,15 @@ import duckdb
 import pytest
 from pyspark.sql import functions as F
 
-from evenpick import oracles
+from evenpick import method_oracles, oracles
 from evenpick.api import METHODS, FairCenters, FairCentersModel
 from evenpick.operators import distributed, joins, measures, nets, onepass, report, static
 from evenpick.queries import FIVE_TWO, QUERIES
 from evenpick.sources import points as src
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = ("report_", "eps_sweep", "budget_sweep")
+SLOW = ("report_", "uniform_scaling", "checkpoint_report")
+SQL = {**oracles.SQL, **method_oracles.SQL}
 
 
 @pytest.fixture(scope="module")
@@ -33,8 +34,8 @@ def plain(rows, names):
 @pytest.mark.parametrize("name", [q for q in QUERIES if not q.startswith(SLOW)])
 def test_query(spark, sf, duck, name):
     rows = [r.asDict() for r in QUERIES[name](spark, sf).collect()]
-    if name in oracles.SQL:
-        cur = duck.execute(oracles.SQL[name])
+    if name in SQL:
+        cur = duck.execute(SQL[name])
         names = [c[0] for c in cur.description]
         want = [dict(zip(names, r)) for r in cur.fetchall()]
         assert not rows or set(rows[0]) == set(names)
@@ -169,3 +170,14 @@ def test_two_pass_guesses_do_not_depend_on_the_size(spark):
     plain, held = baselines.two_pass_run(points, caps, 0.1)
     given, same = baselines.two_pass_run(points, caps, 0.1, bounds=bounds)
     assert held == same and [r.point_id for r in plain.orderBy("rank").collect()] == [r.point_id for r in given.orderBy("rank").collect()]
+
+
+def test_random_centers_do_not_pass(spark, sf):
+    """Where capacities bind, a random feasible choice is worse than every method, so the replays tell them apart."""
+    from evenpick.operators import baselines
+    from evenpick.queries import SKEWED
+
+    pts = src.corr4(spark, sf).cache()
+    cost = lambda c: measures.cost(pts, c).first().cost
+    worst = max(cost(static.static_fair_centers(pts, SKEWED)), cost(baselines.two_pass_fair_centers(pts, SKEWED, 0.1)), cost(distributed.distributed_fair_centers_budget(pts, SKEWED, 24, 4)))
+    assert all(cost(baselines.random_fair_centers(pts, SKEWED, seed)) > worst for seed in range(5))
