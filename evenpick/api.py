@@ -25,7 +25,7 @@ class FairCenters:
     method: str = "distributed_budget"
     eps: float | None = None
     budget: int | None = None
-    shards: int | None = 10
+    shards: int | None = None
     how: str = "hash"
     solver: str = "static"
     fill: str = "none"
@@ -37,10 +37,10 @@ class FairCenters:
             "distributed_budget": lambda: distributed.distributed_fair_centers_budget(points, c, self.budget or 24, s, m, self.how, solver=self.solver, fill=self.fill),
             "one_pass": lambda: onepass.one_pass_fair_centers(points, c, self.eps or 1.0, m, solver=self.solver),
             "one_pass_budget": lambda: onepass.one_pass_fair_centers_budget(points, c, self.budget or 240, m, solver=self.solver, fill=self.fill),
-            "sharded": lambda: onepass.sharded_fair_centers(points, c, self.eps or 1.0, s or 10, m, self.how, self.solver),
+            "sharded": lambda: onepass.sharded_fair_centers(points, c, self.eps or 1.0, s, m, self.how, self.solver),
             "static": lambda: static_fair_centers(points, c, m, self.fill),
             "two_pass": lambda: baselines.two_pass_fair_centers(points, c, self.eps or 0.1, m),
-            "prior_distributed": lambda: baselines.prior_distributed_fair_centers(points, c, self.eps or 0.1, s or 10, m, self.how),
+            "prior_distributed": lambda: baselines.prior_distributed_fair_centers(points, c, self.eps or 0.1, s, m, self.how),
             "exact": lambda: baselines.exact_fair_centers(points, c, m),
             "random": lambda: baselines.random_fair_centers(points, c),
         }

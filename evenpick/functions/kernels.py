@@ -113,20 +113,57 @@ def threshold_net(x, ids, grp, radius: float, m: Metric | str = "l1", policy: st
     return net_from_assignment(x, ids, grp, centers, owner, dist, policy) if n else Net()
 
 
-def merge_nets(fine: Net, coarse: Net, radius: float, m: Metric | str = "l1", alpha: float = 1.0, policy: str = "first") -> Net:
+def _earliest(x: np.ndarray, held: np.ndarray, radius: float, m: Metric, pairs: int = 4_000_000) -> tuple[np.ndarray, np.ndarray]:
+    """(owner, distance): the earliest of ``held`` within ``radius`` of each row, or -1; memory is bounded by ``pairs``."""
+    owner, dist = np.full(len(x), -1), np.zeros(len(x))
+    step = max(1, pairs // max(1, len(held)))
+    for i in range(0, len(x) if len(held) else 0, step):
+        d = m.block(x[i : i + step], held)
+        hit = d <= radius
+        at = hit.argmax(1)
+        found = hit[np.arange(len(at)), at]
+        owner[i : i + step][found], dist[i : i + step][found] = at[found], d[np.arange(len(at)), at][found]
+    return owner, dist
+
+
+def _placed(net: Net, held: np.ndarray, x: np.ndarray, radius: float, m: Metric, open_row, cover_row) -> None:
+    """Rows in order against a growing net whose positions are ``held``: each opens a net point or is covered by the earliest near one."""
+    owner, dist = _earliest(x, held, radius, m)
+    for i in range(len(x)):
+        if owner[i] < 0:
+            open_row(i)
+            rest = np.flatnonzero(owner[i + 1 :] < 0) + i + 1
+            if len(rest):
+                d = m.one_to_many(x[i], x[rest])
+                near = d <= radius
+                owner[rest[near]], dist[rest[near]] = len(net) - 1, d[near]
+        else:
+            cover_row(i, int(owner[i]), float(dist[i]))
+
+
+def extend_net(net: Net, x, ids, grp, radius: float, m: Metric | str, policy: str) -> Net:
+    """Rows in order against a growing net; whole blocks are covered at once."""
+    m = metric(m)
+    _placed(
+        net, net.matrix(x.shape[1]), x, radius, m,
+        lambda i: net.add(ids[i], x[i], grp[i]),
+        lambda i, at, d: net.offer(at, int(grp[i]), (int(ids[i]), x[i], d), policy),
+    )
+    return net
+
+
+def merge_nets(fine: Net, coarse: Net, radius: float, m: Metric | str = "l1", alpha: float = 1.0, policy: str = "first", rows: int = 256) -> Net:
     """Absorb the finer net into the coarser one at ``alpha * radius``; with an empty coarse net this re-nets the fine one."""
     m = metric(m)
     out = Net(list(coarse.ids), list(coarse.vecs), list(coarse.grps), [dict(r) for r in coarse.reps])
-    held = coarse.matrix(len(fine.vecs[0]) if fine.vecs else 0)
-    for pid, vec, grp, reps in zip(fine.ids, fine.vecs, fine.grps, fine.reps):
-        near = np.flatnonzero(m.one_to_many(vec, held) <= alpha * radius) if len(held) else []
-        if len(near):
-            at = int(near[0])
-            for g, (rid, rvec, _) in sorted(reps.items()):
-                out.offer(at, g, (rid, rvec, float(m.block(rvec[None], held[at][None])[0, 0])), policy)
-        else:
-            out.add(pid, vec, grp, reps)
-            held = np.vstack([held, vec[None]]) if len(held) else vec[None].copy()
+
+    def absorb(i: int, at: int) -> None:
+        for g, (rid, rvec, _) in sorted(fine.reps[i].items()):
+            out.offer(at, g, (rid, rvec, float(m.block(rvec[None], out.vecs[at][None])[0, 0])), policy)
+
+    for a in range(0, len(fine), rows):
+        x = np.stack(fine.vecs[a : a + rows])
+        _placed(out, out.matrix(x.shape[1]), x, alpha * radius, m, lambda i, a=a: out.add(fine.ids[a + i], fine.vecs[a + i], fine.grps[a + i], fine.reps[a + i]), lambda i, at, d, a=a: absorb(a + i, at))
     return out
 
 
@@ -205,6 +242,8 @@ class BudgetNet:
             self.net.offer(int(owner[i]), int(grp[i]), (int(ids[i]), x[i], float(dist[i])), self.policy)
 
     def _overflow(self) -> None:
+        if self.policy:
+            self.held_most = max(self.held_most, self.net.points_held())
         x = self.net.matrix()
         start = 1
         if self.r == 0:
@@ -257,38 +296,58 @@ class IncrementalNet:
 
     def __init__(self, k: int, eps_bar: float, m: Metric | str = "l1", policy: str = "first", max_net: int = 200_000):
         self.tracker, self.eps_bar, self.m, self.policy, self.max_net = RadiusTracker(k, m), eps_bar, metric(m), policy, max_net
-        self.net, self._held, self.seen, self.held_most = Net(), None, 0, 0
+        self.net, self.seen, self.held_most = Net(), 0, 0
 
     @property
     def r(self) -> float:
         return self.tracker.r
 
     def insert(self, pid: int, grp: int, vec: np.ndarray) -> None:
-        vec = np.asarray(vec, float)
-        self.seen += 1
-        if self.tracker.offer(vec):
-            self.net = merge_nets(self.net, Net(), self.eps_bar * self.r / 2, self.m, alpha=1.0, policy=self.policy)
-            self._held = self.net.matrix(len(vec))
-        near = np.flatnonzero(self.m.one_to_many(vec, self._held[: len(self.net)]) <= self.eps_bar * self.r) if len(self.net) else []
-        if len(near):
-            d = float(self.m.block(vec[None], self._held[near[0]][None])[0, 0])
-            self.net.offer(int(near[0]), int(grp), (int(pid), vec, d), self.policy)
-            return
-        if len(self.net) >= self.max_net:
-            raise ValueError(f"net exceeds {self.max_net} points: eps is too small for this dimension; use the budgeted method")
-        if self._held is None or len(self._held) <= len(self.net):
-            grown = np.zeros((max(64, 2 * len(self.net)), len(vec)))
-            if len(self.net):
-                grown[: len(self.net)] = self.net.matrix()
-            self._held = grown
-        self._held[len(self.net)] = vec
-        self.net.add(pid, vec, grp)
-
-    def insert_block(self, x, ids, grp) -> None:
-        for v, i, g in zip(x, ids, grp):
-            self.insert(int(i), int(g), v)
+        self.insert_block(np.asarray(vec, float)[None], np.array([pid]), np.array([grp]))
+
+    def insert_block(self, x, ids, grp, step: int = 4096) -> None:
+        """Rows that the tracker covers cannot move r, so they are placed as one block; the others go one by one."""
+        for i in range(0, len(x), step):
+            self._block(x[i : i + step], ids[i : i + step], grp[i : i + step])
+
+    def _block(self, x, ids, grp) -> None:
+        at, far = 0, self._far(x)
+        while at < len(x):
+            out = np.flatnonzero(far[at:] > 8 * self.r)
+            stop = at + int(out[0]) if len(out) else len(x)
+            self._place(x[at:stop], ids[at:stop], grp[at:stop])
+            if (at := stop) == len(x):
+                break
+            if grew := self.tracker.offer(x[at]):
+                self.net = merge_nets(self.net, Net(), self.eps_bar * self.r / 2, self.m, alpha=1.0, policy=self.policy)
+            self._place(x[at : at + 1], ids[at : at + 1], grp[at : at + 1])
+            at += 1
+            far[at:] = self._far(x[at:]) if grew else np.minimum(far[at:], self.m.one_to_many(x[at - 1], x[at:])) if at < len(x) else far[at:]
         self.held_most = max(self.held_most, self.net.points_held())
 
+    def _far(self, x) -> np.ndarray:
+        c = self.tracker.centers
+        return self.m.block(x, c).min(1) if len(c) and len(x) else np.full(len(x), np.inf)
+
+    def _place(self, x, ids, grp) -> None:
+        self.seen += len(x)
+        if len(x):
+            extend_net(self.net, x, ids, grp, self.eps_bar * self.r, self.m, self.policy)
+        if len(self.net) > self.max_net:
+            raise ValueError(f"net exceeds {self.max_net} points: eps is too small for this dimension; use the budgeted method")
+
+
+def nearest_by_group(x, ids, grp, centers, m: Metric | str = "l1"):
+    """(center, group, distance, row) of the nearest member of each group for each center, ties to the smaller id."""
+    m, order = metric(m), np.lexsort((ids, grp))
+    x, sorted_grp = x[order], grp[order]
+    cuts = np.flatnonzero(np.diff(sorted_grp, prepend=sorted_grp[:1] - 1)) if len(order) else np.zeros(0, np.int64)
+    for j in range(len(centers)):
+        d = m.one_to_many(centers[j], x)
+        for a, b in zip(cuts, np.append(cuts[1:], len(order))):
+            at = a + int(d[a:b].argmin())
+            yield j, int(sorted_grp[a]), float(d[at]), int(order[at])
+
 
 def min_dist_block(x: np.ndarray, c: np.ndarray, m: Metric | str = "l1", rows: int = 8192) -> tuple[np.ndarray, np.ndarray]:
     """(least distance, index of the first nearest center) of each row, in chunks."""

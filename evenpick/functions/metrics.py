@@ -54,10 +54,14 @@ def _total(a: Column) -> Column:
 
 
 def _blockwise(one: Callable[[np.ndarray], np.ndarray]) -> Callable[[np.ndarray, np.ndarray], np.ndarray]:
-    """Distances center by center: memory stays at one copy of the rows, and sums run in feature order."""
+    """Distances row by row of the smaller side: memory stays at one copy of the other, and sums run in feature order."""
 
     def run(x: np.ndarray, c: np.ndarray) -> np.ndarray:
         out = np.empty((len(x), len(c)))
+        if len(x) < len(c):
+            for i, row in enumerate(x):
+                out[i] = one(c - row)
+            return out
         for j, center in enumerate(c):
             out[:, j] = one(x - center)
         return out

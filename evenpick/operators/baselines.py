@@ -11,11 +11,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from evenpick.functions.kernels import farthest_first, spread_subset
+from evenpick.functions.kernels import farthest_first, nearest_by_group, spread_subset
 from evenpick.functions.matching import match_pivots, saturates
 from evenpick.functions.metrics import Metric, metric
 from evenpick.functions.solver import check_caps, solve_exact
-from evenpick.operators.frames import arrays, centers_frame, in_order, per_shard, shard_points, to_driver
+from evenpick.operators.frames import arrays, centers_frame, in_order, per_shard, shard_points, shards_for, to_driver
 from evenpick.operators.greedy import greedy_pivots
 from evenpick.plans.durable import ship_package, staged
 
@@ -76,14 +76,9 @@ def _members(points: DataFrame, pivots: pd.DataFrame, reach: float, m: str) -> D
             if not len(b):
                 continue
             x, ids, grp = np.stack(b.vec.to_numpy()).astype(float), b.point_id.to_numpy(), b.grp.to_numpy()
-            for j in range(len(c)):
-                d = metric(m).one_to_many(c[j], x)
-                rows = np.flatnonzero(d <= reach * tau[j])
-                rows = rows[np.lexsort((ids[rows], d[rows], grp[rows]))]
-                for i in rows[np.unique(grp[rows], return_index=True)[1]]:
-                    key = (j, int(grp[i]))
-                    if key not in best or (d[i], ids[i]) < best[key][:2]:
-                        best[key] = (float(d[i]), int(ids[i]), x[i])
+            for j, g, d, i in nearest_by_group(x, ids, grp, c, m):
+                if d <= reach * tau[j] and ((j, g) not in best or (d, ids[i]) < best[j, g][:2]):
+                    best[j, g] = (d, int(ids[i]), x[i])
         yield pd.DataFrame([(tau[j], pivot[j], g, d, i, v.tolist()) for (j, g), (d, i, v) in best.items()], columns=["tau", "pivot", "grp", "dist", "point_id", "vec"]).astype({"pivot": "int32", "grp": "int32"})
 
     edges = points.select("point_id", "grp", "vec").mapInPandas(run, EDGE)
@@ -120,9 +115,14 @@ def two_pass_run(points, caps, eps=0.1, m="l1", order=("point_id",), bounds=None
     return centers_frame(points.sparkSession, got.point_id, got.grp, got.vec), len(pivots) + len(edges)
 
 
-def prior_distributed_fair_centers(points: DataFrame, caps: Mapping[int, int], eps: float = 0.1, shards: int = 10, m: Metric | str = "l1", how: str = "hash") -> DataFrame:
+def prior_distributed_fair_centers(points: DataFrame, caps: Mapping[int, int], eps: float = 0.1, shards: int | None = None, m: Metric | str = "l1", how: str = "hash") -> DataFrame:
     """CENTER within 17 + eps in one round: workers send k pivots and the nearest member of each group around each; guesses are tried at the coordinator."""
-    caps, name = check_caps(caps), metric(m).name
+    return prior_distributed_run(points, caps, eps, shards, m, how)[0]
+
+
+def prior_distributed_run(points, caps, eps=0.1, shards=None, m="l1", how="hash") -> tuple[DataFrame, int]:
+    """(CENTER, points that the workers send)."""
+    caps, name, shards = check_caps(caps), metric(m).name, shards_for(points, shards)
     k = sum(caps.values())
 
     def run(shard, x, ids, grp):
@@ -158,7 +158,7 @@ def prior_distributed_fair_centers(points: DataFrame, caps: Mapping[int, int], e
                 mine = np.flatnonzero(grp == g)
                 rows.append(int(mine[d[mine, i].argmin()]))
             got = members.iloc[list(dict.fromkeys(rows))]
-            return centers_frame(points.sparkSession, got.point_id, got.grp, got.vec)
+            return centers_frame(points.sparkSession, got.point_id, got.grp, got.vec), sent.point_id.nunique()
     raise ValueError("no guess matches: no point belongs to a group with capacity")
 
 

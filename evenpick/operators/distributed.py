@@ -112,7 +112,7 @@ def budget_tree(summaries: DataFrame, budget: int, m: Metric | str = "l1", fan_i
     return reps.groupBy("bucket").applyInPandas(run, SUMMARY)
 
 
-def distributed_fair_centers(points: DataFrame, caps: Mapping[int, int], eps: float = 1.0, shards: int | None = 10, m: Metric | str = "l1", how: str = "hash", solver="static", levels: int | None = None, fill: str = "none") -> DataFrame:
+def distributed_fair_centers(points: DataFrame, caps: Mapping[int, int], eps: float = 1.0, shards: int | None = None, m: Metric | str = "l1", how: str = "hash", solver="static", levels: int | None = None, fill: str = "none") -> DataFrame:
     """CENTER within 3(1 + eps) of the optimum, in one communication round.
 
     ``shards=None`` sizes the shards by the data; ``levels=None`` adds merge levels as the shards grow past ``FAN_IN``.
@@ -126,20 +126,21 @@ def distributed_fair_centers(points: DataFrame, caps: Mapping[int, int], eps: fl
 
 
 def distributed_fair_centers_budget(
-    points: DataFrame, caps: Mapping[int, int], budget: int = 24, shards: int | None = 10, m: Metric | str = "l1", how: str = "hash", located: str = "rep",
-    worker: str = "buffered", budget_total: int | None = None, solver="static", fill: str = "none", merge_above: int = 1_000_000,
+    points: DataFrame, caps: Mapping[int, int], budget: int = 24, shards: int | None = None, m: Metric | str = "l1", how: str = "hash", located: str = "rep",
+    worker: str = "buffered", budget_total: int | None = None, solver="static", fill: str = "none", merge: bool = False,
 ) -> DataFrame:
     """CENTER from ``budget`` greedy centers per shard (or ``budget_total`` over all), solved on the real representatives.
 
-    ``shards=None`` sizes the shards by the data; ``worker='single_scan'`` needs no shards at all. If the workers send more than ``merge_above`` representatives, groups of workers are merged first.
+    ``shards=None`` sizes the shards by the data; ``worker='single_scan'`` needs no shards at all. ``merge`` asks for greedy centers of groups of workers
+    in between (fewer points for the solver, a larger coverage radius); without it the solver takes whatever the workers send.
     """
     caps = check_caps(caps)
-    shards = shards_for(points, shards)
+    shards = shards_for(points, shards) if worker == "buffered" or budget_total else 1
     if budget_total:
         budget = max(1, budget_total // shards)
     sent = worker_scan(points, budget, m) if worker == "single_scan" else worker_budget(points, budget, shards, m, how)
     sent = staged(sent, "worker-budgets")
-    while sent.agg(F.sum(F.size("reps"))).first()[0] > merge_above:
+    if merge:
         sent = staged(budget_tree(sent, budget, m), "merged-budgets")
     return solve_on_net(sent.select("net_id", "vec", "grp", "groups", "reps"), caps, solver, m, located=located, fill=fill)
 

@@ -22,6 +22,12 @@ MAX_GROUPS = 62
 SHARD_VALUES = 25_000_000
 #: Most rows that a solver takes to the driver.
 DRIVER_ROWS = 2_000_000
+#: Most vector components that a driver run takes (160 MB of doubles).
+DRIVER_VALUES = 20_000_000
+
+
+def fits_driver(rows: int, dim: int | None) -> bool:
+    return rows <= DRIVER_ROWS and rows * (dim or 1) <= DRIVER_VALUES
 
 
 def matrix(column) -> np.ndarray:
@@ -59,6 +65,32 @@ def per_shard(points: DataFrame, run: Callable[[int, np.ndarray, np.ndarray, np.
     return points.select("shard", "point_id", "grp", "vec").groupBy("shard").applyInPandas(work, schema)
 
 
+def per_shard_stream(points: DataFrame, start: Callable, finish: Callable, schema: str) -> DataFrame:
+    """One kernel per shard, fed block by block in id order: memory is the kernel's own, however large a shard is.
+
+    ``start()`` makes a kernel with ``insert_block``; ``finish(shard, kernel)`` gives its rows.
+    """
+    ship_package(points.sparkSession)
+
+    def work(batches):
+        shard, kernel = None, None
+        for b in batches:
+            of = b.shard.to_numpy(np.int64)
+            for part in np.split(np.arange(len(of)), np.flatnonzero(np.diff(of)) + 1):
+                if not len(part):
+                    continue
+                if kernel is None or of[part[0]] != shard:
+                    if kernel is not None:
+                        yield finish(shard, kernel)
+                    shard, kernel = int(of[part[0]]), start()
+                rows = b.iloc[part]
+                kernel.insert_block(matrix(rows.vec.to_numpy()), rows.point_id.to_numpy(np.int64), rows.grp.to_numpy(np.int64))
+        if kernel is not None:
+            yield finish(shard, kernel)
+
+    return points.select("shard", "point_id", "grp", "vec").repartition("shard").sortWithinPartitions("shard", "point_id").mapInPandas(work, schema)
+
+
 def in_order(points: DataFrame, order: list[Column | str], run: Callable[[Iterator[tuple]], Iterator[pd.DataFrame]], schema: str) -> DataFrame:
     """One ordered replay of all points through ``run`` (a stream is one task by definition); memory is the kernel's own."""
     ship_package(points.sparkSession)
@@ -66,7 +98,7 @@ def in_order(points: DataFrame, order: list[Column | str], run: Callable[[Iterat
     def work(batches):
         yield from run((matrix(b.vec.to_numpy()), b.point_id.to_numpy(np.int64), b.grp.to_numpy(np.int64)) for b in batches if len(b))
 
-    return points.orderBy(*order).select("point_id", "grp", "vec").coalesce(1).mapInPandas(work, schema)
+    return points.repartition(1).sortWithinPartitions(*order).select("point_id", "grp", "vec").mapInPandas(work, schema)
 
 
 def to_driver(df: DataFrame, limit: int = DRIVER_ROWS) -> pd.DataFrame:

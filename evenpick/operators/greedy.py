@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from evenpick.functions.kernels import farthest_first, farthest_first_pruned
 from evenpick.functions.metrics import UNROLL_TERMS, Metric, metric
-from evenpick.operators.frames import arrays, per_shard, shard_points, to_driver
+from evenpick.operators.frames import arrays, fits_driver, per_shard, shard_points, to_driver
 from evenpick.plans.durable import checkpointed, ship_package
 
 PIVOT = "shard long, rank int, point_id long, delta double, radius double"
@@ -48,10 +48,10 @@ def farthest_first_rounds(points: DataFrame, k: int, m: Metric | str = "l1", eve
         held.append((far.point_id, list(far.vec), float(far.md)))
 
 
-def greedy_pivots(points: DataFrame, k: int, m: Metric | str = "l1", local_values: int = 20_000_000) -> tuple[list[tuple[int, list[float], float]], float]:
-    """As ``farthest_first_rounds``, in one driver run where the measured number of vector components is small enough."""
+def greedy_pivots(points: DataFrame, k: int, m: Metric | str = "l1") -> tuple[list[tuple[int, list[float], float]], float]:
+    """As ``farthest_first_rounds``, in one driver run where the measured size allows it; both give the same pivots."""
     n, d = points.agg(F.count("*"), F.max(F.size("vec"))).first()
-    if n * (d or 1) > local_values:
+    if not fits_driver(n, d):
         return farthest_first_rounds(points, k, m)
     x, ids, _ = arrays(to_driver(points.select("point_id", "grp", "vec")))
     p, delta, radius, _, _ = farthest_first(x, k, m)

@@ -13,7 +13,7 @@ from evenpick.functions import kernels
 from evenpick.functions.kernels import Net
 from evenpick.functions.metrics import Metric, metric
 from evenpick.functions.solver import SOLVERS, Solution, check_caps
-from evenpick.operators.frames import MAX_GROUPS, NET, REPS, centers_frame, in_order, net_of, net_rows, to_driver
+from evenpick.operators.frames import DRIVER_ROWS, MAX_GROUPS, NET, REPS, centers_frame, in_order, matrix, net_of, net_rows, to_driver
 from evenpick.plans.durable import ship_package
 
 
@@ -24,33 +24,12 @@ def threshold_net(points: DataFrame, radius: float, m: Metric | str = "l1", orde
     def run(blocks):
         net = Net()
         for x, ids, grp in blocks:
-            net = extend_net(net, x, ids, grp, radius, name, reps)
+            net = kernels.extend_net(net, x, ids, grp, radius, name, reps)
         yield net_rows(net)
 
     return in_order(points, [order], run, NET)
 
 
-def extend_net(net: Net, x, ids, grp, radius: float, m: Metric | str, policy: str) -> Net:
-    """Rows in order against a growing net; whole blocks are covered at once."""
-    m = metric(m)
-    owner, dist = np.full(len(x), -1), np.zeros(len(x))
-    if len(net):
-        d = m.block(x, net.matrix())
-        hit = d <= radius
-        owner = np.where(hit.any(1), hit.argmax(1), -1)
-        dist = d[np.arange(len(x)), np.maximum(owner, 0)]
-    for i in range(len(x)):
-        if owner[i] < 0:
-            net.add(ids[i], x[i], grp[i])
-            rest = np.flatnonzero(owner[i + 1 :] < 0) + i + 1
-            d = m.one_to_many(x[i], x[rest])
-            near = d <= radius
-            owner[rest[near]], dist[rest[near]] = len(net) - 1, d[near]
-        else:
-            net.offer(int(owner[i]), int(grp[i]), (int(ids[i]), x[i], float(dist[i])), policy)
-    return net
-
-
 def group_bit() -> Column:
     """The bit of a row's group (the shift's width comes from a column)."""
     return F.expr("shiftleft(1L, grp)")
@@ -69,17 +48,29 @@ def attach_groups(assignment: DataFrame, net: DataFrame, policy: str = "nearest"
     return net.select("net_id", "vec", "grp").join(bits, "net_id").select("net_id", "vec", "grp", "groups", F.col("reps").cast(REPS).alias("reps"))
 
 
-def check_net(net: DataFrame, points: DataFrame, radius: float, alpha: float, m: Metric | str = "l1") -> DataFrame:
+def check_net(net: DataFrame, points: DataFrame, radius: float, alpha: float, m: Metric | str = "l1", limit: int = 200_000) -> DataFrame:
     """One row: packing and covering of a net against its points.
 
-    The net is a summary: its pairwise check and the points' nearest net point run against it as a block of bounded size.
+    The net is a summary of at most ``limit`` rows; its own rows and the points are compared with it in tasks, block by block.
     """
     from evenpick.operators.greedy import with_distance
 
-    pdf = to_driver(net.select("net_id", "vec"), 200_000)
-    x = np.stack(pdf.vec.to_numpy()).astype(float)
-    m = metric(m)
-    gap = min((float(m.one_to_many(x[i], x[:i]).min()) for i in range(1, len(x))), default=float("inf"))
+    x = matrix(to_driver(net.select("net_id", "vec").orderBy("net_id"), limit).vec.to_numpy())
+    name = metric(m).name
+    ship_package(net.sparkSession)
+
+    def gaps(batches):
+        for b in batches:
+            y = matrix(b.vec.to_numpy())
+            for i in range(0, len(y), 256):
+                d = metric(name).block(y[i : i + 256], x)
+                d[np.arange(len(d)), b.at.to_numpy()[i : i + 256]] = np.inf
+                yield pd.DataFrame({"gap": d.min(1)})
+
+    spark = net.sparkSession
+    own = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "at long, vec array<double>")
+    gap = own.repartition(max(1, len(x) // 2048)).mapInPandas(gaps, "gap double").agg(F.min("gap")).first()[0]
+    gap = float("inf") if gap is None else gap
     cover = with_distance(points.select("point_id", "vec"), x.tolist(), m, "dist").agg(F.max("dist").alias("c"))
     return cover.select(
         F.lit(len(x)).cast("long").alias("net_points"),
@@ -101,13 +92,6 @@ def expand_labels(net: DataFrame, located: str = "center") -> DataFrame:
     return e.select("net_id", F.col("r.grp").alias("grp"), vec.alias("vec"), F.col("r.point_id").alias("rep_id"), F.col("r.vec").alias("rep_vec"))
 
 
-def lift_solution(chosen: DataFrame, net: DataFrame) -> DataFrame:
-    """CENTER on the points from chosen copies ``(rank, net_id, grp)``: one copy per net point (the lowest rank), replaced by its representative."""
-    one = chosen.groupBy("net_id").agg(F.min_by(F.struct("rank", "grp"), "rank").alias("c")).select("net_id", "c.rank", "c.grp")
-    reps = net.select("net_id", F.explode("reps").alias("r")).select("net_id", F.col("r.grp").alias("grp"), F.col("r.point_id").alias("point_id"), F.col("r.vec").alias("vec"))
-    return one.join(reps, ["net_id", "grp"]).select("rank", "point_id", "grp", "vec")
-
-
 def is_candidate_feasible(chosen: DataFrame, net: DataFrame, caps: Mapping[int, int]) -> bool:
     """Whether net points ``(net_id)`` can be matched to groups present near them within the capacities."""
     from evenpick.functions.matching import saturates
@@ -121,22 +105,45 @@ def solve_arrays(x, ids, grp, caps, solver: str | Callable, m: Metric | str, fil
     return run(x, grp, caps, m, fill=fill) if run is SOLVERS["static"] else run(x, grp, caps, m)
 
 
-def solve_on_net(net: DataFrame, caps: Mapping[int, int], solver: str | Callable = "static", m: Metric | str = "l1", located: str = "center", fill: str = "none", keep_all: bool = False, lift: bool = True) -> DataFrame:
+def solve_on_net(net: DataFrame, caps: Mapping[int, int], solver: str | Callable = "static", m: Metric | str = "l1", located: str = "center", fill: str = "none", keep_all: bool = False, lift: bool = True, limit: int = DRIVER_ROWS) -> DataFrame:
     """CENTER: any solver on the net's labelled copies, lifted to real points (or, without ``lift``, where the copies are).
 
-    The net is what the driver takes; its size does not follow the input's. ``keep_all`` keeps several copies of one net point.
+    Up to ``limit`` copies the solver runs in the driver; more are solved by the static solver's distributed form, with the same result.
+    ``keep_all`` keeps several copies of one net point.
     """
     caps = check_caps(caps)
-    copies = to_driver(expand_labels(net, located)).sort_values(["rep_id", "net_id", "grp"], kind="stable")
+    copies = expand_labels(net, located)
+    if copies.limit(limit + 1).count() > limit:
+        return _solve_large(copies, caps, solver, m, located, fill, keep_all, lift)
+    copies = to_driver(copies, limit).sort_values(["rep_id", "net_id", "grp"], kind="stable")
     if located == "rep":
         copies = copies.drop_duplicates("rep_id")
     x = np.stack(copies.vec.to_numpy()).astype(float)
     rows = solve_arrays(x, copies.rep_id.to_numpy(), copies.grp.to_numpy(np.int64), caps, solver, m, fill).rows
     got = copies.iloc[rows]
+    return _lifted(net, got.assign(rank=range(len(got))), located, keep_all, lift)
+
+
+def _lifted(frame: DataFrame, got: pd.DataFrame, located: str, keep_all: bool, lift: bool) -> DataFrame:
+    """CENTER from chosen copies in rank order: one per net point and one per representative."""
+    got = got.sort_values("rank")
     if located == "center" and not keep_all:
         got = got.drop_duplicates("net_id")
     got = got.drop_duplicates("rep_id")
-    return centers_frame(net.sparkSession, got.rep_id, got.grp, got.rep_vec if lift else got.vec)
+    return centers_frame(frame.sparkSession, got.rep_id, got.grp, got.rep_vec if lift else got.vec)
+
+
+def _solve_large(copies: DataFrame, caps, solver, m, located: str, fill: str, keep_all: bool, lift: bool) -> DataFrame:
+    from evenpick.operators.static import static_fair_centers
+    from evenpick.sources.points import dense_ids
+
+    if solver != "static":
+        raise ValueError("more copies than the driver takes: only the static solver has a distributed form")
+    if located == "rep":
+        copies = copies.dropDuplicates(["rep_id"])
+    rows = dense_ids(copies, ["rep_id", "net_id", "grp"])
+    chosen = static_fair_centers(rows.select("point_id", "grp", "vec"), caps, m, fill, "rounds").select("rank", "point_id")
+    return _lifted(copies, rows.join(F.broadcast(chosen), "point_id").toPandas(), located, keep_all, lift)
 
 
 def merge_nets(fine: DataFrame, coarse: DataFrame | None, radius: float, m: Metric | str = "l1", alpha: float = 1.0, reps: str = "first") -> DataFrame:

@@ -13,7 +13,7 @@ from evenpick.functions.kernels import BudgetNet, IncrementalNet, farthest_first
 from evenpick.functions.metrics import Metric, metric
 from evenpick.functions.solver import check_caps, solve_static
 from evenpick.operators.distributed import coordinator_net
-from evenpick.operators.frames import NET, SUMMARY, in_order, net_rows, per_shard, shard_points
+from evenpick.operators.frames import NET, SUMMARY, in_order, net_rows, per_shard_stream, shard_points, shards_for
 from evenpick.operators.nets import solve_on_net
 from evenpick.plans.durable import staged
 
@@ -34,17 +34,18 @@ def one_pass_net(points: DataFrame, k: int, eps_bar: float, m: Metric | str = "l
     return in_order(points, list(order), run, NET)
 
 
-def one_pass_budget_net(points: DataFrame, budget: int, m: Metric | str = "l1", order=("point_id",), reps: str = "nearest") -> DataFrame:
-    """NET of one ordered replay with at most ``budget`` centers."""
+def one_pass_budget_net(points: DataFrame, budget: int, m: Metric | str = "l1", order=("point_id",), reps: str = "nearest", counted: bool = False) -> DataFrame:
+    """NET of one ordered replay with at most ``budget`` centers; ``counted`` adds ``held_most``, the most points ever held."""
     name = metric(m).name
 
     def run(blocks):
         net = BudgetNet(budget, name, reps)
         for x, ids, grp in blocks:
             net.insert_block(x, ids, grp)
-        yield net_rows(net.net)
+        rows = net_rows(net.net)
+        yield rows.assign(held_most=net.held_most) if counted else rows
 
-    return in_order(points, list(order), run, NET)
+    return in_order(points, list(order), run, NET + ", held_most long" if counted else NET)
 
 
 def one_pass_fair_centers(points: DataFrame, caps: Mapping[int, int], eps: float = 1.0, m: Metric | str = "l1", order=("point_id",), solver="static") -> DataFrame:
@@ -66,18 +67,16 @@ def sharded_nets(points: DataFrame, k: int, eps_bar: float, shards: int, m: Metr
     """
     name = metric(m).name
 
-    def run(shard, x, ids, grp):
-        net = IncrementalNet(k, eps_bar / 2, name)
-        net.insert_block(x, ids, grp)
+    def finish(shard, net):
         return net_rows(net.net, shard=shard, r_t=net.r, n_t=net.seen)
 
-    return per_shard(shard_points(points, shards, how), run, SUMMARY)
+    return per_shard_stream(shard_points(points, shards, how), lambda: IncrementalNet(k, eps_bar / 2, name), finish, SUMMARY)
 
 
-def sharded_fair_centers(points: DataFrame, caps: Mapping[int, int], eps: float = 1.0, shards: int = 4, m: Metric | str = "l1", how: str = "hash", solver="static") -> DataFrame:
+def sharded_fair_centers(points: DataFrame, caps: Mapping[int, int], eps: float = 1.0, shards: int | None = None, m: Metric | str = "l1", how: str = "hash", solver="static") -> DataFrame:
     """CENTER from parallel one-pass nets merged on query: net radius eps_bar/2 * max r, so packing and covering add up to 3(1 + eps)."""
     caps = check_caps(caps)
-    nets = staged(sharded_nets(points, sum(caps.values()), eps / 3, shards, m, how), "sharded-nets")
+    nets = staged(sharded_nets(points, sum(caps.values()), eps / 3, shards_for(points, shards), m, how), "sharded-nets")
     return solve_on_net(coordinator_net(nets, eps / 3 / 4, m), caps, solver, m)
 
 

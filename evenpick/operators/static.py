@@ -4,24 +4,25 @@ from __future__ import annotations
 
 from collections.abc import Mapping
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from evenpick.functions.kernels import nearest_by_group
 from evenpick.functions.matching import match_pivots, saturates
 from evenpick.functions.metrics import Metric, metric
 from evenpick.functions.solver import check_caps, solve_static
-from evenpick.operators.frames import arrays, centers_frame, to_driver
+from evenpick.operators.frames import arrays, centers_frame, fits_driver, matrix, to_driver
 from evenpick.operators.greedy import farthest_first_rounds, with_distance
-
-LOCAL_VALUES = 20_000_000
-
+from evenpick.plans.durable import ship_package
 
 def static_fair_centers(points: DataFrame, caps: Mapping[int, int], m: Metric | str = "l1", fill: str = "none", where: str = "auto") -> DataFrame:
-    """CENTER within 3 times the optimum. ``where``: 'driver', 'rounds', or 'auto' by the measured number of vector components."""
+    """CENTER within 3 times the optimum. ``where``: 'driver', 'rounds', or 'auto' by the measured size; both give the same centers."""
     caps = check_caps(caps)
     if where == "auto":
         n, d = points.agg(F.count("*"), F.max(F.size("vec"))).first()
-        where = "driver" if n * (d or 1) <= LOCAL_VALUES else "rounds"
+        where = "driver" if fits_driver(n, d) else "rounds"
     if where == "driver":
         x, ids, grp = arrays(to_driver(points.select("point_id", "grp", "vec")))
         rows = solve_static(x, grp, caps, m, fill).rows
@@ -30,11 +31,21 @@ def static_fair_centers(points: DataFrame, caps: Mapping[int, int], m: Metric |
 
 
 def nearest_members(points: DataFrame, pivots: list[list[float]], m: Metric | str = "l1") -> DataFrame:
-    """(pivot, grp, dist, point_id, vec): nearest member of each group for each pivot, by one scan with partial aggregation."""
-    m = metric(m)
-    each = F.posexplode(F.array(*[F.array(*[F.lit(float(x)) for x in p]) for p in pivots]))
-    pairs = points.select("point_id", "grp", "vec", each.alias("pivot", "at")).withColumn("dist", m.between(F.col("vec"), F.col("at")))
-    best = pairs.groupBy("pivot", "grp").agg(F.min_by(F.struct("dist", "point_id", "vec"), F.struct("dist", "point_id")).alias("b"))
+    """(pivot, grp, dist, point_id, vec): nearest member of each group for each pivot: every task keeps one row per pair, then they are reduced."""
+    ship_package(points.sparkSession)
+    c, name = np.array(pivots, float), metric(m).name
+
+    def run(batches):
+        best: dict[tuple[int, int], tuple] = {}
+        for b in batches:
+            x, ids = matrix(b.vec.to_numpy()), b.point_id.to_numpy(np.int64)
+            for j, g, d, i in nearest_by_group(x, ids, b.grp.to_numpy(np.int64), c, name) if len(b) else ():
+                if (j, g) not in best or (d, ids[i]) < best[j, g][:2]:
+                    best[j, g] = (d, int(ids[i]), x[i].tolist())
+        yield pd.DataFrame([(j, g, *v) for (j, g), v in best.items()], columns=["pivot", "grp", "dist", "point_id", "vec"]).astype({"pivot": "int32", "grp": "int32"})
+
+    near = points.select("point_id", "grp", "vec").mapInPandas(run, "pivot int, grp int, dist double, point_id long, vec array<double>")
+    best = near.groupBy("pivot", "grp").agg(F.min_by(F.struct("dist", "point_id", "vec"), F.struct("dist", "point_id")).alias("b"))
     return best.select("pivot", "grp", "b.dist", "b.point_id", "b.vec")
 
 

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 def shared_dir(spark: SparkSession) -> str:
     """The folder shared by driver and executors: ``spark.checkpoint.dir`` of the session.
 
-    Only where the setting is missing (tests on one machine) a temporary folder is made.
+    Where the setting is missing, a temporary folder is made for a local master; on a cluster that is an error.
     """
     sc = spark.sparkContext
     configured = sc.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
@@ -22,6 +22,8 @@ def shared_dir(spark: SparkSession) -> str:
     if current.isDefined():
         return current.get()
     if not configured:
+        if not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         configured = tempfile.mkdtemp(prefix="evenpick-checkpoints-")
     sc.setCheckpointDir(configured)
     return sc._jsc.sc().getCheckpointDir().get()
