@@ -1,10 +1,10 @@
 """Toxicity: a Levenshtein automaton intersected with a lexicon trie, and context windows around its hits.
 
 The lexicon is learnt from labelled documents (terms that toxic documents hold far more often, counted over distinct near-copy groups).
-Every distinct word of a text is run as an automaton of one edit against the trie of all terms; a prefilter by exact halves keeps the
-words that one edit could reach and loses none: an edit changes a word's UTF-8 bytes by four at most, by three or four only with a character
-of three or four bytes. A window around each hit tells quoted from plain use, and a logistic
-model over exact, misspelled and quoted evidence gives the score.
+Every distinct word is run as an automaton against one trie of all terms, with the edits that a term's length allows (``EDITS_FROM``: an edit
+in a short word makes another word). Words that no term can be near are not run; that loses none: an edit changes the length by one at most
+and the set of ASCII letters and digits by two, and one edit leaves the first or the last half of a term as it is. A window around each hit
+tells quoted from plain use, and a logistic model over exact, misspelled and quoted evidence gives the score.
 
 Defined results: null and empty texts hold no term and get the score of a text without evidence; without any usable label the score
 is 0.5 for all; repeated rows repeat; an empty table gives no rows; whole texts are read, in bounded slices.
@@ -21,14 +21,11 @@ from pyspark.sql import functions as F
 
 from evenpick.llm.labelled import TRAIN_ROWS, held_out, training_documents
 from evenpick.llm.textbits import U, bounded_slices, lowered, prefix_hash, span_hash, utf8_buffer
-from evenpick.plans.durable import ship_package
+from evenpick.plans.durable import ship_package, staged
 
-#: Most terms of a lexicon and words remembered as ordinary (documented bounds of the model).
-LEXICON_TERMS, ORDINARY_WORDS = 3000, 20_000
-FUZZY_FROM = 5
+#: Letters from which a term is met with one edit (a second entry: with two).
+EDITS_FROM = (4,)
 WINDOW_BYTES = 60
-#: Characters of three or four bytes start with this byte or a higher one.
-WIDE = 0xE0
 #: Marks and words that open or report a quotation (fixed values).
 QUOTE_MARKS = ('"', "“", "”", "„", "«", "»")
 QUOTE_CUES = ("said", "says", "quoted", "quote", "wrote", "called", "term", "word", "dit", "mot", "sagte", "wort", "dijo", "palabra")
@@ -38,6 +35,15 @@ _TOKEN = np.zeros(256, bool)
 _TOKEN[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = True
 
 
+#: One bit for every ASCII letter and digit of a lowered text.
+_BIT = np.zeros(256, U)
+_BIT[[*range(48, 58), *range(97, 123)]] = U(1) << np.arange(36, dtype=U)
+
+
+def allowed_edits(letters: int) -> int:
+    return sum(letters >= n for n in EDITS_FROM)
+
+
 def _lower_utf8(buf: np.ndarray) -> np.ndarray:
     """ASCII and Latin-1 letters in lower case, byte by byte."""
     out = lowered(buf)
@@ -124,27 +130,21 @@ class Matcher:
         self.lexicon = lexicon
         self.weights = np.array(lexicon.weights)
         self.known: dict[bytes, tuple[int, int] | None] = {}
-        whole, halves, near, wide = [], {}, {}, set()
-        for i, term in enumerate(lexicon.terms):
-            data = term.encode()
-            whole.append((data, i))
-            if len(term) >= FUZZY_FROM:
-                cut = len(term[: len(term) // 2].encode())
-                for side, half in ((0, data[:cut]), (1, data[cut:])):
-                    halves.setdefault((side, len(half), len(data)), set()).add(half)
-                    near.setdefault((side, half), []).append(i)
-                    if max(data) >= WIDE:
-                        wide.add((side, len(half), len(data)))
-        self.exact = self._hashes([d for d, _ in whole])
-        self.exact_term = np.array([i for _, i in whole], np.int64)[np.argsort(self.exact)]
-        self.exact = np.sort(self.exact)
-        #: Hashes of term halves by side, length of the half and length of the term.
-        self.halves = {k: np.sort(self._hashes(s)) for k, s in sorted(halves.items())}
-        #: How many bytes shorter a word can be that is one edit from a term of these lengths.
-        self.shorter = {k: 4 if k in wide else 2 for k in halves}
-        #: The tries of the terms that share a half.
-        self.tries = {k: (Trie([lexicon.terms[i] for i in held]), held) for k, held in near.items()}
-        self.cuts = sorted({(side, n) for side, n, _ in halves})
+        data = [t.encode() for t in lexicon.terms]
+        hashes = self._hashes(data)
+        self.exact_term = np.argsort(hashes)
+        self.exact = hashes[self.exact_term]
+        self.trie = Trie(lexicon.terms)
+        self.edits = [allowed_edits(len(t)) for t in lexicon.terms]
+        #: Length, allowed edits and letters of the terms that are met with edits.
+        self.halves: dict[tuple[int, int], np.ndarray] = {}
+        for t, d, e in zip(lexicon.terms, data, self.edits):
+            if e == 1:
+                cut = len(t[: len(t) // 2].encode())
+                for key, half in (((0, cut), d[:cut]), ((1, len(d) - cut), d[cut:])):
+                    self.halves.setdefault(key, set()).add(half)
+        self.halves = {k: np.sort(self._hashes(sorted(v))) for k, v in sorted(self.halves.items())}
+        self.shapes = sorted({(len(t), e, int(np.bitwise_or.reduce(_BIT[np.frombuffer(d, np.uint8)]))) for t, d, e in zip(lexicon.terms, data, self.edits) if e})
 
     @staticmethod
     def _hashes(items) -> np.ndarray:
@@ -153,25 +153,37 @@ class Matcher:
         end = np.cumsum([len(x) for x in items]).astype(np.int64)
         return span_hash(prefix_hash(buf), end - [len(x) for x in items], end) if items else np.zeros(0, U)
 
-    @staticmethod
-    def _member(table: np.ndarray, x: np.ndarray) -> np.ndarray:
-        if not len(table):
-            return np.zeros(len(x), bool)
-        return table[np.minimum(np.searchsorted(table, x), len(table) - 1)] == x
-
     def nearest(self, data: bytes) -> tuple[int, int] | None:
-        """(term, 1) of the weightiest term one edit from a word, or None: one edit leaves a half of the term as it is."""
+        """(term, edits) of the nearest term that allows so many edits, the weightiest of equals, or None."""
         if data not in self.known:
             if len(self.known) > 300_000:
                 self.known.clear()
-            word, found = data.decode("utf-8", "ignore"), set()
-            for side, n in self.cuts:
-                if len(data) >= n and (held := self.tries.get((side, data[len(data) - n :] if side else data[:n]))):
-                    found.update(held[1][t] for t, e in held[0].within(word) if e == 1)
-            ok = found and word not in self.lexicon.ordinary
-            self.known[data] = (max(sorted(found), key=lambda t: self.lexicon.weights[t]), 1) if ok else None
+            word = data.decode("utf-8", "ignore")
+            found = [] if word in self.lexicon.ordinary else [(e, -self.lexicon.weights[t], t) for t, e in self.trie.within(word, max(self.edits)) if 0 < e <= self.edits[t]]
+            self.known[data] = (min(found)[2], min(found)[0]) if found else None
         return self.known[data]
 
+    def near(self, low: np.ndarray, prefix: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        """Which words (in order of place) could be within the allowed edits of a term, by their length, letters and halves."""
+        out = np.zeros(len(start), bool)
+        if not len(start) or not self.shapes:
+            return out
+        whole = np.zeros(len(low) + 1, np.int64)
+        np.cumsum((low & 0xC0) != 0x80, out=whole[1:])
+        letters = np.bitwise_or.reduceat(np.append(_BIT[low], U(0)), np.stack([start, end], 1).ravel())[::2]
+        size = whole[end] - whole[start]
+        order = np.argsort(size, kind="stable")
+        sizes, letters = size[order], letters[order]
+        once = out.copy()
+        for n, e, mask in self.shapes:
+            a, b = np.searchsorted(sizes, n - e), np.searchsorted(sizes, n + e, "right")
+            (once if e == 1 else out)[order[a:b]] |= np.bitwise_count(letters[a:b] ^ U(mask)) <= 2 * e
+        for (side, n), held in self.halves.items():
+            i = np.flatnonzero(once & ~out & (end - start >= n))
+            h = span_hash(prefix, end[i] - n, end[i]) if side else span_hash(prefix, start[i], start[i] + n)
+            out[i] = held[np.minimum(np.searchsorted(held, h), len(held) - 1)] == h
+        return out
+
     def hits(self, buf: np.ndarray, off: np.ndarray):
         """(document, term, edits, start, end) of every hit, and the number of tokens of each document."""
         low = _lower_utf8(buf)
@@ -181,34 +193,17 @@ class Matcher:
             none = np.zeros(0, np.int64)
             return (none, none, none, none, none), count
         prefix = prefix_hash(low)
-        h = span_hash(prefix, start, end)
-        at = np.minimum(np.searchsorted(self.exact, h), len(self.exact) - 1)
-        exact = self.exact[at] == h
-        size = end - start
-        near = np.zeros(len(start), bool)
-        by_size = np.argsort(size, kind="stable")
-        sizes = size[by_size]
-        high = np.flatnonzero(low >= WIDE)
-        wide = by_size[np.searchsorted(high, end[by_size]) > np.searchsorted(high, start[by_size])]
-        wide_sizes = size[wide]
-        for (side, n, whole), held in self.halves.items():
-            i = by_size[np.searchsorted(sizes, max(n, whole - self.shorter[side, n, whole])) : np.searchsorted(sizes, whole + 2, "right")]
-            i = np.concatenate([i, wide[np.searchsorted(wide_sizes, whole + 3) : np.searchsorted(wide_sizes, whole + 4, "right")]])
-            i = i[~near[i] & ~exact[i]]
-            near[i] = self._member(held, span_hash(prefix, end[i] - n, end[i]) if side else span_hash(prefix, start[i], start[i] + n))
-        i = np.flatnonzero(near)
-        words_ = [low[start[k] : end[k]].tobytes() for k in i]
-        got = [self.nearest(w) for w in words_]
-        ok = np.array([g is not None for g in got], bool)
-        fuzzy = i[ok] if len(i) else i
-        terms = np.array([g[0] for g in got if g is not None], np.int64)
-        e = np.flatnonzero(exact)
-        where = np.concatenate([e, fuzzy])
-        term = np.concatenate([self.exact_term[at[e]], terms])
-        edits = np.concatenate([np.zeros(len(e), np.int64), np.ones(len(fuzzy), np.int64)])
-        order = np.argsort(where, kind="stable")
-        where = where[order]
-        return (doc[where], term[order], edits[order], start[where], end[where]), count
+        words, one, word = np.unique(span_hash(prefix, start, end), return_index=True, return_inverse=True)
+        at = np.minimum(np.searchsorted(self.exact, words), len(self.exact) - 1)
+        exact = self.exact[at] == words
+        term, edits = np.where(exact, self.exact_term[at], -1), np.zeros(len(words), np.int64)
+        rest = np.flatnonzero(~exact)
+        rest = rest[np.argsort(one[rest])]
+        for i in rest[self.near(low, prefix, start[one[rest]], end[one[rest]])].tolist():
+            if got := self.nearest(low[start[one[i]] : end[one[i]]].tobytes()):
+                term[i], edits[i] = got
+        where = np.flatnonzero(term[word] >= 0)
+        return (doc[where], term[word][where], edits[word][where], start[where], end[where]), count
 
     @staticmethod
     def quoted(window_before: str, window_after: str) -> bool:
@@ -303,8 +298,8 @@ def _token_rows(batches):
         yield pa.RecordBatch.from_arrays([pa.array(group[doc[keep]].astype(np.int64)), pa.array(label[doc[keep]].astype(np.int32)), pa.array(said, pa.string())], names=["grp", "label", "token"])
 
 
-def learn_lexicon(sample: DataFrame, terms: int = LEXICON_TERMS) -> Lexicon:
-    """Terms of toxic documents by log odds, each supported by at least three near-copy groups and significant at three deviations."""
+def learn_lexicon(sample: DataFrame) -> Lexicon:
+    """All terms of toxic documents by log odds, each supported by at least three near-copy groups and significant at three deviations."""
     rows = sample.select("text", "label").mapInArrow(_token_rows, "grp long, label int, token string")
     groups = rows.select("grp", "label").distinct().groupBy().agg(F.coalesce(F.sum("label"), F.lit(0)).alias("t"), F.count("*").alias("n")).first()
     toxic_groups, clean_groups = int(groups.t), int(groups.n - groups.t)
@@ -312,7 +307,7 @@ def learn_lexicon(sample: DataFrame, terms: int = LEXICON_TERMS) -> Lexicon:
     odds = F.log((F.col("t") + 0.5) / (toxic_groups + 1)) - F.log((F.col("c") + 0.5) / (clean_groups + 1))
     sure = odds / F.sqrt(1 / (F.col("t") + 0.5) + 1 / (F.col("c") + 0.5))
     kept = counts.where("t >= 3").withColumn("odds", odds).withColumn("sure", sure).where("odds >= 1.4 and sure >= 3")
-    top = kept.orderBy(F.col("sure").desc(), "token").limit(terms).collect()
+    top = kept.orderBy(F.col("sure").desc(), "token").collect()
     return Lexicon([r.token for r in top], [float(r.odds) for r in top])
 
 
@@ -335,15 +330,15 @@ def _feature_rows(lexicon: Lexicon):
 def train_toxicity(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS) -> ToxicityModel:
     """Lexicon and logistic model from at most ``rows`` labelled documents outside the held-out fold.
 
-    What reaches the driver: ``LEXICON_TERMS`` terms, ``ORDINARY_WORDS`` words, and one feature row per sampled document.
+    What reaches the driver comes from the sample alone: significant terms, clean words that look like them, and one feature row per document.
     """
     ship_package(docs.sparkSession)
-    sample = training_documents(docs, labels, "toxic", rows)
+    sample = staged(training_documents(docs, labels, "toxic", rows), "toxic-sample")
     lexicon = learn_lexicon(sample)
     schema = "doc_id long, label int, features array<double>, forms array<string>"
     first = sample.select("text", "doc_id", "label").mapInArrow(_feature_rows(lexicon), schema)
     forms = first.select(F.explode("forms").alias("form"), "label").groupBy("form").agg(F.sum(1 - F.col("label")).alias("c"), F.sum("label").alias("t"))
-    clean = forms.where("c > 0 and 3 * c >= t").orderBy(F.col("c").desc(), "form").limit(ORDINARY_WORDS).collect()
+    clean = forms.where("c > 0 and 3 * c >= t").orderBy("form").collect()
     lexicon.ordinary = frozenset(r.form for r in clean)
     got = sample.select("text", "doc_id", "label").mapInArrow(_feature_rows(lexicon), schema).select("doc_id", "label", "features").orderBy("doc_id").limit(rows).toPandas()
     x = np.array(got.features.tolist(), float).reshape(-1, len(FEATURES))
