@@ -442,17 +442,47 @@ def test_top_k_is_exact(spark):
         o = [i for i in np.lexsort((ids, -s)) if ids[i] != q][:20]
         mine = sorted((r for r in rows if r.query_id == q), key=lambda r: r["rank"])
         assert [(r.vec_id, r.score) for r in mine] == [(ids[i], s[i]) for i in o]
+    small = topk.exact_top_k(v, v.where("id % 20 = 0"), 20, block_rows=100, block_queries=10).collect()
+    assert sorted(small) == sorted(rows)
+    for n in (1, 4, 5):
+        some = v.where(F.col("id") < n)
+        assert topk.exact_top_k(some, some, 20).groupBy("query_id").count().where(F.col("count") != n - 1).count() == 0
+        assert topk.exact_top_k(some, some, 20).count() == n * (n - 1)
     few = v.limit(3)
     assert topk.exact_top_k(few, few, 20).groupBy("query_id").count().where("count <> 2").count() == 0
     assert topk.exact_top_k(v.limit(0), v.limit(0)).count() == 0
 
 
+def check_cover(x, node, depth=0):
+    """Levels, covering, separation and nesting of a cover tree; returns its rows."""
+    assert (np.linalg.norm(x[node.rows] - node.center, axis=1) <= node.radius).all()
+    assert node.level is None or 2.0 ** (node.level - 1) < node.radius <= 2.0**node.level
+    if node.children:
+        half = 2.0 ** (node.level - 1)
+        assert (node.children[0].center == node.center).all() and all(c.radius <= half * (1 + 1e-9) for c in node.children)
+        gaps = np.linalg.norm(node.centers[:, None] - node.centers[None], axis=2) + np.eye(len(node.children)) * 9 * half
+        assert gaps.min() > half
+        assert sorted(np.concatenate([check_cover(x, c, depth + 1) for c in node.children]).tolist()) == sorted(node.rows.tolist())
+    return node.rows
+
+
+def test_cover_tree_invariants():
+    rng = np.random.default_rng(5)
+    flat, deep = rng.normal(0, 1, (800, 2)) * 100, rng.normal(0, 300, (20, 8))[rng.integers(0, 20, 1500)] + rng.normal(0, 2, (1500, 8))
+    for x in (flat, deep, np.ones((300, 3)), deep[:1]):
+        root = topk.cover_tree(x)
+        assert len(check_cover(x, root)) == len(x)
+    assert topk.cover_tree(flat).children and topk.cover_tree(deep).children
+
+
 def test_dual_tree_prunes_clusters():
     rng = np.random.default_rng(0)
     x = np.floor(rng.normal(0, 300, (30, 8))[rng.integers(0, 30, 4000)] + rng.normal(0, 2, (4000, 8))).astype(np.int64)
     ids = np.arange(4000)
     d = topk.DualSearch(ids[::40], x[::40], ids, x, 10)
     assert d.pruned > d.compared / 2
+    again = topk.DualSearch(ids[::40], x[::40], ids, x, 10, floor=d.score[:, -1])
+    assert (again.score == d.score).all() and (again.found == d.found).all() and again.compared <= d.compared
     big = topk.DualSearch(ids[:5], x[:5] * 10**7, ids[:50], x[:50] * 10**7, 3)
     s = (x[:5].astype(object) * 10**7) @ (x[:50].astype(object) * 10**7).T
     for i in range(5):
