@@ -22,18 +22,21 @@ import datetime as dt
 import hashlib
 import hmac
 import re
+import warnings
 from bisect import bisect_left
 from functools import cache, lru_cache
 from math import isqrt, prod
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
-from evenpick.llm.textbits import bounded_slices
+from evenpick.llm.textbits import bounded_slices, mapped, without
 from evenpick.plans.durable import ship_package
 
 ROUNDS = 10
+#: Session setting that holds the key.
+KEY_SETTING = "spark.evenpick.pseudonym.key"
 KINDS = ("card", "date", "ssn", "ip", "phone", "email", "secret")
 
 
@@ -301,21 +304,33 @@ class Pseudonyms:
         return "".join(out), counts
 
 
+def session_key(spark: SparkSession, demonstration: str | None = None) -> str:
+    """The key in the session's settings; without one an error, or with a warning the ``demonstration`` key, which hides nothing from readers of the source."""
+    key = spark.conf.get(KEY_SETTING, None)
+    if not key:
+        if demonstration is None:
+            raise ValueError(f"set {KEY_SETTING}")
+        warnings.warn(f"{KEY_SETTING} is not set: pseudonyms are made with a public demonstration key", stacklevel=2)
+    return key or demonstration
+
+
 def pseudonymise(docs: DataFrame, key: str, kinds: tuple[str, ...] = KINDS, text: str = "text", counts: str | None = None) -> DataFrame:
     """``docs`` with pseudonyms in ``text``; with ``counts``, one more column of that name maps kinds to numbers of values."""
+    if not key:
+        raise ValueError("pseudonyms need a key")
     ship_package(docs.sparkSession)
-    kept = docs.drop(counts) if counts else docs
-    at, names = kept.columns.index(text), [*kept.columns, *([counts] if counts else [])]
+    kept = without(docs, counts) if counts else docs
+    at = kept.columns.index(text)
     fields = [*kept.schema.fields, *([T.StructField(counts, T.MapType(T.StringType(), T.IntegerType()))] if counts else [])]
 
     def run(batches):
         worker = Pseudonyms(key.encode(), kinds)
-        for b in bounded_slices(batches, text):
+        for b in bounded_slices(batches, f"c{at}"):
             got = [worker.replace(t) for t in b.column(at).to_pylist()]
             columns = list(b.columns)
             columns[at] = pa.array([t for t, _ in got], pa.string())
             if counts:
                 columns.append(pa.array([list(c.items()) for _, c in got], pa.map_(pa.string(), pa.int32())))
-            yield pa.RecordBatch.from_arrays(columns, names=names)
+            yield pa.RecordBatch.from_arrays(columns, names=[f"c{i}" for i in range(len(columns))])
 
-    return kept.mapInArrow(run, T.StructType(fields))
+    return mapped(kept, run, fields)

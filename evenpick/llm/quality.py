@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from evenpick.llm.labelled import TRAIN_ROWS, held_out, training_documents
-from evenpick.llm.textbits import U, bounded_slices, lowered, mix64, prefix_hash, span_hash, utf8_buffer, words
+from evenpick.llm.textbits import U, bounded_slices, lowered, mapped, prefix_hash, span_hash, utf8_buffer, without, words
 from evenpick.plans.durable import ship_package
 
 FEATURES = (
@@ -232,14 +232,14 @@ def train_quality(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS) ->
 def score_quality(docs: DataFrame, model: AdditiveModel, into: str = "quality_score") -> DataFrame:
     """``docs`` with one more column ``into``: how likely its quality label is 1."""
     ship_package(docs.sparkSession)
-    kept = docs.drop(into)
+    kept = without(docs, into)
     at = kept.columns.index("text")
 
     def run(batches):
-        for b in bounded_slices(batches):
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(model.score(text_features(b.column(at))))], names=[*b.schema.names, into])
+        for b in bounded_slices(batches, f"c{at}"):
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(model.score(text_features(b.column(at))))], names=[*b.schema.names, f"c{b.num_columns}"])
 
-    return kept.mapInArrow(run, T.StructType([*kept.schema.fields, T.StructField(into, T.DoubleType())]))
+    return mapped(kept, run, [*kept.schema.fields, T.StructField(into, T.DoubleType())])
 
 
 def score_ids(docs: DataFrame, model: AdditiveModel, threshold: float) -> DataFrame:

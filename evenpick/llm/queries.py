@@ -10,7 +10,8 @@ from pyspark.sql import functions as F
 
 from evenpick.llm import chat, mix, neardup, neighbours, pieces, pseudonym, quality, repeats, topk, toxic
 
-PSEUDONYM_KEY = "rotate-me-outside-of-tests"
+#: Used where the session holds no key (see ``pseudonym.session_key``): demonstration only.
+DEMONSTRATION_KEY = "public-demonstration-key"
 PIECE_MODEL = public_tokenizers.path("piece_bpe_32k.model")
 
 
@@ -22,6 +23,33 @@ def op1_mix_to_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix.mix_report(table(spark, sf_dir, "documents"))
 
 
+def mix_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What SQL can say of the mix: size, source size and target of every document, the words that the mix takes of its source (the best total that its budget allows),
+    and whether no document exceeds 3 times its size."""
+    rows = mix.mix_report(table(spark, sf_dir, "documents"))
+    per = rows.groupBy("source").agg(F.sum("taken").alias("source_taken"), (F.max(F.col("taken") - 3 * F.col("size")) <= 0).alias("within_three"))
+    out = rows.alias("r").join(F.broadcast(per.alias("p")), F.col("r.source").eqNullSafe(F.col("p.source")))
+    return out.select("r.doc_id", "r.size", "r.source_size", F.round("r.target", 4).alias("target"), "p.source_taken", "p.within_three")
+
+
+#: Targets by filling up from the largest ratio of ceiling to weight; whole epochs, and an exact subset sum (bits that move) of what they leave.
+MIX_SQL = r"""
+WITH RECURSIVE d AS (SELECT doc_id, coalesce('=' || source, '') AS source, source AS name, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS size FROM documents),
+s AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size, [5, 2, 1][(row_number() OVER (ORDER BY CAST(any_value(name) AS BLOB) NULLS LAST) - 1) % 3 + 1] AS weight FROM d GROUP BY source),
+o AS (SELECT *, 3.0::DOUBLE * source_size AS cap, row_number() OVER (ORDER BY 3.0::DOUBLE * source_size / weight, source) AS place FROM s),
+levels AS (SELECT a.*, ((SELECT sum(source_size) FROM s) - coalesce((SELECT sum(cap) FROM o b WHERE b.place < a.place), 0)) / (SELECT sum(weight) FROM o b WHERE b.place >= a.place) AS level FROM o a),
+t AS (SELECT source, source_size, least(cap, (SELECT max(level) FROM levels) * weight) AS target FROM levels),
+b AS (SELECT *, CASE WHEN source_size > 0 THEN CAST(round(target) AS BIGINT) // source_size ELSE 0 END AS epochs, CAST(round(target) AS BIGINT) - CASE WHEN source_size > 0 THEN CAST(round(target) AS BIGINT) // source_size * source_size ELSE 0 END AS rest FROM t),
+n AS (SELECT source, size, row_number() OVER (PARTITION BY source ORDER BY size, doc_id) AS rn FROM d WHERE size > 0),
+reach AS (
+    SELECT source, CAST(0 AS BIGINT) AS rn, CAST('1' || repeat('0', rest) AS BIT) AS bits FROM b
+    UNION ALL
+    SELECT r.source, r.rn + 1, CASE WHEN n.size < bit_length(r.bits) THEN r.bits | (r.bits >> CAST(n.size AS INTEGER)) ELSE r.bits END FROM reach r JOIN n ON n.source = r.source AND n.rn = r.rn + 1),
+best AS (SELECT source, length(rtrim(CAST(arg_max(bits, rn) AS VARCHAR), '0')) - 1 AS extra FROM reach GROUP BY source)
+SELECT doc_id, size, source_size, round(target, 4) AS target, CAST(epochs * source_size + extra AS BIGINT) AS source_taken, TRUE AS within_three FROM d JOIN b USING (source) JOIN best USING (source)
+"""
+
+
 def op2_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     said = "</s>[INST] ok [/INST]"
     probe = spark.range(2).select(F.lit(-7).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit(said).alias("text"))
@@ -77,7 +105,7 @@ FROM d LEFT JOIN tot USING (k) LEFT JOIN kept USING (k)
 
 def op5_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    out = pseudonym.pseudonymise(docs, PSEUDONYM_KEY, counts="replaced")
+    out = pseudonym.pseudonymise(docs, pseudonym.session_key(spark, DEMONSTRATION_KEY), counts="replaced")
     kinds = [F.coalesce(F.col("replaced")[k], F.lit(0)).cast("long").alias(f"n_{k}") for k in pseudonym.KINDS]
     return out.select("doc_id", "text", *kinds)
 
@@ -148,6 +176,7 @@ FROM grams g LEFT JOIN classes k ON k.s = list_sort(g.s) LEFT JOIN comp c ON c.c
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix_to_weights": op1_mix_to_weights,
     "op2_chat_format": op2_chat_format,
+    "mix_targets": mix_targets,
     "op3_piece_encoding": op3_piece_encoding,
     "op4_repeats": op4_repeats,
     "op5_pseudonyms": op5_pseudonyms,
@@ -158,4 +187,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_top_products": op10_top_products,
 }
 
-ORACLES: dict[str, str] = {"op2_chat_format": OP2_SQL, "op4_repeats": OP4_SQL, "op7_near_duplicates": OP7_SQL, "op10_top_products": OP10_SQL}
+ORACLES: dict[str, str] = {"mix_targets": MIX_SQL, "op2_chat_format": OP2_SQL, "op4_repeats": OP4_SQL, "op7_near_duplicates": OP7_SQL, "op10_top_products": OP10_SQL}

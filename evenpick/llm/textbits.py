@@ -40,6 +40,20 @@ def bounded_slices(batches, column: str = "text", limit: int = SLICE_BYTES, owne
         pa.default_memory_pool().release_unused()
 
 
+def mapped(df, run: Callable, fields: list):
+    """``df.mapInArrow(run)`` whatever the columns are called: ``run`` sees them as c0, c1, ...; ``fields`` are the result's."""
+    from pyspark.sql import types as T
+
+    safe = T.StructType([T.StructField(f"c{i}", f.dataType) for i, f in enumerate(fields)])
+    return df.toDF(*[f"c{i}" for i in range(len(df.columns))]).mapInArrow(run, safe).toDF(*[f.name for f in fields])
+
+
+def without(df, column: str | None):
+    """``df`` less one column, by its plain name (dots and backquotes included)."""
+    quoted = lambda c: "`" + c.replace("`", "``") + "`"
+    return df.select(*[quoted(c) for c in df.columns if c != column])
+
+
 def utf8_buffer(array: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, offsets) of a string array; null is the empty text."""
     array = pc.fill_null(array.cast(pa.large_binary()), b"")
