@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from evenpick.llm.labelled import TRAIN_ROWS, held_out, training_documents
-from evenpick.llm.textbits import U, bounded_slices, lowered, prefix_hash, span_hash, utf8_buffer
+from evenpick.llm.textbits import MEMORIES, U, bounded_slices, lowered, prefix_hash, span_hash, utf8_buffer
 from evenpick.plans.durable import ship_package, staged
 
 #: Letters from which a term is met with one edit (a second entry: with two).
@@ -70,48 +70,83 @@ def tokens(buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np
 
 
 class Trie:
-    """A lexicon as nested dictionaries; ``None`` holds the number of the term that ends there."""
+    """A lexicon as flat arrays: the children of a node are a range of (node, letter); ``term`` is the number of the term that ends at a node, or -1."""
 
     def __init__(self, terms: list[str]):
-        self.root: dict = {}
+        nodes: list[dict[str, int]] = [{}]
+        ends = {}
         for i, term in enumerate(terms):
-            node = self.root
+            at = 0
             for c in term:
-                node = node.setdefault(c, {})
-            node[None] = i
-
-    def within(self, word: str, edits: int = 1) -> list[tuple[int, int]]:
-        """(term, edits) of all terms at most ``edits`` away from ``word``: trie and automaton are walked together.
-
-        A state holds one bit set per number of edits; bit i means that i characters of the word are consumed.
+                if c not in nodes[at]:
+                    nodes[at][c] = len(nodes)
+                    nodes.append({})
+                at = nodes[at][c]
+            ends[at] = i
+        self.letters = np.array(sorted({ord(c) for n in nodes for c in n}), np.uint32)
+        place = {int(c): i for i, c in enumerate(self.letters)}
+        self.count = np.array([len(n) for n in nodes], np.int64)
+        self.first = np.cumsum(self.count) - self.count
+        self.child = np.array([x for n in nodes for x in n.values()], np.int64)
+        self.letter = np.array([place[ord(c)] for n in nodes for c in n], np.int64)
+        self.term = np.array([ends.get(i, -1) for i in range(len(nodes))], np.int64)
+        self.longest = max(map(len, terms), default=0)
+
+    def within(self, words: list[str], edits: int = 1, chunk: int = 4096) -> list[list[tuple[int, int]]]:
+        """For each word the (term, edits) of all terms at most ``edits`` away: the words' automata walk the trie together, level by level.
+
+        A state holds one bit set per number of edits; bit i means that i characters of the word are consumed. Words that are too long
+        for any term have no hits.
         """
-        accept, marks = 1 << len(word), {}
-        for i, c in enumerate(word):
-            marks[c] = marks.get(c, 0) | 1 << i
-        full = (accept << 1) - 1
-        first = [1]
+        out: list[list[tuple[int, int]]] = [[] for _ in words]
+        short = [i for i, w in enumerate(words) if len(w) <= min(self.longest + edits, 62)]
+        for a in range(0, len(short), chunk):
+            part = short[a : a + chunk]
+            for w, t, e in zip(*self._walk([words[i] for i in part], edits)):
+                out[part[w]].append((t, e))
+        return out
+
+    def _walk(self, words: list[str], edits: int):
+        one = U(1)
+        size = np.array([len(w) for w in words], np.int64)
+        codes = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32)
+        owner = np.repeat(np.arange(len(words)), size)
+        position = np.arange(len(codes)) - np.repeat(np.cumsum(size) - size, size)
+        at = np.minimum(np.searchsorted(self.letters, codes), len(self.letters) - 1)
+        known = self.letters[at] == codes if len(self.letters) else np.zeros(len(codes), bool)
+        marks = np.zeros((len(words), max(1, len(self.letters))), U)
+        np.bitwise_or.at(marks, (owner[known], at[known]), one << position[known].astype(U))
+        accept = one << size.astype(U)
+        full = (accept << one) - one
+        word, node = np.arange(len(words)), np.zeros(len(words), np.int64)
+        state = [np.ones(len(words), U)]
         for _ in range(edits):
-            first.append(first[-1] | first[-1] << 1 & full)
-        found, stack = [], [(self.root, tuple(first))]
-        while stack:
-            node, state = stack.pop()
-            for c, child in node.items():
-                if c is None:
-                    hit = next((e for e, s in enumerate(state) if s & accept), None)
-                    if hit is not None:
-                        found.append((child, hit))
-                    continue
-                m, before, after, alive = marks.get(c, 0), 0, [], 0
-                for s in state:
-                    now = (s & m) << 1
-                    if after:
-                        now |= before | before << 1 | after[-1] << 1
-                    now &= full
-                    after.append(now)
-                    before, alive = s, alive | now
-                if alive:
-                    stack.append((child, tuple(after)))
-        return found
+            state.append((state[-1] | state[-1] << one) & full)
+        found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        while len(word):
+            many = self.count[node]
+            up = np.repeat(np.arange(len(word)), many)
+            edge = np.repeat(self.first[node] - (np.cumsum(many) - many), many) + np.arange(len(up))
+            word, node = word[up], self.child[edge]
+            m, limit, after = marks[word, self.letter[edge]], full[word], []
+            alive = np.zeros(len(word), U)
+            for e, s in enumerate(state):
+                s = s[up]
+                now = (s & m) << one
+                if e:
+                    now |= before | before << one | after[-1] << one
+                after.append(now & limit)
+                alive |= after[-1]
+                before = s
+            live = np.flatnonzero(alive)
+            word, node, state = word[live], node[live], [x[live] for x in after]
+            ends = np.flatnonzero(self.term[node] >= 0)
+            least = np.full(len(ends), -1)
+            for e in reversed(range(edits + 1)):
+                least[(state[e][ends] & accept[word[ends]]) != 0] = e
+            hit = least >= 0
+            found.append((word[ends[hit]], self.term[node[ends[hit]]], least[hit]))
+        return [np.concatenate(x).tolist() for x in zip(*found)] if found else ([], [], [])
 
 
 @dataclass
@@ -123,13 +158,19 @@ class Lexicon:
     ordinary: frozenset[str] = frozenset()
 
 
+#: What this worker has found about words, by lexicon: word -> (term, edits) or None.
+_KNOWN: dict[int, dict[bytes, tuple[int, int] | None]] = {}
+KNOWN_WORDS = 300_000
+
+
 class Matcher:
     """Hits of a lexicon in a slice of texts."""
 
     def __init__(self, lexicon: Lexicon):
         self.lexicon = lexicon
         self.weights = np.array(lexicon.weights)
-        self.known: dict[bytes, tuple[int, int] | None] = {}
+        MEMORIES["toxic"] = _KNOWN.clear
+        self.known = _KNOWN.setdefault(hash((*lexicon.terms, *lexicon.weights, *EDITS_FROM)), {})
         data = [t.encode() for t in lexicon.terms]
         hashes = self._hashes(data)
         self.exact_term = np.argsort(hashes)
@@ -137,11 +178,11 @@ class Matcher:
         self.trie = Trie(lexicon.terms)
         self.edits = [allowed_edits(len(t)) for t in lexicon.terms]
         #: Length, allowed edits and letters of the terms that are met with edits.
-        self.halves: dict[tuple[int, int], np.ndarray] = {}
+        self.halves: dict[tuple[int, int, int], np.ndarray] = {}
         for t, d, e in zip(lexicon.terms, data, self.edits):
             if e == 1:
                 cut = len(t[: len(t) // 2].encode())
-                for key, half in (((0, cut), d[:cut]), ((1, len(d) - cut), d[cut:])):
+                for key, half in (((0, cut, len(t)), d[:cut]), ((1, len(d) - cut, len(t)), d[cut:])):
                     self.halves.setdefault(key, set()).add(half)
         self.halves = {k: np.sort(self._hashes(sorted(v))) for k, v in sorted(self.halves.items())}
         self.shapes = sorted({(len(t), e, int(np.bitwise_or.reduce(_BIT[np.frombuffer(d, np.uint8)]))) for t, d, e in zip(lexicon.terms, data, self.edits) if e})
@@ -153,15 +194,16 @@ class Matcher:
         end = np.cumsum([len(x) for x in items]).astype(np.int64)
         return span_hash(prefix_hash(buf), end - [len(x) for x in items], end) if items else np.zeros(0, U)
 
-    def nearest(self, data: bytes) -> tuple[int, int] | None:
-        """(term, edits) of the nearest term that allows so many edits, the weightiest of equals, or None."""
-        if data not in self.known:
-            if len(self.known) > 300_000:
-                self.known.clear()
-            word = data.decode("utf-8", "ignore")
-            found = [] if word in self.lexicon.ordinary else [(e, -self.lexicon.weights[t], t) for t, e in self.trie.within(word, max(self.edits)) if 0 < e <= self.edits[t]]
-            self.known[data] = (min(found)[2], min(found)[0]) if found else None
-        return self.known[data]
+    def nearest(self, data: list[bytes]) -> list[tuple[int, int] | None]:
+        """For each word the (term, edits) of the nearest term that allows so many edits, the weightiest of equals, or None."""
+        fresh = [d for d in data if d not in self.known]
+        if len(self.known) + len(fresh) > KNOWN_WORDS:
+            self.known.clear()
+            fresh = data
+        for d, hits in zip(fresh, self.trie.within([d.decode("utf-8", "ignore") for d in fresh], max(self.edits, default=0)) if fresh else ()):
+            found = [(e, -self.lexicon.weights[t], t) for t, e in hits if 0 < e <= self.edits[t]]
+            self.known[d] = (min(found)[2], min(found)[0]) if found else None
+        return [None if (got := self.known[d]) is None or d.decode("utf-8", "ignore") in self.lexicon.ordinary else got for d in data]
 
     def near(self, low: np.ndarray, prefix: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
         """Which words (in order of place) could be within the allowed edits of a term, by their length, letters and halves."""
@@ -178,8 +220,13 @@ class Matcher:
         for n, e, mask in self.shapes:
             a, b = np.searchsorted(sizes, n - e), np.searchsorted(sizes, n + e, "right")
             (once if e == 1 else out)[order[a:b]] |= np.bitwise_count(letters[a:b] ^ U(mask)) <= 2 * e
-        for (side, n), held in self.halves.items():
-            i = np.flatnonzero(once & ~out & (end - start >= n))
+        lengths = {}
+        for n in {k[2] for k in self.halves}:
+            a, b = np.searchsorted(sizes, n - 1), np.searchsorted(sizes, n + 1, "right")
+            lengths[n] = order[a:b][once[order[a:b]]]
+        for (side, n, letters_), held in self.halves.items():
+            i = lengths[letters_]
+            i = i[~out[i] & (end[i] - start[i] >= n)]
             h = span_hash(prefix, end[i] - n, end[i]) if side else span_hash(prefix, start[i], start[i] + n)
             out[i] = held[np.minimum(np.searchsorted(held, h), len(held) - 1)] == h
         return out
@@ -199,8 +246,9 @@ class Matcher:
         term, edits = np.where(exact, self.exact_term[at], -1), np.zeros(len(words), np.int64)
         rest = np.flatnonzero(~exact)
         rest = rest[np.argsort(one[rest])]
-        for i in rest[self.near(low, prefix, start[one[rest]], end[one[rest]])].tolist():
-            if got := self.nearest(low[start[one[i]] : end[one[i]]].tobytes()):
+        rest = rest[self.near(low, prefix, start[one[rest]], end[one[rest]])].tolist()
+        for i, got in zip(rest, self.nearest([low[start[one[i]] : end[one[i]]].tobytes() for i in rest])):
+            if got:
                 term[i], edits[i] = got
         where = np.flatnonzero(term[word] >= 0)
         return (doc[where], term[word][where], edits[word][where], start[where], end[where]), count
@@ -274,7 +322,7 @@ def fit_logistic(x: np.ndarray, y: np.ndarray, strength: float = 2.0) -> tuple[f
 
 def _token_rows(batches):
     """(group, label, token) once per document; ``group`` is the least hash of five tokens in a row, shared by most near copies."""
-    for b in bounded_slices(batches):
+    for b in bounded_slices(batches, owner="toxic"):
         buf, off = utf8_buffer(b.column(0))
         low = _lower_utf8(buf)
         start, end, doc = tokens(low, off)
@@ -314,7 +362,7 @@ def learn_lexicon(sample: DataFrame) -> Lexicon:
 def _feature_rows(lexicon: Lexicon):
     def run(batches):
         matcher = Matcher(lexicon)
-        for b in bounded_slices(batches):
+        for b in bounded_slices(batches, owner="toxic"):
             x, forms = matcher.features(b.column(0))
             said: dict[int, set] = {}
             for d, w in forms:
@@ -351,7 +399,7 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, threshold: float = 0.5
 
     def run(batches):
         matcher = Matcher(model.lexicon)
-        for b in bounded_slices(batches):
+        for b in bounded_slices(batches, owner="toxic"):
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(model.score(matcher.features(b.column(1))[0]))], names=["doc_id", "score"])
 
     scored = docs.select("doc_id", "text").mapInArrow(run, "doc_id long, score double")

@@ -566,9 +566,10 @@ def test_levenshtein_trie_and_prefilter(monkeypatch, edits_from):
     word = lambda lo, hi, letters="abcé": "".join(r.choice(letters) for _ in range(r.randrange(lo, hi)))
     terms = list(dict.fromkeys(word(3, 9) for _ in range(40)))
     trie = toxic.Trie(terms)
-    for w in (word(1, 10) for _ in range(400)):
-        for d in (1, 2):
-            assert sorted(trie.within(w, d)) == sorted((i, edit_distance(w, t)) for i, t in enumerate(terms) if edit_distance(w, t) <= d)
+    some = [word(1, 10) for _ in range(400)] + [terms[0] * 9, ""]
+    for d in (1, 2):
+        for w, got in zip(some, trie.within(some, d, chunk=100)):
+            assert sorted(got) == sorted((i, edit_distance(w, t)) for i, t in enumerate(terms) if edit_distance(w, t) <= d)
     check_hits(terms, [word(2, 11) for _ in range(1500)])
     long = list(dict.fromkeys([*terms[:5], *(word(7, 13, "abcdefghij") for _ in range(12))]))
     said = []
