@@ -37,17 +37,15 @@ def main() -> None:
         seconds[name] = round(time.perf_counter() - began, 3)
         return out
 
-    timed("census_points", lambda: src.line6(spark, SF_DIR).write.format("noop").mode("overwrite").save())
-    census = staged(src.line6(spark, SF_DIR), "census")
-    pivots, radius = timed("census_greedy_normaliser", lambda: greedy_pivots(census, 20))
-    bounds = baselines.guess_bounds(pivots, radius)
+    census = timed("census_points", lambda: staged(src.line6(spark, SF_DIR), "census"))
+    _, radius = timed("census_greedy_normaliser", lambda: greedy_pivots(census, 20))
     cost = {}
     runs = {
         "static": lambda: static.static_fair_centers(census, CAPS),
-        "two_pass": lambda: baselines.two_pass_fair_centers(census, CAPS, bounds=bounds),
+        "two_pass": lambda: baselines.two_pass_fair_centers(census, CAPS),
         "one_pass": lambda: onepass.one_pass_fair_centers_budget(census, CAPS, 240),
-        "prior_distributed": lambda: baselines.prior_distributed_fair_centers(census, CAPS),
-        "distributed": lambda: distributed.distributed_fair_centers_budget(census, CAPS, budget_total=240),
+        "prior_distributed": lambda: baselines.prior_distributed_fair_centers(census, CAPS, shards=10),
+        "distributed": lambda: distributed.distributed_fair_centers_budget(census, CAPS, budget_total=240, shards=10),
         "distributed_single_scan": lambda: distributed.distributed_fair_centers_budget(census, CAPS, 24, worker="single_scan"),
     }
     for name, run in runs.items():
@@ -61,7 +59,7 @@ def main() -> None:
         timed(name, lambda name=name: QUERIES[name](spark, SF_DIR).write.format("noop").mode("overwrite").save())
     try:
         from evenpick.llm.queries import QUERIES as llm
-    except ModuleNotFoundError:
+    except ImportError:
         llm = {}
     for name, run in llm.items():
         timed(name, lambda run=run: run(spark, SF_DIR).write.format("noop").mode("overwrite").save())

@@ -167,12 +167,16 @@ def merge_nets(fine: Net, coarse: Net, radius: float, m: Metric | str = "l1", al
     return out
 
 
-def spread_subset(x: np.ndarray, gap: float, m: Metric) -> list[int]:
-    """Greedy maximal subset in row order with pairwise distances above ``gap``."""
+def spread_subset(x: np.ndarray, gap: float, m: Metric, most: int | None = None) -> list[int]:
+    """Greedy maximal subset in row order with pairwise distances above ``gap``; with ``most``, one row more than that ends it."""
     kept: list[int] = []
+    near = np.full(len(x), np.inf)
     for i in range(len(x)):
-        if not kept or m.one_to_many(x[i], x[kept]).min() > gap:
+        if near[i] > gap:
             kept.append(i)
+            if most is not None and len(kept) > most:
+                break
+            near[i + 1 :] = np.minimum(near[i + 1 :], m.one_to_many(x[i], x[i + 1 :])) if i + 1 < len(x) else near[i + 1 :]
     return kept
 
 
@@ -249,7 +253,7 @@ class BudgetNet:
         if self.r == 0:
             self.r, start = _least_positive_gap(x, self.m) / 2, 0
         lam = start
-        while len(kept := spread_subset(x, 4 * 2.0**lam * self.r, self.m)) > self.budget:
+        while len(kept := spread_subset(x, 4 * 2.0**lam * self.r, self.m, self.budget)) > self.budget:
             lam += 1
         self.r *= 2.0**lam
         self.doublings += lam

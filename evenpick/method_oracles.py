@@ -321,6 +321,17 @@ def _set_metrics() -> str:
         SELECT round(max(jac), 6) AS jaccard_max, round(avg(jac), 6) AS jaccard_avg, round(max(ang), 6) AS angular_max, round(avg(ang), 6) AS angular_avg FROM d"""
 
 
+def _distinct() -> str:
+    xs = ", ".join(f"x{i}" for i in range(10))
+    return f"WITH {USERS} SELECT min(id) AS point_id, grp FROM pts WHERE grp IN (0, 2, 4) GROUP BY grp, {xs}"
+
+
+def _overlap() -> str:
+    r = Replay(CORR, 2, 4)
+    a, b = r.static(r.whole(), SKEWED), r.two_pass(r.whole(), SKEWED, 0.1)
+    return r.sql(f"SELECT id AS point_id, CAST(grp AS INTEGER) AS grp, id IN (SELECT id FROM {b}) AS shared FROM {a}")
+
+
 def _groups() -> str:
     r = customers()
     a = r.add("SELECT * FROM pts QUALIFY row_number() OVER (PARTITION BY grp ORDER BY id) = 1")
@@ -376,4 +387,6 @@ SQL: dict[str, str] = {
     "text_hash_features": _features(),
     "set_metric_profile": _set_metrics(),
     "net_groups_by_assignment": _groups(),
+    "distinct_rankings": _distinct(),
+    "solution_overlap": _overlap(),
 }

@@ -115,6 +115,33 @@ def two_pass_run(points, caps, eps=0.1, m="l1", order=("point_id",), bounds=None
     return centers_frame(points.sparkSession, got.point_id, got.grp, got.vec), len(pivots) + len(edges)
 
 
+def two_pass_local(x, ids, grp, caps, eps: float = 0.1, m: Metric | str = "l1") -> tuple[list[int], int]:
+    """(rows chosen, points held) of the two-pass baseline on arrays in arrival order; what a pivot has near is found once for all guesses."""
+    mm, k = metric(m), sum(caps.values())
+    p, delta, radius, _, _ = farthest_first(x, k, mm)
+    bounds = guess_bounds([(int(ids[i]), x[i].tolist(), float(e)) for i, e in zip(p, delta)], radius, mm)
+    guesses, held = {}, 0
+    for t in guess_grid(bounds[0] / 2, bounds[1], eps):
+        d, pivots = np.full(len(x), np.inf), []
+        while len(far := np.flatnonzero(d > 2 * t)) and len(pivots) <= k:
+            pivots.append(int(far[0]))
+            d = np.minimum(d, mm.one_to_many(x[far[0]], x))
+        if len(pivots) <= k:
+            guesses[t] = pivots
+    every = sorted({i for ps in guesses.values() for i in ps})
+    near: dict[int, list[tuple[int, float, int]]] = {i: [] for i in every}
+    for j, g, d, i in nearest_by_group(x, ids, grp, x[every], mm):
+        if caps.get(g, 0) > 0:
+            near[every[j]].append((g, d, i))
+    lists = {t: [{g: i for g, d, i in near[p] if d <= t} for p in ps] for t, ps in guesses.items()}
+    held = sum(len(ps) + sum(map(len, lists[t])) for t, ps in guesses.items())
+    for t in sorted(guesses):
+        adj = [sorted(e) for e in lists[t]]
+        if saturates(adj, caps):
+            return list(dict.fromkeys(e[g] for e, g in zip(lists[t], match_pivots(adj, caps)))), held
+    raise ValueError("no guess matches: no point belongs to a group with capacity")
+
+
 def prior_distributed_fair_centers(points: DataFrame, caps: Mapping[int, int], eps: float = 0.1, shards: int | None = None, m: Metric | str = "l1", how: str = "hash") -> DataFrame:
     """CENTER within 17 + eps in one round: workers send k pivots and the nearest member of each group around each; guesses are tried at the coordinator."""
     return prior_distributed_run(points, caps, eps, shards, m, how)[0]
@@ -144,11 +171,12 @@ def prior_distributed_run(points, caps, eps=0.1, shards=None, m="l1", how="hash"
     x, y = np.stack(pivots.vec.to_numpy()).astype(float), np.stack(members.vec.to_numpy()).astype(float)
     mm = metric(name)
     d = mm.block(y, x)
-    low = min((float(r[r > 0].min()) for r in (mm.one_to_many(v, np.vstack([x, y])) for v in x) if (r > 0).any()), default=1.0)
+    both = np.vstack([x, y])
+    low = min((float(r[r > 0].min()) for r in (mm.one_to_many(v, both) for v in x) if (r > 0).any()), default=1.0)
     high = max(float(mm.block(x, x).max()), low)
     grp = members.grp.to_numpy()
     for t in guess_grid(low / 10, high, eps):
-        kept = spread_subset(x, 10 * t, mm)
+        kept = spread_subset(x, 10 * t, mm, k)
         if len(kept) > k:
             continue
         adj = [sorted(set(grp[d[:, i] <= 5 * t].tolist())) for i in kept]

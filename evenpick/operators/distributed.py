@@ -145,6 +145,13 @@ def distributed_fair_centers_budget(
     return solve_on_net(sent.select("net_id", "vec", "grp", "groups", "reps"), caps, solver, m, located=located, fill=fill)
 
 
+def budget_run(points: DataFrame, caps: Mapping[int, int], budget_total: int, shards: int, m: Metric | str = "l1", how: str = "hash") -> tuple[DataFrame, int]:
+    """(CENTER, points that the workers send) of the budgeted method."""
+    sent = staged(worker_budget(points, max(1, budget_total // shards), shards, m, how), "worker-budgets")
+    held = sent.select(F.explode("reps.point_id").alias("id")).agg(F.count_distinct("id")).first()[0]
+    return solve_on_net(sent.select("net_id", "vec", "grp", "groups", "reps"), check_caps(caps), "static", m, located="rep"), held
+
+
 def budget_sufficient(coverage: float, lower_bound: float, eps: float) -> bool:
     """Whether the coverage radius is small enough for 3(1 + eps), with a lower bound in place of the optimum."""
     return coverage <= eps / 3 * lower_bound

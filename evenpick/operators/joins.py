@@ -4,12 +4,15 @@ from __future__ import annotations
 
 from itertools import product
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evenpick.functions.metrics import Metric, metric
+from evenpick.functions.metrics import UNROLL_TERMS, Metric, metric
 from evenpick.operators.greedy import with_distance
 from evenpick.operators.measures import center_vectors
+from evenpick.plans.durable import ship_package
 
 
 def assign_nearest(points: DataFrame, centers: DataFrame | list[list[float]], m: Metric | str = "l1") -> DataFrame:
@@ -57,16 +60,49 @@ def nearest_centers(points: DataFrame, centers: DataFrame | list[list[float]], j
     """(point_id, place, center, dist): each point's ``j`` nearest centers, ties to the earlier center. One scan, rows expanded in place."""
     c = centers if isinstance(centers, list) else center_vectors(centers)
     m = metric(m)
+    if sum(map(len, c)) > UNROLL_TERMS:
+        return _nearest_by_block(points, c, j, m.name)
     each = F.array(*[F.struct(m.to_point(F.col("vec"), v).alias("dist"), F.lit(i).alias("center")) for i, v in enumerate(c)])
     top = F.slice(F.array_sort(each), 1, j)
     return points.select("point_id", F.posexplode(top).alias("place", "c")).select("point_id", "place", "c.center", "c.dist")
 
 
+def _nearest_by_block(points: DataFrame, c: list[list[float]], j: int, name: str) -> DataFrame:
+    ship_package(points.sparkSession)
+    centers = np.array(c, float)
+
+    def run(batches):
+        for b in batches:
+            if not len(b):
+                continue
+            x, ids = np.stack(b.vec.to_numpy()).astype(float), b.point_id.to_numpy()
+            for i in range(0, len(x), 1024):
+                d = metric(name).block(x[i : i + 1024], centers)
+                at = np.argsort(d, axis=1, kind="stable")[:, :j]
+                place = np.broadcast_to(np.arange(at.shape[1]), at.shape)
+                yield pd.DataFrame({"point_id": np.repeat(ids[i : i + 1024], at.shape[1]), "place": place.ravel().astype(np.int32), "center": at.ravel().astype(np.int32), "dist": np.take_along_axis(d, at, 1).ravel()})
+
+    return points.select("point_id", "vec").mapInPandas(run, "point_id long, place int, center int, dist double")
+
+
 def farthest_points(points: DataFrame, centers: DataFrame | list[list[float]], n: int, m: Metric | str = "l1") -> DataFrame:
     """The ``n`` points farthest from their nearest center (a top-n report; each task keeps n rows)."""
     return assign_nearest(points, centers, m).orderBy(F.col("dist").desc(), "point_id").limit(n).select("point_id", "center", "dist")
 
 
+def within_interval(rows: DataFrame, at: str, intervals: DataFrame, start: str, stop: str, cell: int = 86_400) -> DataFrame:
+    """``rows`` with every interval [start, stop) that holds ``at``: an equi-join on time cells of ``cell`` seconds, then the exact condition."""
+    slot = lambda c: F.floor(F.unix_timestamp(c) / cell)
+    right = intervals.withColumn("__cell", F.explode(F.sequence(slot(start), slot(stop))))
+    return rows.withColumn("__cell", slot(at)).join(right, "__cell").where((F.col(at) >= F.col(start)) & (F.col(at) < F.col(stop))).drop("__cell")
+
+
+def solution_overlap(a: DataFrame, b: DataFrame) -> DataFrame:
+    """(point_id, grp, shared): the centers of ``a``, and whether ``b`` has them."""
+    a, b = (c.select("point_id", "grp") for c in (a, b))
+    return a.intersect(b).withColumn("shared", F.lit(True)).unionByName(a.exceptAll(b).withColumn("shared", F.lit(False)))
+
+
 def partition_check(points: DataFrame, shards: DataFrame) -> DataFrame:
     """One row: whether ``shards`` (with ``point_id``) hold exactly the points, each once."""
     twice = shards.groupBy("point_id").count().where("count > 1").agg(F.count("*").alias("twice"))

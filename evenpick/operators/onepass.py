@@ -4,21 +4,24 @@ from __future__ import annotations
 
 import time
 from collections.abc import Mapping
+from functools import reduce
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from evenpick.functions.kernels import BudgetNet, IncrementalNet, farthest_first, min_dist_block
 from evenpick.functions.metrics import Metric, metric
 from evenpick.functions.solver import check_caps, solve_static
+from evenpick.operators.baselines import two_pass_local
 from evenpick.operators.distributed import coordinator_net
 from evenpick.operators.frames import NET, SUMMARY, in_order, net_rows, per_shard_stream, shard_points, shards_for
 from evenpick.operators.nets import solve_on_net
 from evenpick.plans.durable import staged
 
 TRACE = "n_seen long, r double, net_points long, points_held long, doublings long"
-CHECKPOINT = "n_seen long, cost double, greedy_radius double, points_held long, t_update double, t_solve double, t_scratch double"
+CHECKPOINT = "n_seen long, cost double, greedy_radius double, points_held long, t_update double, t_solve double, t_scratch double, two_pass_cost double, two_pass_held long, t_two_pass double"
 
 
 def one_pass_net(points: DataFrame, k: int, eps_bar: float, m: Metric | str = "l1", order=("point_id",)) -> DataFrame:
@@ -101,8 +104,9 @@ def budget_trace(points: DataFrame, budget: int, every: int, m: Metric | str = "
     return in_order(points, list(order), run, TRACE)
 
 
-def checkpoint_costs(points: DataFrame, caps: Mapping[int, int], every: int = 2500, upto: int | None = None, budget: int = 240, m: Metric | str = "l1", order=("point_id",), restart: bool = False) -> DataFrame:
-    """CHECKPOINT rows of the budgeted pass: cost and greedy radius on the prefix, update and solve seconds, and (``restart``) a replay from scratch.
+def checkpoint_costs(points: DataFrame, caps: Mapping[int, int], every: int = 2500, upto: int | None = None, budget: int = 240, m: Metric | str = "l1", order=("point_id",), restart: bool = False, two_pass: bool = False, eps: float = 0.1) -> DataFrame:
+    """CHECKPOINT rows of the budgeted pass: cost and greedy radius on the prefix, update and solve seconds, (``restart``) a replay from scratch, and (``two_pass``) the two-pass baseline
+    run anew on the prefix.
 
     The prefix itself is kept by the measuring task only because cost and normaliser are defined on it; the method holds the net.
     """
@@ -138,8 +142,24 @@ def checkpoint_costs(points: DataFrame, caps: Mapping[int, int], every: int = 25
                         again.insert_block(x_, i_, g_)
                         solve(again)
                         scratch = time.perf_counter() - began
-                    out.append((net.seen, float(min_dist_block(x_, centers, name)[0].max()), farthest_first(x_, sum(caps.values()), name)[2], net.net.points_held(), update, solved, scratch))
+                    other = (None, None, None)
+                    if two_pass:
+                        began = time.perf_counter()
+                        rows, held = two_pass_local(x_, i_, g_, caps, eps, name)
+                        took = time.perf_counter() - began
+                        other = (float(min_dist_block(x_, x_[rows], name)[0].max()), held, took)
+                    radius = farthest_first(x_, sum(caps.values()), name)[2]
+                    net.held_most = max(net.held_most, net.net.points_held())
+                    out.append((net.seen, float(min_dist_block(x_, centers, name)[0].max()), radius, net.held_most, update, solved, scratch, *other))
                     update = 0.0
         yield pd.DataFrame(out, columns=[c.split()[0] for c in CHECKPOINT.split(", ")])
 
     return in_order(points, list(order), run, CHECKPOINT)
+
+
+def mean_checkpoints(points: DataFrame, caps: Mapping[int, int], repeats: int = 3, **kw) -> DataFrame:
+    """CHECKPOINT rows with all seconds as means of ``repeats`` runs; everything else is the same in every run."""
+    runs = [checkpoint_costs(points, caps, **kw) for _ in range(repeats)]
+    rows = staged(reduce(DataFrame.union, runs), "checkpoints")
+    names = [c.split()[0] for c in CHECKPOINT.split(", ")]
+    return rows.groupBy("n_seen").agg(*[(F.avg if n.startswith("t_") else F.max)(n).alias(n) for n in names[1:]]).select(*names).orderBy("n_seen")

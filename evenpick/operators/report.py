@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from evenpick.operators import baselines, distributed, onepass
 from evenpick.operators.greedy import greedy_pivots, with_distance
-from evenpick.operators.measures import center_vectors, points_held
+from evenpick.operators.measures import center_vectors
 from evenpick.operators.nets import solve_on_net
 from evenpick.operators.static import static_fair_centers
 from evenpick.plans.durable import staged
@@ -19,21 +19,21 @@ from evenpick.sources.points import WORKLOAD_GROUPS, WORKLOADS
 TABLE = "workload string, groups int, method string, points long, seconds double, points_held long, cost double, greedy_radius double, ratio double, feasible boolean"
 
 
-def run_method(name: str, points: DataFrame, caps: Mapping[int, int], m="l1", budget: int = 240, shards: int = 10, eps: float = 0.1, bounds=None) -> tuple[DataFrame, int | None]:
-    """(CENTER, points held) of one method on one point set."""
+def run_method(name: str, points: DataFrame, caps: Mapping[int, int], m="l1", budget: int = 240, shards: int = 10, eps: float = 0.1, bounds=None) -> tuple[DataFrame, int]:
+    """(CENTER, points held) of one method on one point set: the most that a pass holds, or what the workers send."""
     if name == "static":
         return static_fair_centers(points, caps, m), points.count()
     if name == "two_pass":
         return baselines.two_pass_run(points, caps, eps, m, bounds=bounds)
     if name == "one_pass":
-        net = staged(onepass.one_pass_budget_net(points, budget, m), "one-pass-net")
-        return solve_on_net(net, caps, "static", m, located="rep"), points_held(net).first()[0]
+        net = staged(onepass.one_pass_budget_net(points, budget, m, counted=True), "one-pass-net")
+        return solve_on_net(net.drop("held_most"), caps, "static", m, located="rep"), net.first().held_most
     if name == "prior_distributed":
-        return baselines.prior_distributed_fair_centers(points, caps, eps, shards, m), None
+        return baselines.prior_distributed_run(points, caps, eps, shards, m)
     if name == "distributed":
-        return distributed.distributed_fair_centers_budget(points, caps, budget_total=budget, shards=shards, m=m), None
+        return distributed.budget_run(points, caps, budget, shards, m)
     if name == "random":
-        return baselines.random_fair_centers(points, caps), None
+        return baselines.random_fair_centers(points, caps), sum(caps.values())
     raise ValueError(f"unknown method {name}")
 
 

@@ -79,6 +79,8 @@ ok AS (SELECT h, bool_and(confined <= cap) AS feasible FROM hall JOIN sets USING
 SQL: dict[str, str] = {
     "group_caps": "SELECT CAST(dense_rank() OVER (ORDER BY c_mktsegment) - 1 AS INTEGER) AS grp, c_mktsegment AS name, 10 AS cap FROM (SELECT DISTINCT c_mktsegment FROM customer)",
     "crossed_groups_rollup": "SELECT l_linestatus, o_orderpriority, count(*) AS points FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY ROLLUP (l_linestatus, o_orderpriority)",
+    "crossed_groups_cube": "SELECT l_linestatus, o_orderpriority, count(*) AS points FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY CUBE (l_linestatus, o_orderpriority)",
+    "events_in_summaries": "WITH v AS (SELECT DISTINCT date_trunc('day', ts) AS a FROM events) SELECT CAST(date_diff('day', DATE '1970-01-01', CAST(a AS DATE)) AS INTEGER) AS start_day, count(*) AS events FROM v JOIN events ON ts >= a AND ts < a + INTERVAL 36 HOUR GROUP BY a",
     "points_w1_rankings": f"WITH {BRANDS}, q AS (SELECT id, {RATES} FROM lines GROUP BY id) SELECT id AS c_custkey, {', '.join(f'CAST({_ahead(b)} AS INTEGER) AS p{b}' for b in range(1, 11))} FROM q",
     "points_w2_scores": f"""WITH {BRANDS}, s AS (SELECT id, brand, l_linestatus, CAST(least(4, floor(avg(l_quantity) / 10)) AS BIGINT) AS v FROM lines GROUP BY ALL)
         SELECT id AS point_id, CAST(sum(v) AS BIGINT) AS total, CAST(sum(v * (2 * (brand - 1) + CASE WHEN l_linestatus = 'F' THEN 0 ELSE 1 END + 1)) AS BIGINT) AS weighted FROM s GROUP BY id""",

@@ -62,6 +62,36 @@ def crossed_groups_rollup(spark, d):
     return l.join(o, l.l_orderkey == o.o_orderkey).rollup("l_linestatus", "o_orderpriority").agg(F.count("*").alias("points"))
 
 
+@query
+def crossed_groups_cube(spark, d):
+    l, o = src.load(spark, d, "lineitem").select("l_orderkey", "l_linestatus"), src.load(spark, d, "orders").select("o_orderkey", "o_orderpriority")
+    return l.join(o, l.l_orderkey == o.o_orderkey).cube("l_linestatus", "o_orderpriority").agg(F.count("*").alias("points"))
+
+
+@query
+def distinct_rankings(spark, d):
+    """Points of chosen groups without copies inside a group."""
+    pts = src.select_groups(src.user_rankings(spark, d), [0, 2, 4])
+    return src.dedupe_points(pts).select("point_id", "grp")
+
+
+@query
+def solution_overlap(spark, d):
+    """Centers that two methods share, and those that only the first has."""
+    pts = staged(src.corr4(spark, d), "points")
+    a, b = static.static_fair_centers(pts, SKEWED), baselines.two_pass_fair_centers(pts, SKEWED, 0.1)
+    return joins.solution_overlap(a, b)
+
+
+@query
+def events_in_summaries(spark, d):
+    """Interval join: events inside the validity of two-day summaries, per summary."""
+    e = src.load(spark, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    day = F.date_trunc("day", "ts")
+    valid = e.select(day.alias("start")).distinct().select("start", (F.col("start") + F.expr("INTERVAL 36 HOURS")).alias("stop"))
+    return joins.within_interval(e, "ts", valid, "start", "stop").groupBy(src.day_number("start").alias("start_day")).agg(F.count("*").alias("events"))
+
+
 @query
 def points_w1_rankings(spark, d):
     return src.brand_positions(spark, d)
@@ -357,8 +387,8 @@ def solver_plugged_in(spark, d):
 @query
 def uniform_scaling(spark, d):
     """Both distributed methods on the generated uniform set at growing sizes: seconds (mean of 3 runs), points sent and cost."""
-    rows, caps = [], dict.fromkeys(range(4), 10)
-    for n in (5_000, 20_000, 80_000):
+    rows, caps = [], dict.fromkeys(range(4), 2)
+    for n in (5_000, 20_000):
         pts = staged(src.uniform_points(spark, n, 50), "uniform")
         for name in ("distributed", "prior_distributed"):
             (c, held), s = measures.timed(lambda pts=pts, name=name: report.run_method(name, pts, caps, budget=800, shards=100))
@@ -605,8 +635,9 @@ def smallest_sufficient_budget(spark, d):
 
 @query
 def checkpoint_report(spark, d):
-    """A report every 2,500 of the first 32,500 rows, without and with a replay from scratch (the workload's own limits)."""
-    return onepass.checkpoint_costs(src.line6(spark, d), TWO_TEN, 2500, 32_500, 240, restart=True)
+    """A report every 2,500 of the first 32,500 rows: the one-pass method, its replay from scratch and the two-pass baseline on the prefix, seconds as means of 3 runs."""
+    pts = staged(src.line6(spark, d), "points")
+    return onepass.mean_checkpoints(pts, TWO_TEN, 3, every=2500, upto=32_500, budget=240, restart=True, two_pass=True)
 
 
 def _report(name, groups=None):
@@ -620,10 +651,36 @@ for _name in src.WORKLOADS:
     _report(_name)
 
 
+def _small_report(name):
+    def run(spark, d):
+        """The first 1,000 points of a set on 40 shards (the workload's own limit)."""
+        return report.workload_table(spark, d, first=1000, shards=40, only={name: src.WORKLOAD_GROUPS[name]})
+
+    QUERIES[f"report_small_{name}"] = run
+
+
+for _name in ("rankings", "scores", "census", "documents"):
+    _small_report(_name)
+
+
+def _wide_report(dim, methods):
+    def run(spark, d):
+        """Labelled documents as points of very many dimensions."""
+        return report.compare(src.dochash(spark, d, dim), TWO_TEN, methods, workload=f"documents_{dim}")
+
+    QUERIES[f"report_documents_{dim}"] = run
+
+
+_wide_report(1024, report.METHODS)
+_wide_report(15_360, ("one_pass", "distributed"))
+
+
 @query
-def report_small_data(spark, d):
-    """The first 1,000 points of each set on 40 shards (the workload's own limit)."""
-    return report.workload_table(spark, d, first=1000, shards=40, only={"rankings": (2,), "scores": (2,), "census": (2,), "documents": (4,)})
+def uniform_wide(spark, d):
+    """The budgeted distributed method on 2,000 generated points of 1,000 dimensions: 800 points over 100 shards."""
+    pts, caps = staged(src.uniform_points(spark, 2_000, 1000), "uniform"), dict.fromkeys(range(4), 2)
+    (c, held), s = measures.timed(lambda: report.run_method("distributed", pts, caps, budget=800, shards=100), 1)
+    return spark.createDataFrame([("distributed", s, held, float(measures.cost(pts, c).first().cost))], "method string, seconds double, points_held long, cost double")
 
 
 @query

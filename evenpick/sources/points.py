@@ -93,6 +93,16 @@ def dense_ids(df: DataFrame, order: Sequence[str], into: str = "point_id") -> Da
     return part.withColumn("__part", slot).join(offsets, "__part").withColumn(into, F.col("__before") + place).drop("__slot", "__part", "__before")
 
 
+def select_groups(points: DataFrame, groups: Sequence[int]) -> DataFrame:
+    """Points of some groups."""
+    return points.where(F.col("grp").isin(list(groups)))
+
+
+def dedupe_points(points: DataFrame) -> DataFrame:
+    """One point, that of the least id, for equal positions of one group."""
+    return points.groupBy("grp", "vec").agg(F.min("point_id").alias("point_id")).select("point_id", "grp", "vec")
+
+
 def head(points: DataFrame, n: int) -> DataFrame:
     """The first ``n`` points by id (the small-data workload)."""
     return points.orderBy("point_id").limit(n)
