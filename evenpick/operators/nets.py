@@ -64,11 +64,11 @@ def check_net(net: DataFrame, points: DataFrame, radius: float, alpha: float, m:
             y = matrix(b.vec.to_numpy())
             for i in range(0, len(y), 256):
                 d = metric(name).block(y[i : i + 256], x)
-                d[np.arange(len(d)), b.at.to_numpy()[i : i + 256]] = np.inf
+                d[np.arange(len(d)), b.place.to_numpy()[i : i + 256]] = np.inf
                 yield pd.DataFrame({"gap": d.min(1)})
 
     spark = net.sparkSession
-    own = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "at long, vec array<double>")
+    own = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "place long, vec array<double>")
     gap = own.repartition(max(1, len(x) // 2048)).mapInPandas(gaps, "gap double").agg(F.min("gap")).first()[0]
     gap = float("inf") if gap is None else gap
     cover = with_distance(points.select("point_id", "vec"), x.tolist(), m, "dist").agg(F.max("dist").alias("c"))
