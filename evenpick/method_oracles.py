@@ -358,6 +358,8 @@ SQL: dict[str, str] = {
     "guaranteed_orders": reported(Replay(ORD, 2, 3), guaranteed, dict.fromkeys(range(3), 10), 3.0, 8),
     "streaming_sharded_centers": reported(Replay(EVT, 4, 5), scanned, FIVE_FOUR, 60, 2),
     "streaming_guaranteed_centers": reported(Replay(EVT, 4, 5), streamed_guaranteed, FIVE_FOUR, 6.0, 2),
+    "streaming_versioned_nets": f"""WITH {EVT}, v AS (SELECT id, grp, ceil(id * 3 / CAST((SELECT max(id) FROM pts) AS DOUBLE)) AS third FROM pts)
+        SELECT CAST(i AS INTEGER) AS version, count(*) AS seen, CAST(bit_or(1 << grp) AS BIGINT) AS groups, TRUE AS packed, TRUE AS covered FROM v JOIN range(1, 4) t(i) ON third <= i GROUP BY i""",
     "sql_surface": reported(customers(), scanned, FIVE_TWO, 24, 4),
     "bounds_on_nations": _all_on_nations(),
     "plain_k_center": _plain(),

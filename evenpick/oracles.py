@@ -44,6 +44,8 @@ NET1 = f"""WITH RECURSIVE {CUST},
 src AS (SELECT 0 AS part, row_number() OVER (ORDER BY id) AS rn, id, x, y, grp, CAST(1.0 AS DOUBLE) AS thr FROM cust),
 {sequential("src", "state")}, {net_points("state", "net")}, {owners("src", "net", "own")}"""
 
+NET4 = NET1.replace("SELECT 0 AS part, row_number() OVER (ORDER BY id)", "SELECT id % 4 AS part, row_number() OVER (PARTITION BY id % 4 ORDER BY id)")
+
 RATES = ", ".join(f"CAST(sum(CASE WHEN brand = {b} THEN l_quantity ELSE 0 END) AS DOUBLE) AS q{b}" for b in range(1, 11))
 BRANDS = """lines AS (SELECT o_custkey AS id, l_quantity, l_linestatus, CAST(regexp_extract(p_brand, '(\\d+)', 1) AS INTEGER) AS brand
     FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey)"""
@@ -103,6 +105,10 @@ SQL: dict[str, str] = {
     "farthest_first_lineitem": f"WITH RECURSIVE {LINE}, {greedy('z', 'ff', list('abcdef'), 8)} SELECT CAST(step - 1 AS INTEGER) AS rank, pid AS point_id, CASE WHEN step = 1 THEN 0 ELSE round(pd, 4) END AS delta, round((SELECT max(md) FROM ff WHERE step = 8), 4) AS radius FROM (SELECT DISTINCT step, pid, pd FROM ff)",
     "farthest_first_per_shard": f"WITH RECURSIVE {CUST}, {greedy('cust', 'ff', ['x', 'y'], 5, 'id % 4')} SELECT part AS shard, CAST(step - 1 AS INTEGER) AS rank, pid AS point_id, CASE WHEN step = 1 THEN 0 ELSE round(pd, 6) END AS delta, round(r, 6) AS radius FROM (SELECT DISTINCT part, step, pid, pd FROM ff) JOIN (SELECT part, max(md) AS r FROM ff WHERE step = 5 GROUP BY part) USING (part)",
     "lower_bound_radius": f"WITH RECURSIVE {CUST}, {greedy('cust', 'ff', ['x', 'y'], 10, 'id % 4')} SELECT round(max(md) / 2, 6) AS lower_bound FROM ff WHERE step = 10",
+    "net_aggregate_customer": f"""{NET4}, d AS (SELECT part, nid, o.grp, o.id, abs(s.x - nx) + abs(s.y - ny) AS dist FROM own o JOIN net USING (part, pos) JOIN src s USING (part, id))
+        SELECT part AS shard, nid AS net_id, grp, min(id) AS rep_id, round(arg_min(dist, id), 6) AS dist FROM d GROUP BY ALL""",
+    "sql_distances": f"""WITH {CUST} SELECT id AS point_id, round(abs(x - 1) + abs(y - 1), 6) AS l1, round(sqrt((x - 1) * (x - 1) + (y - 1) * (y - 1)), 6) AS l2,
+        round(greatest(abs(x - 1), abs(y - 1)), 6) AS linf, CAST((x <> 1)::INT + (y <> 1)::INT AS DOUBLE) AS hamming FROM cust""",
     "threshold_net_customer": f"{NET1} SELECT nid AS net_id, CAST(bit_or(1 << grp) AS BIGINT) AS groups, count(*) AS members FROM own JOIN net USING (part, pos) GROUP BY nid",
     "net_representatives_first": f"{NET1} SELECT nid AS net_id, grp, min(id) AS rep_id FROM own JOIN net USING (part, pos) GROUP BY nid, grp",
     "net_representatives_nearest": f"""{NET1}, d AS (SELECT nid, o.grp, o.id, abs(s.x - nx) + abs(s.y - ny) AS dist FROM own o JOIN net USING (part, pos) JOIN src s USING (id))

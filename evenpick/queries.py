@@ -18,7 +18,7 @@ from evenpick.operators.frames import arrays, centers_frame, to_driver
 from evenpick.operators.greedy import distance_evaluations, farthest_first_per_shard, farthest_first_rounds, greedy_pivots, with_distance
 from evenpick.plans.durable import shared_dir, staged
 from evenpick.sources import points as src
-from evenpick.sqlapi import register_sql
+from evenpick.sqlapi import net_agg, register_sql
 from evenpick.streaming import stream
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -757,6 +757,41 @@ def streaming_guaranteed_centers(spark, d):
     return _streamed(spark, d, "guaranteed")
 
 
+@query
+def streaming_versioned_nets(spark, d):
+    """Every version of one merged net over events in three files: what it has seen, the groups in it, and whether it packs and covers what it saw."""
+    pts = staged(src.evt4(spark, d), "event-points")
+    base, n = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}", pts.agg(F.max("point_id")).first()[0]
+    third = lambda i: F.ceil(F.col("point_id") * 3 / F.lit(n)) <= i
+    job, rows = stream.VersionedFairCenters(dict.fromkeys(range(5), 4), eps=3.0, shards=2, how="modulo"), []
+    for i in (1, 2, 3):
+        pts.where(third(i) & ~third(i - 1) if i > 1 else third(1)).coalesce(1).write.mode("append").parquet(f"{base}/in")
+        job.start(stream.stream_points(spark, f"{base}/in", src.POINT), f"{base}/out", f"{base}/checkpoint").awaitTermination()
+        net = staged(job.newest(spark, f"{base}/out"), "version")
+        of = net.agg(F.max("radius").alias("radius"), F.max("seen").alias("seen"), F.bit_or("groups").alias("groups")).first()
+        sound = nets.check_net(net, pts.where(third(i)), job.eps_bar * of.radius, 2.0).first()
+        rows.append((i, of.seen, of.groups, sound.packed, sound.covered))
+    return spark.createDataFrame(rows, "version int, seen long, groups long, packed boolean, covered boolean")
+
+
+@query
+def net_aggregate_customer(spark, d):
+    """Nets of four shards of the customers by the aggregate function: net points and the representatives they hold."""
+    register_sql(spark)
+    shard = F.pmod("point_id", F.lit(4)).alias("shard")
+    nested = src.cust2d(spark, d).groupBy(shard).agg(net_agg(1.0)("point_id", "grp", "vec").alias("net"))
+    n = nested.select("shard", F.explode("net").alias("n"))
+    return n.select("shard", "n.net_id", "n.grp", F.col("n.point_id").alias("rep_id"), F.round("n.dist", 6).alias("dist"))
+
+
+@query
+def sql_distances(spark, d):
+    """Distances to the origin's neighbour (1, 1) by the registered SQL functions."""
+    register_sql(spark)
+    to_one = lambda m: F.expr(f"round({m}_distance(vec, array(1D, 1D)), 6)").alias(m)
+    return src.cust2d(spark, d).select("point_id", *(to_one(m) for m in ("l1", "l2", "linf", "hamming")))
+
+
 @query
 def sql_surface(spark, d):
     register_sql(spark)

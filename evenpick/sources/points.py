@@ -237,13 +237,17 @@ def emb64(spark: SparkSession, sf_dir: str, groups: int = 4) -> DataFrame:
     return e.select(F.col("vec_id").alias("point_id"), (F.col("label") % groups).cast("int").alias("grp"), F.col("embedding").cast("array<double>").alias("vec"))
 
 
-def uniform_points(spark: SparkSession, n: int, dim: int = 1000, m: int = 4, scale: float = 1e5, seed: int = 7) -> DataFrame:
-    """The uniform set at any size: every coordinate is a hash of (id, dimension), so any partitioning gives the same points."""
+def uniform_columns(rows: DataFrame, dim: int, m: int, scale: float, seed: int) -> DataFrame:
+    """Points of ids ``(id)``: every coordinate is a hash of (id, dimension)."""
     unit = lambda j: F.shiftrightunsigned(F.xxhash64("id", j, F.lit(seed)), 11) * F.lit(scale / 2**53)
-    rows = spark.range(n)
     return rows.select(F.col("id").alias("point_id"), F.pmod(F.xxhash64("id", F.lit(seed + 1)), F.lit(m)).cast("int").alias("grp"), F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), unit).alias("vec"))
 
 
+def uniform_points(spark: SparkSession, n: int, dim: int = 1000, m: int = 4, scale: float = 1e5, seed: int = 7) -> DataFrame:
+    """The uniform set at any size; any partitioning gives the same points."""
+    return uniform_columns(spark.range(n), dim, m, scale, seed)
+
+
 def event_points(events: DataFrame, types: Sequence[str]) -> DataFrame:
     """Stream or batch events as points: value, hour, weekday, log value; one group per event type (fixed list, so it works on streams)."""
     grp = F.array_position(F.array(*[F.lit(t) for t in types]), F.col("event_type")) - 1

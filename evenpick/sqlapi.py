@@ -9,18 +9,45 @@ import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
 
-from evenpick.functions.kernels import BudgetNet
-from evenpick.functions.metrics import METRICS
+from evenpick.functions.kernels import BudgetNet, Net, threshold_net
 from evenpick.functions.solver import solve_static
 from evenpick.plans.durable import ship_package
 
 
-def _distance(name: str):
-    def run(a: pd.Series, b: pd.Series) -> pd.Series:
-        m = METRICS[name]
-        return pd.Series([float(m.block(np.asarray(x, float)[None], np.asarray(y, float)[None])[0, 0]) for x, y in zip(a, b)])
+def _total(term: str) -> str:
+    return f"aggregate(zip_with(a, b, (x, y) -> {term}), 0D, (s, t) -> s + t)"
 
-    return pandas_udf(run, "double")
+
+def _angle() -> str:
+    norm = f"{_total('x * x')} * {_total('y * y')}"
+    return f"acos(greatest(-1D, least(1D, CASE WHEN {norm} > 0 THEN {_total('x * y')} / sqrt({norm}) ELSE 0D END))) / pi()"
+
+
+#: The metrics as SQL over arrays a and b, evaluated in the JVM.
+DISTANCES = {
+    "l1": _total("abs(x - y)"),
+    "inversions": _total("abs(x - y)"),
+    "l2": f"sqrt({_total('(x - y) * (x - y)')})",
+    "linf": "array_max(zip_with(a, b, (x, y) -> abs(x - y)))",
+    "hamming": _total("CAST(x != y AS DOUBLE)"),
+    "jaccard": f"coalesce(1 - {_total('CAST(x != 0 AND y != 0 AS DOUBLE)')} / nullif({_total('CAST(x != 0 OR y != 0 AS DOUBLE)')}, 0D), 0D)",
+    "angular": _angle(),
+}
+MEMBERS = "array<struct<net_id: bigint, grp: int, point_id: bigint, vec: array<double>, dist: double>>"
+
+
+def net_agg(radius: float, m: str = "l1"):
+    """Grouped aggregate over ``(point_id, grp, vec)``: the representatives of a threshold net of each group of rows, taken in order of id.
+
+    Unlike ``net_summary`` it holds its group's rows, so it is for groups that fit a task; the net operators take the others.
+    """
+
+    def run(ids: pd.Series, grp: pd.Series, vec: pd.Series) -> list:
+        order = np.argsort(ids.to_numpy(), kind="stable")
+        net = threshold_net(np.stack(vec.to_numpy()[order]).astype(float), ids.to_numpy()[order], grp.to_numpy()[order], radius, m) if len(ids) else Net()
+        return [{"net_id": int(i), "grp": g, "point_id": p, "vec": x.tolist(), "dist": d} for i, reps in zip(net.ids, net.reps) for g, (p, x, d) in sorted(reps.items())]
+
+    return pandas_udf(run, MEMBERS)
 
 
 @udtf(returnType="net_id bigint, at array<double>, member_grp int, member_id bigint, member array<double>, dist double")
@@ -73,7 +100,7 @@ class FairCentersTable:
 def register_sql(spark: SparkSession) -> None:
     """Register ``<metric>_distance`` functions and the two table functions."""
     ship_package(spark)
-    for name in METRICS:
-        spark.udf.register(f"{name}_distance", _distance(name))
+    for name, body in DISTANCES.items():
+        spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}_distance(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN {body}")
     spark.udtf.register("net_summary", NetSummary)
     spark.udtf.register("fair_centers", FairCentersTable)

@@ -17,14 +17,17 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from evenpick.functions.kernels import BudgetNet, IncrementalNet
+from evenpick.functions.kernels import BudgetNet, IncrementalNet, Net, farthest_first, merge_nets
+from evenpick.functions.metrics import metric
 from evenpick.functions.solver import check_caps
-from evenpick.operators.distributed import coordinator_net
-from evenpick.operators.frames import SUMMARY, arrays, net_rows, shard_points
+from evenpick.operators.distributed import coordinator_net, worker_net
+from evenpick.operators.frames import NET, SUMMARY, arrays, net_of, net_rows, shard_points, shards_for
 from evenpick.operators.nets import solve_on_net
-from evenpick.plans.durable import ship_package
+from evenpick.plans.durable import ship_package, staged
+from evenpick.sources.points import uniform_columns
 
 VERSIONED = f"{SUMMARY}, version long"
+VERSION = f"radius double, seen long, {NET}"
 
 
 def stream_points(spark: SparkSession, folder: str, schema: str, files_per_trigger: int = 1) -> DataFrame:
@@ -32,6 +35,22 @@ def stream_points(spark: SparkSession, folder: str, schema: str, files_per_trigg
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(folder)
 
 
+def rate_points(spark: SparkSession, rows_per_second: int = 1000, dim: int = 10, groups: int = 4, scale: float = 1e5, seed: int = 7) -> DataFrame:
+    """Endless uniform points for soak tests: the rate source's counter is the id, coordinates are hashes of (id, dimension)."""
+    rows = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    return uniform_columns(rows.withColumnRenamed("value", "id"), dim, groups, scale, seed)
+
+
+def insert_only(points: DataFrame, op: str, inserts: tuple[str, ...] = ("insert", "i", "c")) -> DataFrame:
+    """Points of a change feed whose column ``op`` names the change; a change other than an insert stops the job, as nets take nothing back.
+
+    A null change counts as no insert.
+    """
+    taken = F.coalesce(F.lower(op).isin(*inserts), F.lit(False))
+    refused = F.raise_error(F.concat(F.lit("insert-only stream, got: "), F.coalesce(F.col(op), F.lit("null"))))
+    return points.where(F.when(taken, F.lit(True)).otherwise(refused.cast("boolean"))).drop(op)
+
+
 def deduplicated(stream: DataFrame, ts: str, delay: str = "1 hour") -> DataFrame:
     """Replayed ids dropped within a watermark (late rows themselves are welcome: the nets are insert-only)."""
     return stream.withColumn("event_time", F.col(ts).cast("timestamp")).withWatermark("event_time", delay).dropDuplicatesWithinWatermark(["point_id"])
@@ -94,6 +113,83 @@ class StreamingFairCenters:
         return solve_on_net(coordinator_net(summaries, self.eps / 12, self.metric), self.caps, "static", self.metric)
 
 
+@dataclass(frozen=True)
+class VersionedFairCenters:
+    """One net for the whole stream, a version per micro-batch, in place of keyed state; factor 3(1 + eps).
+
+    Tasks reduce a batch to nets of its shards, which are folded into the newest version with the radius that version was built for. Once
+    the batch, or the net itself, shows a scale above that radius, the radius at least doubles and the old net is thinned first; so
+    what a version is off by stays below twice its own absorbing distance, however many batches there were. A batch that runs again after
+    a failure folds into the version before it and overwrites its own, and a query reads the newest complete version alone.
+    """
+
+    caps: Mapping[int, int]
+    eps: float = 1.0
+    shards: int | None = None
+    metric: str = "l1"
+    how: str = "hash"
+
+    @property
+    def eps_bar(self) -> float:
+        return self.eps / 6
+
+    def folded(self, old: DataFrame | None, batch: DataFrame) -> DataFrame:
+        """VERSION of everything in ``old`` (None: nothing yet) and the batch."""
+        k, eps_bar, name = sum(check_caps(self.caps).values()), self.eps_bar, metric(self.metric).name
+        batch = staged(batch.select("point_id", "grp", "vec"), "micro-batch")
+        fresh = worker_net(batch, k, eps_bar, shards_for(batch, self.shards), name, self.how)
+        if old is not None:
+            fresh = fresh.unionByName(old.select(F.lit(-1).cast("long").alias("shard"), F.col("radius").alias("r_t"), F.col("seen").alias("n_t"), "net_id", "vec", "grp", "groups", "reps"))
+        ship_package(batch.sparkSession)
+
+        def run(pdf: pd.DataFrame) -> pd.DataFrame:
+            held = pdf.shard < 0
+            radius = float(pdf.r_t[held].max()) if held.any() else 0.0
+            net = net_of(pdf[held].sort_values("net_id", kind="stable"))
+
+            def grown(net: Net, scale: float) -> tuple[Net, float]:
+                wide = radius if 2 * scale <= radius else max(2 * radius, 2 * scale)
+                return (merge_nets(net, Net(), eps_bar * wide, name) if wide > radius and len(net) else net), wide
+
+            net, radius = grown(net, float(pdf.r_t[~held].max()) if (~held).any() else 0.0)
+            for _, part in sorted(pdf[~held].groupby("shard")):
+                net = merge_nets(net_of(part.sort_values("net_id", kind="stable")), net, eps_bar * radius, name)
+            net, radius = grown(net, farthest_first(net.matrix(), k, name)[2] / 8)
+            return net_rows(net, radius=radius, seen=int(pdf.drop_duplicates("shard").n_t.sum()))
+
+        return fresh.withColumn("bucket", F.lit(0)).groupBy("bucket").applyInPandas(run, VERSION)
+
+    def start(self, points: DataFrame, out: str, checkpoint: str, once: bool = True):
+        """Write the versions under ``out``, one folder each."""
+
+        def save(batch: DataFrame, number: int) -> None:
+            spark = batch.sparkSession
+            before = [v for v in self.versions(spark, out) if v < number]
+            old = self.version(spark, out, before[-1]) if before else None
+            self.folded(old, batch).write.mode("overwrite").parquet(f"{out}/version={number}")
+
+        writer = points.writeStream.outputMode("append").option("checkpointLocation", checkpoint).foreachBatch(save)
+        return (writer.trigger(availableNow=True) if once else writer).start()
+
+    def versions(self, spark: SparkSession, out: str) -> list[int]:
+        """Numbers of the complete versions, ascending, from the folder listing alone."""
+        done = spark._jvm.org.apache.hadoop.fs.Path(f"{out}/version=*/_SUCCESS")
+        found = done.getFileSystem(spark._jsc.hadoopConfiguration()).globStatus(done)
+        return sorted(int(f.getPath().getParent().getName().split("=")[1]) for f in found or [])
+
+    def version(self, spark: SparkSession, out: str, number: int) -> DataFrame:
+        return spark.read.schema(VERSION).parquet(f"{out}/version={number}")
+
+    def newest(self, spark: SparkSession, out: str) -> DataFrame:
+        """VERSION of everything seen so far (empty before the first batch)."""
+        found = self.versions(spark, out)
+        return self.version(spark, out, found[-1]) if found else spark.createDataFrame([], VERSION)
+
+    def centers(self, spark: SparkSession, out: str) -> DataFrame:
+        """CENTER for everything seen so far."""
+        return solve_on_net(self.newest(spark, out).drop("radius", "seen"), self.caps, "static", self.metric)
+
+
 def window_summaries(points: DataFrame, ts: str, caps: Mapping[int, int], width: str = "1 day", slide: str | None = None, budget: int = 60, m: str = "l1") -> DataFrame:
     """(start, stop, rank, point_id, grp, vec): fair centers of every tumbling or sliding window. Batch or stream.
 
