@@ -215,3 +215,28 @@ def test_normalised_points_beside_the_sql_at_a_tie(spark):
     names = [c[0] for c in cur.description]
     want = [dict(zip(names, r)) for r in cur.fetchall()]
     assert plain([r.asDict() for r in QUERIES["points_w3_normalised"](spark, d).collect()], names) == plain(want, names)
+
+
+@pytest.mark.parametrize("m", ["l1", "l2", "linf", "angular"])
+def test_aspect_ratio_compares_few_blocks(spark, m, monkeypatch):
+    import numpy as np
+
+    from evenpick.functions.metrics import metric
+
+    x = np.random.default_rng(5).normal(size=(400, 2)) * [3.0, 1.0] + [1e4, 0.0]
+    x = np.vstack([x, x[:50], x[:1] + 1e-7])
+    points = spark.createDataFrame([(i, 0, v.tolist()) for i, v in enumerate(x)], src.POINT)
+    d = metric(m).block(x, x)
+    seen = []
+    make = type(spark).createDataFrame
+    monkeypatch.setattr(type(spark), "createDataFrame", lambda s, data, schema=None, **k: (seen.append(len(data)) if schema == "b int, i int, j int" else None, make(s, data, schema, **k))[1])
+    got = measures.aspect_ratio(points, m, block=8).first()
+    assert (got.max_dist, got.min_dist) == (pytest.approx(d.max(), rel=1e-12), d[d > 0].min())
+    assert m == "angular" or sum(seen) / 2 < 300  # of 1,275 pairs of blocks
+
+
+def test_aspect_ratio_of_copies_and_single_points(spark):
+    one = spark.createDataFrame([(1, 0, [1.0, 2.0])], src.POINT)
+    assert tuple(measures.aspect_ratio(one).first()) == (None, None, None)
+    assert tuple(measures.aspect_ratio(one.where("false")).first()) == (None, None, None)
+    assert tuple(measures.aspect_ratio(one.union(one)).first()) == (0.0, None, None)
