@@ -240,3 +240,38 @@ def test_aspect_ratio_of_copies_and_single_points(spark):
     assert tuple(measures.aspect_ratio(one).first()) == (None, None, None)
     assert tuple(measures.aspect_ratio(one.where("false")).first()) == (None, None, None)
     assert tuple(measures.aspect_ratio(one.union(one)).first()) == (0.0, None, None)
+
+
+def test_a_report_builds_its_points_once(spark, sf, monkeypatch):
+    built = []
+    make = src.dense_ids
+    monkeypatch.setattr(src, "dense_ids", lambda *a, **k: (built.append(1), make(*a, **k))[1])
+    got = report.workload_table(spark, sf, methods=("distributed",), only={"census": (2, 5)}).collect()
+    assert len(built) == 1 and [r.groups for r in got] == [2, 5]
+    for r in got:
+        alone = report.compare(src.line6(spark, sf, r.groups), dict.fromkeys(range(r.groups), 10), ("distributed",)).first()
+        assert (alone.cost, alone.greedy_radius, alone.points_held) == (r.cost, r.greedy_radius, r.points_held)
+
+
+def test_copies_beyond_the_driver_rows(spark, monkeypatch):
+    """Where points do not fit the driver, copies are dropped: same pivots, centers and points held, without rounds."""
+    from evenpick.operators import baselines, frames, greedy
+
+    points = spark.createDataFrame([(i, i % 2, [float(i % 40 * 7 % 31), float(i % 40 % 9)]) for i in range(800)], src.POINT)
+    caps = {0: 3, 1: 2}
+    runs = lambda: (greedy.greedy_pivots(points, 6), static.static_fair_centers(points, caps).collect(), (lambda c: (c[0].collect(), c[1]))(baselines.two_pass_run(points, caps)))
+    want = runs()
+    monkeypatch.setattr(frames, "DRIVER_VALUES", 200)
+    monkeypatch.setattr(greedy, "farthest_first_rounds", lambda *a: pytest.fail("rounds over points whose positions fit the driver"))
+    assert runs() == want
+
+
+def test_l1_tiles_add_up_as_rows_do():
+    import numpy as np
+
+    from evenpick.functions import metrics
+
+    rng = np.random.default_rng(1)
+    for n, k, d in ((700, 300, 6), (5, 900, 45), (3, 3, 2), (0, 7, 3), (9, 4, 70)):
+        x, c = rng.normal(size=(n, d)), rng.normal(size=(k, d))
+        assert np.array_equal(metrics._l1_block(x, c, 1024), metrics._rows_l1(x, c))
