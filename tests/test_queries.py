@@ -275,3 +275,28 @@ def test_l1_tiles_add_up_as_rows_do():
     for n, k, d in ((700, 300, 6), (5, 900, 45), (3, 3, 2), (0, 7, 3), (9, 4, 70)):
         x, c = rng.normal(size=(n, d)), rng.normal(size=(k, d))
         assert np.array_equal(metrics._l1_block(x, c, 1024), metrics._rows_l1(x, c))
+
+
+def test_packed_points_give_what_dense_ones_give(spark, sf):
+    import numpy as np
+
+    from evenpick.operators import frames
+
+    v = np.array([0.0, -0.0, 1.5, np.nan, np.inf, 0.0])
+    assert frames.unpack(frames.pack(v)).tobytes() == v.tobytes() and len(frames.unpack(frames.pack(np.zeros(0)))) == 0
+    pts = src.dochash(spark, sf, 300)
+    assert frames.packed(pts).agg(F.max(frames.dimension(frames.packed(pts)))).first()[0] == 300
+    rows = lambda p: [tuple(v for c, v in r.asDict().items() if c != "seconds") for r in report.compare(p, {0: 3, 1: 3}, ("one_pass", "distributed")).collect()]
+    assert rows(frames.packed(pts)) == rows(pts)
+
+
+def test_nets_own_their_rows():
+    """A net point must not keep the block it was read in."""
+    import numpy as np
+
+    from evenpick.functions.kernels import BudgetNet
+
+    net = BudgetNet(4)
+    for i in range(20):
+        net.insert_block(np.random.default_rng(i).normal(size=(50, 3)), np.arange(50) + 50 * i, np.arange(50) % 2)
+    assert all(v.base is None for v in net.net.vecs) and all(v.base is None for r in net.net.reps for _, v, _ in r.values())
