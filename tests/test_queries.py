@@ -300,3 +300,9 @@ def test_nets_own_their_rows():
     for i in range(20):
         net.insert_block(np.random.default_rng(i).normal(size=(50, 3)), np.arange(50) + 50 * i, np.arange(50) % 2)
     assert all(v.base is None for v in net.net.vecs) and all(v.base is None for r in net.net.reps for _, v, _ in r.values())
+
+
+def test_scores_of_all_group_counts_come_from_one_build(spark, sf):
+    both = src.score50_by_all(spark, sf, (2, 12)).cache()
+    for g in (2, 12):
+        assert src.of_groups(both, g).exceptAll(src.score50(spark, sf, g)).count() == 0
