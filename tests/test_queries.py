@@ -306,3 +306,55 @@ def test_scores_of_all_group_counts_come_from_one_build(spark, sf):
     both = src.score50_by_all(spark, sf, (2, 12)).cache()
     for g in (2, 12):
         assert src.of_groups(both, g).exceptAll(src.score50(spark, sf, g)).count() == 0
+
+
+def test_score_vectors_of_odd_rows(spark, tmp_path):
+    """Customers whose items have no cell or no quantity have zeros; the averages are grouped by cell, not 50 to a row of the exchange."""
+    put = lambda name, rows, schema: spark.createDataFrame(rows, schema).write.parquet(f"{tmp_path}/{name}.parquet")
+    put("customer", [(i, 6000.0 - i * 1000, i) for i in range(4)], "c_custkey long, c_acctbal double, c_nationkey int")
+    put("orders", [(10 + i, i) for i in range(3)], "o_orderkey long, o_custkey long")
+    put("part", [(1, "Brand#1"), (25, "Brand#25"), (26, "Brand#26")], "p_partkey long, p_brand string")
+    lines = [(10, 1, 12.0, "F"), (10, 1, 29.0, "F"), (10, 1, 50.0, "O"), (10, 25, -15.0, "O"), (10, 25, None, "F"), (11, 26, 50.0, "F"), (11, 1, 50.0, "X"), (11, 1, 50.0, None), (12, 1, None, "F"), (99, 1, 9.0, "F")]
+    put("lineitem", lines, "l_orderkey long, l_partkey long, l_quantity double, l_linestatus string")
+    got = src.score50_by_all(spark, str(tmp_path))
+    assert got._jdf.queryExecution().optimizedPlan().toString().count("avg(") == 1
+    rows = {r.point_id: r for r in got.collect()}
+    assert [(i, r.g2, r.g6, r.g12) for i, r in sorted(rows.items())] == [(0, 1, 0, 6), (1, 1, 1, 7), (2, 0, 2, 2)]
+    assert [{i: v for i, v in enumerate(rows[c].vec) if v} for c in range(3)] == [{0: 2.0, 1: 4.0, 49: -2.0}, {}, {}] and len(rows[0].vec) == 50
+
+
+def test_greedy_scans_of_wide_points_take_several_pivots(spark, monkeypatch):
+    """Whole numbers, so ties abound; shifted partitions; dense and packed: the kernel's pivots, whatever the tasks send."""
+    import numpy as np
+
+    from evenpick.functions.kernels import farthest_first
+    from evenpick.operators import frames, greedy
+
+    x = np.random.default_rng(3).integers(0, 5, (900, 40)).astype(float)
+    x[500:600] = x[:100]
+    points = spark.createDataFrame([(i, 0, v.tolist()) for i, v in enumerate(x)], src.POINT).repartitionByRange(3, "point_id")
+    p, delta, radius, _, _ = farthest_first(x, 25)
+    want, scans, make = ([(int(i), x[i].tolist(), float(d)) for i, d in zip(p, delta)], radius), [], greedy._farthest_rows
+    monkeypatch.setattr(greedy, "_farthest_rows", lambda *a: (scans.append(1), make(*a))[1])
+    for values, most in ((4_000_000, 1), (12_000, 12), (1, 25)):
+        monkeypatch.setattr(greedy, "SENT_VALUES", values)
+        for part in (points, frames.packed(points)) if values > 1 else (points,):
+            scans.clear()
+            assert greedy.farthest_first_rounds(part, 25) == want and len(scans) <= most
+    same = spark.createDataFrame([(i, 0, [1.0] * 40) for i in range(9)], src.POINT)
+    assert greedy.farthest_first_rounds(same, 5) == ([(0, [1.0] * 40, float("inf"))], 0.0)
+
+
+def test_a_report_beyond_the_driver_drops_copies_once(spark, monkeypatch):
+    import numpy as np
+
+    from evenpick.operators import frames
+
+    x = np.random.default_rng(4).integers(0, 5, (150, 40)).astype(float)
+    points = spark.createDataFrame([(i, i % 2, (i // 2) % 3, x[i % 150].tolist()) for i in range(450)], "point_id long, g2 int, g3 int, vec array<double>")
+    caps = {"g2": {0: 3, 1: 3}, "g3": {0: 2, 1: 2, 2: 2}}
+    rows = lambda: [tuple(v for c, v in r.asDict().items() if c != "seconds") for r in report.compare_groups(points, caps).collect()]
+    want, dropped, make = rows(), [], frames.staged
+    monkeypatch.setattr(frames, "DRIVER_VALUES", 200)
+    monkeypatch.setattr(frames, "staged", lambda df, label, *a: (dropped.append(label), make(df, label, *a))[1])
+    assert rows() == want and dropped.count("positions") == 1
