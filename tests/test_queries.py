@@ -358,3 +358,31 @@ def test_a_report_beyond_the_driver_drops_copies_once(spark, monkeypatch):
     monkeypatch.setattr(frames, "DRIVER_VALUES", 200)
     monkeypatch.setattr(frames, "staged", lambda df, label, *a: (dropped.append(label), make(df, label, *a))[1])
     assert rows() == want and dropped.count("positions") == 1
+
+
+def test_packed_rows_are_read_without_dense_blocks(spark, sf, monkeypatch):
+    """Whole numbers: distances from the nonzero components alone, equal to the dense ones; others, and other metrics, go through dense blocks."""
+    import numpy as np
+
+    from evenpick.functions import packed
+    from evenpick.functions.kernels import BudgetNet
+    from evenpick.functions.metrics import metric
+
+    rng = np.random.default_rng(8)
+    x = rng.integers(-4, 5, (90, 700)) * (rng.random((90, 700)) < 0.05).astype(float)
+    x[[0, 40, 89]] = 0.0
+    for scale in (1.0, 2.0**30, 0.3, 2.0**60):
+        rows = packed.PackedRows.of([packed.pack(v) for v in x * scale])
+        assert np.array_equal(rows.dense(), x * scale) and np.array_equal(rows[3:50][[5, 1, 1]].dense(), (x * scale)[[8, 4, 4]])
+        assert (packed.whole_l1(rows, x[:2] * scale) is None) == (scale in (0.3, 2.0**60))
+        for m in ("l1", "l2", "jaccard"):
+            for n in (1, 3, 20):
+                assert np.array_equal(metric(m).block(rows, x[:n] * scale), metric(m).block(x * scale, x[:n] * scale))
+        assert metric("l1").block(rows[:0], x[:2]).shape == (0, 2) and np.array_equal(rows[-1], x[-1] * scale)
+    nets = [BudgetNet(6), BudgetNet(6)]
+    nets[0].insert_block(x, np.arange(90), np.arange(90) % 2)
+    monkeypatch.setattr(packed.PackedRows, "dense_blocks", lambda self: pytest.fail("made dense"))
+    nets[1].insert_block(packed.PackedRows.of_dense(x), np.arange(90), np.arange(90) % 2)
+    assert nets[0].net.ids == nets[1].net.ids and nets[0].r == nets[1].r and [sorted(r) for r in nets[0].net.reps] == [sorted(r) for r in nets[1].net.reps]
+    narrow = src.dochash(spark, sf, 300, packed=True)
+    assert {(r.point_id, r.grp, bytes(r.vec)) for r in narrow.collect()} == {(r.point_id, r.grp, packed.pack(np.array(r.vec))) for r in src.dochash(spark, sf, 300).collect()}
