@@ -386,3 +386,25 @@ def test_packed_rows_are_read_without_dense_blocks(spark, sf, monkeypatch):
     assert nets[0].net.ids == nets[1].net.ids and nets[0].r == nets[1].r and [sorted(r) for r in nets[0].net.reps] == [sorted(r) for r in nets[1].net.reps]
     narrow = src.dochash(spark, sf, 300, packed=True)
     assert {(r.point_id, r.grp, bytes(r.vec)) for r in narrow.collect()} == {(r.point_id, r.grp, packed.pack(np.array(r.vec))) for r in src.dochash(spark, sf, 300).collect()}
+
+
+def test_a_report_leaves_no_shuffle_files_and_one_copy_of_its_points(spark, sf):
+    from pathlib import Path
+
+    from evenpick.plans.durable import drop_staged, shared_dir, staged
+
+    files = lambda: {f for d in spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().localDirsString() for f in Path(d).rglob("shuffle_*")}
+    tables = lambda: {p.name for p in Path(shared_dir(spark).removeprefix("file:"), "staged").glob("*")}
+    conf, before = spark.conf.get("spark.sql.classic.shuffleDependency.fileCleanup.enabled"), files()
+    kept = staged(spark.range(1000).repartition(3, "id"), "swept")
+    assert not files() - before and kept.count() == 1000 and spark.conf.get("spark.sql.classic.shuffleDependency.fileCleanup.enabled") == conf
+    drop_staged(spark.read.parquet(f"{sf}/orders.parquet"))
+    assert Path(f"{sf}/orders.parquet").exists()
+    drop_staged(kept)
+    assert not any(t.startswith("swept") for t in tables())
+    old = tables()
+    got = report.workload_table(spark, sf, methods=("distributed",), only={"census": (2,)})
+    new = {t.rsplit("-", 1)[0].split("-")[0] for t in tables() - old}
+    assert got.count() == 1 and "compare" in new and not new & {"line", "ordered"}
+    plan = src.line6_by_all(spark, sf)
+    assert plan.count() == spark.read.parquet(f"{sf}/lineitem.parquet").count() and all("/staged/ordered-" in f for f in plan.inputFiles())
